@@ -20,6 +20,18 @@ def op3_winnowing_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 
 
+def op4_recompression_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from jointsem.llm.word_dedup import dedup_words
+
+    return dedup_words(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op5_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from jointsem.llm.byte_dedup import dedup_bytes
+
+    return dedup_bytes(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from jointsem.llm.quality import score
 
@@ -35,7 +47,7 @@ def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_winnowing_decontamination, op7_quality_rules, op10_simhash_near_dedup)}
+    return {f.__name__: f for f in (op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op7_quality_rules, op10_simhash_near_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
