@@ -30,10 +30,10 @@ from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
 from jointsem.llm.store import partitions, stage
-from jointsem.llm.text import merged, mix, slices, starts_of_runs
+from jointsem.llm.text import gather, merged, mix, slices, starts_of_runs
 
-CHUNK = 1 << 20
-CHUNK_BYTES = 48 << 20
+CHUNK = 1 << 18
+CHUNK_BYTES = 8 << 20
 _HOT_LEAST = 4096
 _HOT_SHARE = 20_000
 _MANY = -1
@@ -69,16 +69,11 @@ class Work:
     parts: int
 
 
-def _gather(flat: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
-    total = int(size.sum())
-    return flat[np.repeat(start - (np.cumsum(size) - size), size) + np.arange(total)]
-
-
 def ragged_pack(part: np.ndarray, columns: dict[str, np.ndarray], ragged: str, sizes: np.ndarray, flat: np.ndarray, every: dict[str, type]) -> pa.RecordBatch:
     """blobs.pack with one column of variable size; columns of `every` that are not given are empty."""
     order = np.argsort(part, kind="stable")
     start = np.cumsum(sizes) - sizes
-    flat = _gather(flat, start[order], sizes[order])
+    flat = gather(flat, start[order], sizes[order])
     ids, first = np.unique(part[order], return_index=True)
     bounds = np.append(first, len(part))
     cut = np.append(0, np.cumsum(sizes[order]))[bounds]
@@ -203,7 +198,7 @@ def _piece_map(work: Work, hot: np.ndarray):
         send = ~answered | (many.astype(bool) & new)
         sizes = c["size"][send].astype(np.int64)
         sent = {k: v[send] for k, v in (c | {"many": many}).items()}
-        yield ragged_pack(blobs.part_of(sent["h"], parts), sent, "content", sizes, _gather(content, start[send], sizes), _PIECES)
+        yield ragged_pack(blobs.part_of(sent["h"], parts), sent, "content", sizes, gather(content, start[send], sizes), _PIECES)
         if answered.any():
             done = {f"d_{k}": c[k][answered] for k in ("id", "th", "first", "count")}
             part = blobs.part_of(mix(done["d_th"].view(np.uint64)), parts)
@@ -248,9 +243,8 @@ def _same(content: np.ndarray, start: np.ndarray, size: np.ndarray, other: np.nd
     same = size == size[other]
     at = np.flatnonzero(same & (other != np.arange(len(other))))
     if len(at):
-        equal = _gather(content, start[at], size[at]) == _gather(content, start[other[at]], size[at])
-        some = size[at] > 0
-        same[at[some]] = np.logical_and.reduceat(equal, (np.cumsum(size[at]) - size[at])[some])
+        equal = gather(content, start[at], size[at]) == gather(content, start[other[at]], size[at])
+        same[at] = np.logical_and.reduceat(equal, np.cumsum(size[at]) - size[at])
     return same
 
 

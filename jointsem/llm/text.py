@@ -13,7 +13,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 19
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 _BASE_INV = np.uint64(pow(0x9E3779B97F4A7C15 | 1, -1, 1 << 64))
 _BYTE_CODE = np.random.default_rng(20240229).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -144,6 +144,20 @@ def sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(values[: len(values) - rest], values[rest:]) if rest else values
 
 
+def gather(flat: np.ndarray, start: np.ndarray, size: np.ndarray, block: int = 1 << 20) -> np.ndarray:
+    """flat[start[i] : start[i] + size[i]] for all i, joined; the index arrays it needs are bounded."""
+    ends = np.cumsum(size)
+    out = np.empty(int(ends[-1]) if len(ends) else 0, flat.dtype)
+    i = 0
+    while i < len(ends):
+        base = int(ends[i - 1]) if i else 0
+        j = max(i + 1, int(np.searchsorted(ends, base + block, "right")))
+        n = size[i:j]
+        out[base : int(ends[j - 1])] = flat[np.repeat(start[i:j] - (ends[i:j] - n - base), n) + np.arange(int(ends[j - 1]) - base)]
+        i = j
+    return out
+
+
 def starts_of_runs(*keys: np.ndarray) -> np.ndarray:
     """True where any key differs from the row before."""
     new = np.ones(len(keys[0]), bool)
