@@ -13,6 +13,12 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from jointsem.llm.toxicity import score_documents
+
+    return score_documents(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
+
+
 def op3_winnowing_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from jointsem.llm.contamination import hits, judged
 
@@ -61,7 +67,7 @@ def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op7_quality_rules, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
+    return {f.__name__: f for f in (op2_toxicity, op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op7_quality_rules, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
