@@ -38,6 +38,16 @@ def op5_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_bytes(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from jointsem.llm.store import new_folder
+    from jointsem.llm.warc import read_archives, write_archives
+
+    folder = new_folder(spark, "archives")
+    write_archives(table(spark, sf_dir, "pages", "page_id", "url", "html"), folder)
+    found = read_archives(spark, folder).where("type is not null")
+    return found.select("page_id", "payload_bytes", "payload_digest", F.col("type").alias("record_type"), "refers_to")
+
+
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from jointsem.llm.quality import score
 
@@ -67,7 +77,7 @@ def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_toxicity, op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op7_quality_rules, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
+    return {f.__name__: f for f in (op2_toxicity, op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op6_warc, op7_quality_rules, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:

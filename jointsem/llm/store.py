@@ -34,12 +34,18 @@ def drop(spark: SparkSession, path: str) -> None:
         return
 
 
+def new_folder(spark: SparkSession, name: str) -> str:
+    """A path in the shared folder that nothing else uses; it is deleted when the driver ends."""
+    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    atexit.register(drop, spark, path)
+    return path
+
+
 def stage(df: DataFrame, name: str) -> DataFrame:
     """df written as Parquet to the shared folder and read again: lineage is cut, and a lost executor costs no recomputation."""
     spark = df.sparkSession
-    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    path = new_folder(spark, name)
     df.write.parquet(path)
-    atexit.register(drop, spark, path)
     return spark.read.schema(StructType(df.schema.fields)).parquet(path)
 
 
