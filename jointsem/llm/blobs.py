@@ -48,7 +48,7 @@ def reduce_parts(df: DataFrame, parts: int, columns: dict[str, type], work: Call
         for batch in batches:
             for c in columns:
                 held[c] += batch.column(batch.schema.get_field_index(c)).to_pylist()
-        if held[next(iter(columns))]:
+        if any(held.values()):
             yield from work({c: np.frombuffer(b"".join(held.pop(c)), kind) for c, kind in columns.items()})
 
     return df.repartitionById(parts, F.col("part")).mapInArrow(run, out)

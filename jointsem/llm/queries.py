@@ -13,6 +13,12 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
+def op1_log_frequency_bloom(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from jointsem.llm.language_model import score
+
+    return score(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from jointsem.llm.toxicity import score_documents
 
@@ -77,7 +83,7 @@ def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_toxicity, op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op6_warc, op7_quality_rules, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
+    return {f.__name__: f for f in (op1_log_frequency_bloom, op2_toxicity, op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op6_warc, op7_quality_rules, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
