@@ -61,6 +61,12 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.round("llr", 9).alias("llr"))
 
 
+def op8_site_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from jointsem.llm.html_text import main_texts
+
+    return main_texts(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
 def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -83,7 +89,7 @@ def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_log_frequency_bloom, op2_toxicity, op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op6_warc, op7_quality_rules, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
+    return {f.__name__: f for f in (op1_log_frequency_bloom, op2_toxicity, op3_winnowing_decontamination, op4_recompression_dedup, op5_suffix_array_dedup, op6_warc, op7_quality_rules, op8_site_templates, op9_sentencepiece, op10_simhash_near_dedup, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
