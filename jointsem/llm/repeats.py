@@ -34,10 +34,13 @@ from jointsem.llm.text import gather, merged, mix, slices, starts_of_runs
 
 CHUNK = 1 << 18
 CHUNK_BYTES = 8 << 20
+BLOCK = 1 << 17
 _HOT_LEAST = 4096
 _HOT_SHARE = 20_000
 _MANY = -1
 _COUNTED = {"h": np.uint64, "th": np.int64, "first": np.int32, "n": np.int32, "known": np.int64, "known_first": np.int32}
+_FOUND = {"th": np.int64, "first": np.int32, "hot": np.uint64}
+_SPANS = {"id": np.int64, "th": np.int64, "start": np.int32, "stop": np.int32}
 _PIECES = {"h": np.uint64, "ph": np.uint64, "id": np.int64, "th": np.int64, "first": np.int32, "count": np.int32, "many": np.uint8, "size": np.int32, "content": np.uint8, "d_id": np.int64, "d_th": np.int64, "d_first": np.int32, "d_count": np.int32}
 
 
@@ -107,7 +110,7 @@ def _count_map(work: Work):
         if many.any():
             m = at[many]
             yield ragged_pack(blobs.part_of(h[m], parts), {"h": h[m], "th": th[m], "first": np.full(len(m), _MANY, np.int32), "n": (end - at)[many].astype(np.int32)}, "", np.zeros(len(m), np.int64), np.zeros(0, np.uint8), _COUNTED)
-            part = blobs.part_of(mix(th[inner].view(np.uint64)), parts)
+            part = _part_of_text(th[inner], parts)
             yield ragged_pack(part, {"known": th[inner], "known_first": first[inner].astype(np.int32)}, "", np.zeros(len(part), np.int64), np.zeros(0, np.uint8), _COUNTED)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -136,7 +139,7 @@ def _lists(keys: tuple[np.ndarray, ...], names: list[str], values: list[np.ndarr
 
 
 def candidates(texts: DataFrame, scheme: Scheme, n_texts: int) -> DataFrame:
-    """(th, text) -> (th, firsts): anchors of several places, by text; rows without th hold hot anchors in `hot`."""
+    """(th, text) -> blobs of (th, first): anchors of several places, dealt by text; rows of part -1 hold hot anchors in `hot`."""
     parts = partitions(texts.sparkSession)
     hot_rows = max(_HOT_LEAST, n_texts // _HOT_SHARE)
 
@@ -155,25 +158,48 @@ def candidates(texts: DataFrame, scheme: Scheme, n_texts: int) -> DataFrame:
             out_first.append(first[chosen])
             hot = h[at][np.add.reduceat(n.astype(np.int64), at) > hot_rows]
         th, first = np.concatenate(out_th), np.concatenate(out_first)
-        order = np.lexsort((first, th))
-        rows = _lists((th[order],), ["th"], [first[order]], ["firsts"])
-        yield pa.RecordBatch.from_arrays([*rows.columns, pa.nulls(rows.num_rows, pa.int64())], names=["th", "firsts", "hot"])
+        if len(th):
+            yield _filled(blobs.pack(_part_of_text(th, parts), {"th": th, "first": first}), _FOUND)
         if len(hot):
-            yield pa.RecordBatch.from_arrays([pa.nulls(len(hot), pa.int64()), pa.nulls(len(hot), pa.list_(pa.int32())), pa.array(hot.view(np.int64))], names=["th", "firsts", "hot"])
+            yield _filled(blobs.pack(np.full(len(hot), -1), {"hot": hot}), _FOUND)
 
     mapped = texts.select("th", "text").mapInArrow(_count_map(Work(scheme, parts)), blobs.schema(_COUNTED))
-    return blobs.reduce_parts(mapped, parts, _COUNTED, reduce, "th long, firsts array<int>, hot long")
+    return blobs.reduce_parts(mapped, parts, _COUNTED, reduce, blobs.schema(_FOUND))
 
 
-def _spans(id_: np.ndarray, th: np.ndarray, start: np.ndarray, stop: np.ndarray) -> pa.RecordBatch:
-    """Merged spans per (id, th) as lists."""
+def by_text(found: DataFrame) -> DataFrame:
+    """Blobs of candidates() -> (th, firsts), one row per text."""
+
+    def gather_text(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
+        order = np.lexsort((x["first"], x["th"]))
+        th, first = x["th"][order], x["first"][order]
+        keep = starts_of_runs(th, first)
+        yield _lists((th[keep],), ["th"], [first[keep]], ["firsts"])
+
+    columns = {c: _FOUND[c] for c in ("th", "first")}
+    return blobs.reduce_parts(found.where("part >= 0"), partitions(found.sparkSession), columns, gather_text, "th long, firsts array<int>")
+
+
+def _part_of_text(th: np.ndarray, parts: int) -> np.ndarray:
+    return blobs.part_of(mix(th.view(np.uint64)), parts)
+
+
+def _filled(batch: pa.RecordBatch, columns: dict[str, type]) -> pa.RecordBatch:
+    """batch with empty blobs for the columns it lacks."""
+    empty = pa.array([b""] * batch.num_rows, pa.binary())
+    return pa.RecordBatch.from_arrays([batch.column(0), *(batch.column(batch.schema.get_field_index(c)) if c in batch.schema.names else empty for c in columns)], names=["part", *columns])
+
+
+def _union(id_: np.ndarray, th: np.ndarray, start: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Merged spans of each (id, th), in order."""
     order = np.lexsort((start, th, id_))
     id_, th, start, stop = id_[order], th[order], start[order].astype(np.int64), stop[order].astype(np.int64)
-    number = np.cumsum(starts_of_runs(id_, th)) - 1 if len(id_) else np.zeros(0, np.int64)
-    at = np.flatnonzero(starts_of_runs(id_, th)) if len(id_) else number
+    new = starts_of_runs(id_, th) if len(id_) else np.zeros(0, bool)
+    number = np.cumsum(new) - 1
+    at = np.flatnonzero(new)
     a, b = merged(start + (number << 32), stop + (number << 32))
-    own = a >> 32
-    return _lists((id_[at[own]], th[at[own]]), ["id", "th"], [a & 0xFFFFFFFF, b & 0xFFFFFFFF], ["starts", "stops"])
+    own = at[a >> 32]
+    return id_[own], th[own], (a & 0xFFFFFFFF).astype(np.int32), (b & 0xFFFFFFFF).astype(np.int32)
 
 
 def _piece_map(work: Work, hot: np.ndarray):
@@ -201,7 +227,7 @@ def _piece_map(work: Work, hot: np.ndarray):
         yield ragged_pack(blobs.part_of(sent["h"], parts), sent, "content", sizes, gather(content, start[send], sizes), _PIECES)
         if answered.any():
             done = {f"d_{k}": c[k][answered] for k in ("id", "th", "first", "count")}
-            part = blobs.part_of(mix(done["d_th"].view(np.uint64)), parts)
+            part = _part_of_text(done["d_th"], parts)
             yield ragged_pack(part, done, "content", np.zeros(len(part), np.int64), np.zeros(0, np.uint8), _PIECES)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -248,8 +274,29 @@ def _same(content: np.ndarray, start: np.ndarray, size: np.ndarray, other: np.nd
     return same
 
 
+def _blocks(heads: np.ndarray, anchor: np.ndarray, count: np.ndarray) -> Iterator[np.ndarray]:
+    """Heads in blocks of about BLOCK windows, all of one anchor in one block."""
+    i = 0
+    total = np.cumsum(count[heads].astype(np.int64))
+    while i < len(heads):
+        j = int(np.searchsorted(total, (total[i - 1] if i else 0) + BLOCK, "right"))
+        j = int(np.searchsorted(anchor, anchor[max(i, min(j, len(heads)) - 1)], "right"))
+        yield heads[i:j]
+        i = j
+
+
+def _joined(row: np.ndarray, s: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First and last of runs of consecutive numbers s of one row, and where they begin."""
+    if not len(row):
+        return s, s, row
+    new = np.ones(len(row), bool)
+    new[1:] = (row[1:] != row[:-1]) | (s[1:] != s[:-1] + 1)
+    edge = np.flatnonzero(new)
+    return s[edge], s[np.append(edge[1:], len(s)) - 1], edge
+
+
 def repeated_spans(texts: DataFrame, scheme: Scheme, hot: np.ndarray) -> DataFrame:
-    """(id, th, firsts, text) -> (id, th, starts, stops): spans covered by repeated windows, a text's spans in several rows."""
+    """(id, th, firsts, text) -> (id, th, starts, stops): the spans covered by repeated windows, one row per text that has any."""
     parts = partitions(texts.sparkSession)
     reach = scheme.width - 1
 
@@ -273,8 +320,9 @@ def repeated_spans(texts: DataFrame, scheme: Scheme, hot: np.ndarray) -> DataFra
             outs.append((id_[whole], th[whole], first[whole], first[whole] + count[whole] + reach))
             fresh = starts_of_runs(h[at])
             several = np.add.reduceat(np.ones(len(at), np.int64), np.flatnonzero(fresh))
-            heads = at[np.repeat(several > 1, several)]
-            if len(heads):
+            lone = np.repeat(several > 1, several)
+            number = np.full(len(at), -1)
+            for heads in _blocks(at[lone], np.cumsum(fresh)[lone], count):
                 n = count[heads].astype(np.int64)
                 cls = scheme.classes(x["content"], start[heads], n)
                 owner = np.repeat(np.arange(len(heads)), n)
@@ -286,20 +334,29 @@ def repeated_spans(texts: DataFrame, scheme: Scheme, hot: np.ndarray) -> DataFra
                     hit = np.bincount(cls)[cls] > 1
                 window = np.flatnonzero(hit)
                 offset = window - (np.cumsum(n) - n)[owner[window]]
-                number = np.full(len(at), -1)
                 number[run[heads]] = np.arange(len(heads))
-                rows = np.flatnonzero(~whole & (number[run] >= 0))
+                lo, hi = run[heads[0]], run[heads[-1]] + 1
+                rows = np.arange(at[lo], end[hi - 1])
+                rows = rows[~whole[rows] & (number[run[rows]] >= 0)]
                 each = np.bincount(owner[window], minlength=len(heads))
                 begin = np.cumsum(each) - each
                 k = number[run[rows]]
                 row = np.repeat(rows, each[k])
                 pick = np.repeat(begin[k] - (np.cumsum(each[k]) - each[k]), each[k]) + np.arange(len(row))
                 s = first[row] + offset[pick]
-                outs.append((id_[row], th[row], s, s + reach + 1))
-        yield _spans(*(np.concatenate(c) for c in zip(*outs, strict=True)))
+                a, b, edge = _joined(row, s)
+                outs.append((id_[row[edge]], th[row[edge]], a, b + reach + 1))
+        made = dict(zip(_SPANS, _union(*(np.concatenate(c) for c in zip(*outs, strict=True))), strict=True))
+        if len(made["th"]):
+            yield blobs.pack(_part_of_text(made["th"], parts), made)
+
+    def gather_spans(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
+        id_, th, a, b = _union(x["id"], x["th"], x["start"], x["stop"])
+        yield _lists((id_, th), ["id", "th"], [a, b], ["starts", "stops"])
 
     mapped = texts.select("id", "th", "firsts", "text").mapInArrow(_piece_map(Work(scheme, parts), hot), blobs.schema(_PIECES))
-    return blobs.reduce_parts(mapped, parts, _PIECES, reduce, "id long, th long, starts array<int>, stops array<int>")
+    dealt = blobs.reduce_parts(mapped, parts, _PIECES, reduce, blobs.schema(_SPANS))
+    return blobs.reduce_parts(dealt, parts, _SPANS, gather_spans, "id long, th long, starts array<int>, stops array<int>")
 
 
 def text_keys(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -317,10 +374,9 @@ def with_spans(docs: DataFrame, scheme: Scheme, id_col: str, text_col: str) -> D
     keyed = text_keys(docs, id_col, text_col)
     firsts = stage(keyed.groupBy("_th", "_t2").agg(F.min("_id").alias("id"), F.count("*").alias("copies")).select(F.col("_th").alias("th"), "_t2", "id", "copies"), "texts")
     found = stage(candidates(keyed.select(F.col("_th").alias("th"), F.col("_text").alias("text")), scheme, firsts.count()), "anchors")
-    hot = found.where("hot is not null").select("hot").toPandas()["hot"].to_numpy(np.int64).view(np.uint64)
-    by_text = found.where("th is not null").groupBy("th").agg(F.array_distinct(F.flatten(F.collect_list("firsts"))).alias("firsts"))
-    wanted = firsts.join(by_text, "th").select("id", "th", "firsts")
+    hot = np.frombuffer(b"".join(bytes(r.hot) for r in found.where("part = -1").select("hot").collect()), np.uint64)
+    wanted = firsts.join(by_text(found), "th").select("id", "th", "firsts")
     rows = keyed.select(F.col("_id").alias("id"), F.col("_th").alias("th"), F.col("_text").alias("text")).join(wanted, ["id", "th"])
-    spans = repeated_spans(rows, scheme, hot).groupBy("id", "th").agg(F.flatten(F.collect_list("starts")).alias("_starts"), F.flatten(F.collect_list("stops")).alias("_stops"))
+    spans = repeated_spans(rows, scheme, hot).withColumnsRenamed({"starts": "_starts", "stops": "_stops"})
     known = stage(firsts.join(spans, ["id", "th"], "left"), "spans").select(F.col("id").alias("_id"), F.col("th").alias("_th"), "_t2", "copies", "_starts", "_stops", F.lit(True).alias("_first"))
     return keyed.join(known, ["_id", "_th", "_t2"], "left")
