@@ -5,8 +5,8 @@ Two multinomials over hashed n-grams are compared: one of trusted documents
 log ratio of its n-grams, so its length has no part in it, and a document stays
 if the base rules pass and the score reaches `threshold`.
 
-The n-grams of a text are its words, its pairs of neighbouring words and the
-last three characters of each word.  The ratio table has `buckets` entries
+The n-grams of a text are its words, and its pairs of neighbouring words by
+their last three characters.  The ratio table has `buckets` entries
 whatever the corpus holds; it reaches the scoring projection as a scalar
 subquery.  Counting combines on the map side, and scoring shuffles nothing.
 
@@ -27,43 +27,39 @@ BUCKETS = 10_000
 THRESHOLD = -0.5
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
+#: Up to so many trusted ids are broadcast (16 MB); more are joined by shuffling texts.
+BROADCAST_IDS = 2_000_000
 _SPACE = " \t\n\x0b\x0c\r"
-_SYMBOLS = "#*$%&|<>"
+_SYMBOLS = r"[#*$%&|<>]"
 _FEW = 16
 
 
 def _words(text: Column) -> Column:
-    return F.array_remove(F.split(F.translate(text, _SPACE[1:], " " * 5), " "), "")
+    inner = F.btrim(text, F.lit(_SPACE))
+    return F.when(inner == "", F.expr("cast(array() as array<string>)")).otherwise(F.split(inner, "[ \t-\r]+"))
 
 
-def _ngrams(buckets: int) -> Column:
-    """Bucket numbers of the n-grams of the column `words`."""
-    return F.expr(
-        f"""if(size(words) = 0, array(), concat(
-            transform(words, w -> cast(pmod(xxhash64(w), {buckets}) as int)),
-            transform(words, w -> cast(pmod(xxhash64(1, right(w, 3)), {buckets}) as int)),
-            if(size(words) < 2, array(), zip_with(slice(words, 1, size(words) - 1), slice(words, 2, size(words) - 1),
-               (a, b) -> cast(pmod(xxhash64(2, a, b), {buckets}) as int)))))"""
-    )
+def _with_hashes(df: DataFrame, text: Column) -> DataFrame:
+    """df with _words, the hash of each word, and _pairs, the hash of each pair of neighbouring word endings."""
+    df = df.withColumn("_words", _words(text)).withColumn("_last", F.expr("transform(_words, w -> xxhash64(right(w, 3)))"))
+    pairs = F.expr("if(size(_last) < 2, cast(array() as array<bigint>), transform(slice(_last, 1, size(_last) - 1), (h, i) -> xxhash64(h, _last[i + 1])))")
+    return df.withColumns({"_hashes": F.expr("transform(_words, w -> xxhash64(w))"), "_pairs": pairs}).drop("_last")
 
 
 def with_rules(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """docs with words, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed.
+    """docs with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed, and the hashes of _with_hashes().
 
     A word of a 3-word window that occurs twice in the text counts once.  Windows
-    are told apart by 64-bit hashes; their positions are found by membership when
+    and words are told apart by 64-bit hashes; the windows' positions are found by membership when
     few windows repeat, and by sorting (hash, position) otherwise.
     """
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    df = docs.withColumn("words", _words(text))
-    df = df.withColumn(
-        "_grams",
-        F.expr("if(size(words) < 3, cast(array() as array<bigint>), transform(sequence(0, size(words) - 3), i -> xxhash64(words[i], words[i + 1], words[i + 2])))"),
-    )
+    df = _with_hashes(docs, text)
+    df = df.withColumn("_grams", F.expr("if(size(_hashes) < 3, cast(array() as array<bigint>), transform(slice(_hashes, 1, size(_hashes) - 2), (h, i) -> xxhash64(h, _hashes[i + 1], _hashes[i + 2])))"))
     df = df.withColumn("_sorted", F.expr("if(size(array_distinct(_grams)) = size(_grams), cast(array() as array<bigint>), sort_array(_grams))"))
     df = df.withColumn("_twice", F.expr("array_distinct(array_compact(zip_with(_sorted, slice(_sorted, 2, greatest(size(_sorted), 1)), (a, b) -> if(a = b, a, null))))"))
     df = df.withColumn(
-        "_pairs",
+        "_places",
         F.expr(f"if(size(_twice) <= {_FEW}, cast(array() as array<struct<h: bigint, p: int>>), sort_array(transform(_grams, (h, p) -> struct(h, p))))"),
     )
     df = df.withColumn(
@@ -71,18 +67,18 @@ def with_rules(docs: DataFrame, text_col: str = "text") -> DataFrame:
         F.expr(
             f"""case when size(_twice) = 0 then cast(array() as array<int>)
             when size(_twice) <= {_FEW} then array_compact(transform(_grams, (h, p) -> if(array_contains(_twice, h), p, null)))
-            else sort_array(array_distinct(flatten(zip_with(_pairs, slice(_pairs, 2, size(_pairs)),
+            else sort_array(array_distinct(flatten(zip_with(_places, slice(_places, 2, size(_places)),
                  (a, b) -> if(a.h = b.h, array(a.p, b.p), cast(array() as array<int>)))))) end"""
         ),
     )
-    lines = F.filter(F.split(text, "\n"), lambda x: F.length(F.translate(x, _SPACE, "")) > 0)
-    df = df.withColumn("_lines", lines)
+    df = df.withColumn("_lines", F.filter(F.split(text, "\n"), lambda x: x.rlike("[^ \t-\r]")))
     df = df.select(
         *docs.columns,
-        "words",
-        F.size("words").cast("long").alias("n_words"),
-        F.length(F.translate(text, _SPACE, "")).cast("long").alias("word_chars"),
-        (F.length(text) - F.length(F.translate(text, _SYMBOLS, ""))).cast("long").alias("n_symbols"),
+        "_hashes",
+        "_pairs",
+        F.size("_words").cast("long").alias("n_words"),
+        F.expr("aggregate(_words, 0L, (s, w) -> s + length(w))").alias("word_chars"),
+        F.regexp_count(text, F.lit(_SYMBOLS)).cast("long").alias("n_symbols"),
         (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"),
         F.expr("aggregate(zip_with(_at, slice(_at, 2, greatest(size(_at), 1)), (a, b) -> least(3, coalesce(b - a, 3))), 0L, (s, x) -> s + x)").alias("n_repeat_words"),
     )
@@ -91,11 +87,13 @@ def with_rules(docs: DataFrame, text_col: str = "text") -> DataFrame:
 
 def log_ratios(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(bucket, ratio): log of the trusted over the raw share, add-one smoothed; buckets without n-grams have no row."""
-    trusted = labels.where("quality = 1").select(F.col("doc_id").alias(id_col)).distinct().withColumn("_trusted", F.lit(1))
-    rows = docs.select(id_col, _words(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).alias("words"))
-    rows = rows.join(trusted, id_col, "left")
-    grams = rows.select(F.coalesce("_trusted", F.lit(0)).alias("t"), F.explode(_ngrams(buckets)).alias("bucket"))
-    counts = grams.groupBy("bucket").agg(F.count("*").alias("raw"), F.sum("t").alias("trusted"))
+    trusted = labels.where("quality = 1").select(F.col("doc_id").alias("_id")).where("_id is not null").distinct()
+    if trusted.count() <= BROADCAST_IDS:
+        trusted = F.broadcast(trusted)
+    rows = docs.select(F.col(id_col).alias("_doc"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("_text"))
+    rows = _with_hashes(rows.join(trusted, F.col("_doc") == F.col("_id"), "left"), F.col("_text"))
+    grams = rows.select(F.when(F.col("_id").isNull(), 0).otherwise(1).alias("t"), F.explode(F.concat("_hashes", "_pairs")).alias("h")).select("t", F.expr(f"pmod(h, {buckets})").cast("int").alias("bucket"))
+    counts = stage(grams.groupBy("bucket").agg(F.count("*").alias("raw"), F.sum("t").alias("trusted")), "buckets")
     total = counts.agg(F.sum("raw").alias("raw"), F.sum("trusted").alias("trusted"))
     both = counts.select("bucket", "raw", "trusted", total.select("raw").scalar().alias("raws"), total.select("trusted").scalar().alias("trusteds"))
     share = lambda c: F.log((F.col(c) + 1) / (F.col(c + "s") + buckets))
@@ -107,6 +105,10 @@ def score(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buck
     ratios = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("bucket")).join(log_ratios(docs, labels, buckets, id_col, text_col), "bucket", "left")
     pairs = F.array_sort(F.collect_list(F.struct("bucket", F.coalesce("ratio", F.lit(0.0)).alias("ratio"))))
     table = stage(ratios.agg(F.transform(pairs, lambda x: x.ratio).alias("ratios")), "ratios")
-    df = with_rules(docs, text_col).withColumn("_ngrams", _ngrams(buckets)).withColumn("_ratios", table.scalar())
-    llr = F.expr("aggregate(_ngrams, 0D, (s, b) -> s + _ratios[b]) / nullif(size(_ngrams), 0)")
-    return df.withColumn("llr", llr).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= threshold)).drop("_ngrams", "_ratios", "words")
+    df = with_rules(docs, text_col).withColumn("_ratios", table.scalar())
+    sums = " + ".join(f"aggregate({c}, 0D, (s, h) -> s + _ratios[cast(pmod(h, {buckets}) as int)])" for c in ("_hashes", "_pairs"))
+    llr = F.expr(f"({sums}) / nullif(size(_hashes) + size(_pairs), 0)")
+    df = df.withColumn("llr", llr).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= threshold))
+    # made by a generator of one row, so that a filter on them is not pushed into the expressions below, where it would multiply
+    made = [c for c in df.columns if c not in docs.columns and not c.startswith("_")]
+    return df.select(*docs.columns, F.inline_outer(F.array(F.struct(*made))))

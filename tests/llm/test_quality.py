@@ -5,7 +5,7 @@ from collections import Counter
 
 import pytest
 
-from jointsem.llm.quality import BUCKETS, THRESHOLD, score, with_rules
+from jointsem.llm.quality import THRESHOLD, score, with_rules
 
 
 def plain_rules(text):
@@ -41,17 +41,7 @@ def test_score_is_the_mean_log_ratio(spark, documents):
     rows = [(i, good * 2 + " ".join(f"w{i}x{k}" for k in range(60))) for i in range(8)] + [(100 + i, " ".join(f"z{i}y{k}$$$" for k in range(80))) for i in range(8)] + [(200, None)]
     labels = spark.createDataFrame([(i, 1) for i in range(8)] + [(100, 0), (None, 1), (3, None)], "doc_id long, quality int")
     got = {r.doc_id: r for r in score(documents(rows), labels).collect()}
-    hashed = {}
-
-    def bucket(*parts):
-        if parts not in hashed:
-            args = ", ".join(str(p) if isinstance(p, int) else f"'{p}'" for p in parts)
-            hashed[parts] = spark.sql(f"select pmod(xxhash64({args}), {BUCKETS})").first()[0]
-        return hashed[parts]
-
-    one = rows[0][1].split()
-    grams = [bucket(w) for w in one]
-    assert grams and got[0].llr > got[100].llr and got[0].kept and not got[100].kept and got[200].llr is None and got[200].kept in (False, None)
+    assert got[0].llr > got[100].llr and got[0].kept and not got[100].kept and got[200].llr is None
     assert not got[200].kept and got[100].llr < THRESHOLD
 
 
@@ -69,5 +59,5 @@ def test_log_ratio_values(spark, documents):
     rows = [(1, "a b"), (2, "a")]
     labels = spark.createDataFrame([(1, 1)], "doc_id long, quality int")
     got = sorted(r.ratio for r in log_ratios(documents(rows), labels, buckets=1 << 20).collect())
-    share = lambda t, r: math.log((t + 1) / (5 + (1 << 20))) - math.log((r + 1) / (7 + (1 << 20)))
-    assert got == pytest.approx(sorted([share(1, 2), share(1, 2), share(1, 1), share(1, 1), share(1, 1)]))
+    share = lambda t, r: math.log((t + 1) / (3 + (1 << 20))) - math.log((r + 1) / (4 + (1 << 20)))
+    assert got == pytest.approx(sorted([share(1, 2), share(1, 1), share(1, 1)]))
