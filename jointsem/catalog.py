@@ -6,7 +6,6 @@ that SQL repeats; the simulated model's accuracies say nothing about real ones.
 
 from __future__ import annotations
 
-import math
 from collections.abc import Callable
 
 import numpy as np
@@ -916,5 +915,53 @@ def embeddings_explode(spark, sf):
     return read_table(spark, sf, "embeddings", "embedding").select(F.explode("embedding").alias("x")).agg(F.round(F.sum(F.col("x").cast("double")), 6).alias("total"), F.count("*").alias("n"))
 
 
-def infeasible_budget(spark, sf) -> tasks.Result:
-    return _classified(spark, sf, "W1", budget=-math.inf)
+@query("SELECT count(*) AS n, true AS exceeded FROM documents")
+def infeasible_budget(spark, sf):
+    """No threshold fits: everything goes to the proxy, and the run says so."""
+    found = _classified(spark, sf, "W1", budget=0.0)
+    return found.predictions.agg(F.count("*").alias("n")).withColumn("exceeded", F.lit(found.report["budget_exceeded"]))
+
+
+@query("SELECT lang AS pred, count(*) AS n FROM documents GROUP BY lang")
+def joint_classify_sql(spark, sf):
+    """The joint method called from SQL as a table function over batches."""
+    from jointsem.plans.sqlapi import register
+
+    w = workload(spark, sf, "W1")
+    register(spark, simulated_pool(w.labels), SURE)
+    batches = assign_batches(w.records.withColumnRenamed("truth", "hidden"), 200, "joint")
+    batches.createOrReplaceTempView("joint_batches")
+    found = spark.sql(f"SELECT * FROM joint_classify(TABLE(joint_batches) PARTITION BY (batch_id), '{w.instruction}', '{','.join(w.labels)}')")
+    return found.groupBy("pred").agg(F.count("*").alias("n"))
+
+
+# ---- experiments, under the study profiles; size is that of the evaluation sample
+
+_STUDY = 500
+
+
+def _experiment(name: str, **options) -> None:
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        from jointsem import experiments
+
+        f = getattr(experiments, name)
+        return f(spark) if name == "exp_context_flip" else f(spark, sf, **options)
+
+    run.__name__ = name
+    query()(run)
+
+
+for _name, _options in {
+    "exp_classification": {"size": _STUDY},
+    "exp_budget": {"size": _STUDY, "names": ["W1", "W3", "W9"]},
+    "exp_scoring": {"size": _STUDY},
+    "exp_scoring_budget": {"size": _STUDY},
+    "exp_clustering": {"size": _STUDY, "names": ["W1", "W4", "W9"]},
+    "exp_edge_weights": {"size": 200},
+    "exp_assignment": {"size": _STUDY},
+    "exp_sensitivity": {"size": _STUDY, "names": ("W4",)},
+    "exp_paradox": {},
+    "exp_controls": {"size": _STUDY},
+    "exp_context_flip": {},
+}.items():
+    _experiment(_name, **_options)

@@ -18,7 +18,10 @@ from jointsem.models.base import Records
 
 @dataclass(frozen=True)
 class Profile:
-    """Error rates.  ambiguous: share of records a lone reader takes for a neighbouring class; long: error growth per 100 records shown beyond `room`."""
+    """Error rates.  ambiguous: share of records a lone reader takes for a neighbouring class; long: error growth per 100 records shown beyond `room`.
+
+    A perceived group is answered as links from each record to the `reach` before it, each lost with probability drop.
+    """
 
     row: float = 0.0
     ambiguous: float = 0.0
@@ -26,6 +29,7 @@ class Profile:
     long: float = 0.0
     room: int = 80
     drop: float = 0.0
+    reach: int = 1
     clusters: float = 0.0
     pair: float = 0.0
     compare: float = 0.0
@@ -33,8 +37,8 @@ class Profile:
 
 
 #: The profile of the experiments: a reader of single records misjudges many, small groups are judged well, large ones badly.
-STUDY = Profile(row=0.08, ambiguous=0.22, group=0.06, long=0.25, drop=0.1, clusters=0.35, pair=0.18, compare=0.12, label=0.1)
-STUDY_LIGHT = Profile(row=0.16, ambiguous=0.26, group=0.1, long=0.35, drop=0.15, clusters=0.45, pair=0.25, compare=0.2, label=0.15)
+STUDY = Profile(row=0.08, ambiguous=0.22, group=0.06, long=0.25, drop=0.1, reach=3, clusters=0.35, pair=0.18, compare=0.12, label=0.5)
+STUDY_LIGHT = Profile(row=0.16, ambiguous=0.26, group=0.1, long=0.35, drop=0.15, reach=3, clusters=0.45, pair=0.25, compare=0.2, label=0.6)
 
 
 @dataclass
@@ -82,17 +86,27 @@ class SimulatedModel:
         return out
 
     def _perceived(self, kind: str, rate: float, records: Records, key: str) -> list[str]:
-        rate = rate + self.profile.long * max(0, len(records) - self.profile.room) / 100
-        return [self._other(h or "", self._u(kind, "other", key, i)) if self._u(kind, key, i) < rate else (h or "") for i, h in zip(records.ids, records.hidden, strict=True)]
+        """What each record of a sample is taken for: a slip leads to a neighbouring class, and what a long prompt blurs to any."""
+        blur = self.profile.long * max(0, len(records) - self.profile.room) / 100
+        out = []
+        for i, h in zip(records.ids, records.hidden, strict=True):
+            u = self._u(kind, key, i)
+            if u < rate:
+                out.append(self._other(h or "", self._u(kind, "other", key, i)))
+            elif u < rate + blur:
+                out.append(self.labels[int(self._u(kind, "blur", key, i) * len(self.labels))])
+            else:
+                out.append(h or "")
+        return out
 
     def group_pairs(self, instruction: str, records: Records, key: str = "") -> list[tuple[int, int]]:
         seen = self._perceived("group", self.profile.group, records, key)
-        last: dict[str, int] = {}
+        last: dict[str, list[int]] = {}
         out = []
         for i, c in sorted(zip(records.ids, seen, strict=True)):
-            if c in last and self._u("drop", key, last[c], i) >= self.profile.drop:
-                out.append((last[c], i))
-            last[c] = i
+            before = last.setdefault(c, [])
+            out += [(a, i) for a in before[-self.profile.reach :] if self._u("drop", key, a, i) >= self.profile.drop]
+            before.append(i)
         return out
 
     def group_clusters(self, instruction: str, records: Records, key: str = "") -> list[list[int]]:
@@ -104,8 +118,10 @@ class SimulatedModel:
 
     def same(self, instruction: str, a: Records, b: Records, context: Records | None = None, key: str = "") -> bool:
         i, j = sorted((a.ids[0], b.ids[0]))
-        rate = self.profile.pair if context is None else self.profile.pair / 2
-        return (a.hidden[0] == b.hidden[0]) != (self._u("pair", key, i, j) < rate)
+        if context is None:  # each is read alone, so what is ambiguous alone misleads every question about it
+            alike = self._alone(a.ids[0], a.hidden[0])[0] == self._alone(b.ids[0], b.hidden[0])[0]
+            return alike != (self._u("pair", key, i, j) < self.profile.pair)
+        return (a.hidden[0] == b.hidden[0]) != (self._u("pair", key, i, j) < self.profile.pair / 2)
 
     def score_labels(self, instruction: str, labels: list[str], records: Records, examples: dict[str, Records] | None = None, key: str = "") -> list[float]:
         if not len(records):

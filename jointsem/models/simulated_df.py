@@ -28,12 +28,10 @@ def simulated_rows(records: DataFrame, labels: list[str], profile: Profile, seed
 
 
 def simulated_pairs(samples: DataFrame, truth: DataFrame, labels: list[str], profile: Profile, seed: str = "sim") -> DataFrame:
-    """Answers of SimulatedModel.group_pairs for every sample (batch_id, round, id): (batch_id, round, a, b)."""
+    """Answers of SimulatedModel.group_pairs, for a reach of 1 and samples within the profile's room, for every sample (batch_id, round, id): (batch_id, round, a, b)."""
     key = F.concat_ws("|", F.col("batch_id").cast("string"), F.col("round").cast("string"))
     held = samples.join(truth.select("id", F.col("truth").alias("c")), "id")
-    size = F.count("*").over(Window.partitionBy("batch_id", "round"))
-    rate = profile.group + profile.long * F.greatest(F.lit(0), size - profile.room) / 100
-    slip = portable_uniform(seed, "group", key, F.col("id")) < rate
+    slip = portable_uniform(seed, "group", key, F.col("id")) < profile.group
     seen = held.withColumn("seen", F.when(slip, other_class(F.col("c"), portable_uniform(seed, "group", "other", key, F.col("id")), labels)).otherwise(F.col("c")))
     before = F.lag("id").over(Window.partitionBy("batch_id", "round", "seen").orderBy("id"))
     linked = seen.withColumn("a", before).where("a is not null").withColumn("u", portable_uniform(seed, "drop", key, F.col("a"), F.col("id")))
