@@ -40,7 +40,8 @@ PROBES = 6
 BITS = 10
 MAX_BYTES = 64 << 20
 TABLE = 1 << 20
-WEIGHT = 0.6
+WEIGHT = 0.4
+TRUST = 5
 MAX_LEVEL = 64
 CHUNK = 1 << 21
 _END = np.uint64(0x2545F4914F6CDD1D)
@@ -214,7 +215,7 @@ class Model:
         return np.log10((count + 0.5) / (self.total + 0.5 * (self.distinct + 1)))
 
     def log_probabilities(self, codes: np.ndarray, first: np.ndarray) -> np.ndarray:
-        """log10 of WEIGHT times the bigram share plus the rest times the unigram estimate."""
+        """log10 of a mixture of the bigram share and the unigram estimate; the share weighs WEIGHT, and less after a token of few counts."""
         unique, number = np.unique(codes, return_inverse=True)
         single = typical(self.filter.levels(unique))[number.ravel()]
         before = np.empty(len(codes))
@@ -223,7 +224,8 @@ class Model:
         unigram = (single + 0.5) / (self.total + 0.5 * (self.distinct + 1))
         pair = np.minimum(typical(self.filter.levels(bigrams(codes, first))), np.minimum(before, single))
         share = np.where(before > 0, pair / np.maximum(before, 1), 0)
-        return np.log10(np.where(before > 0, WEIGHT * share + (1 - WEIGHT) * unigram, unigram))
+        weight = WEIGHT * before / (before + TRUST)
+        return np.log10(weight * share + (1 - weight) * unigram)
 
 
 def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", table: int = TABLE, max_bytes: int = MAX_BYTES) -> tuple[Model, DataFrame]:
