@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from jointsem.llm import byte_dedup, contamination, pieces, quality, simhash
-from jointsem.llm.store import stage
+from jointsem.llm.store import spread, stage
 
 #: The rows of run() cannot be had from SQL: XXH64 fingerprints and byte-pair merges have no counterpart there.
 ORACLE_SQL = None
@@ -58,7 +58,7 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = spread(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     for name, work in STAGES[:-1]:
         docs = stage(work(spark, docs, sf_dir), name)
     return STAGES[-1][1](spark, docs, sf_dir)
