@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from jointsem.functions.expressions import token_count, tokens_of
 from jointsem.models.base import Metered, Records, Tier
+from jointsem.sources.stages import spread
 
 ROWS = "id long, pred string, confidence double, tokens_in long, tokens_out long"
 BINS = 4096
@@ -30,7 +31,7 @@ def row_wise(records: DataFrame, instruction: str, labels: list[str], tier: Tier
                 rows.append((i, label, math.exp(log), meter.usage.tokens_in - tin, meter.usage.tokens_out - tout))
             yield pd.DataFrame(rows, columns=["id", "pred", "confidence", "tokens_in", "tokens_out"])
 
-    return records.mapInPandas(work, ROWS)
+    return spread(records).mapInPandas(work, ROWS)
 
 
 def predicted_cost(records: DataFrame, instruction: str, labels: list[str], tiers: list[Tier], context: str = "") -> list[float]:
