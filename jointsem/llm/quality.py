@@ -39,50 +39,61 @@ def _words(text: Column) -> Column:
     return F.when(inner == "", F.expr("cast(array() as array<string>)")).otherwise(F.split(inner, "[ \t-\r]+"))
 
 
-def _with_hashes(df: DataFrame, text: Column) -> DataFrame:
-    """df with _words, the hash of each word, and _pairs, the hash of each pair of neighbouring word endings."""
-    df = df.withColumn("_words", _words(text)).withColumn("_last", F.expr("transform(_words, w -> xxhash64(right(w, 3)))"))
+def _hashed(df: DataFrame, keep: list[Column | str]) -> DataFrame:
+    """keep, with _hashes, the hash of each of _words, and _pairs, the hash of each pair of neighbouring word endings."""
+    df = df.select(*keep, F.expr("transform(_words, w -> xxhash64(w))").alias("_hashes"), F.expr("transform(_words, w -> xxhash64(right(w, 3)))").alias("_last"))
     pairs = F.expr("if(size(_last) < 2, cast(array() as array<bigint>), transform(slice(_last, 1, size(_last) - 1), (h, i) -> xxhash64(h, _last[i + 1])))")
-    return df.withColumns({"_hashes": F.expr("transform(_words, w -> xxhash64(w))"), "_pairs": pairs}).drop("_last")
+    return df.withColumn("_pairs", pairs).drop("_last")
 
 
-def with_rules(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """docs with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed, and the hashes of _with_hashes().
+def _counted(docs: DataFrame, text_col: str) -> DataFrame:
+    """docs with the counts that need its words and lines, _hashes and _pairs.  Words and lines go no further: every projection copies what it keeps."""
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    df = docs.select(*docs.columns, _words(text).alias("_words"), F.filter(F.split(text, "\n"), lambda x: x.rlike("[^ \t-\r]")).alias("_lines"))
+    return _hashed(
+        df,
+        [
+            *docs.columns,
+            F.size("_words").cast("long").alias("n_words"),
+            F.expr("aggregate(_words, 0L, (s, w) -> s + length(w))").alias("word_chars"),
+            F.regexp_count(text, F.lit(_SYMBOLS)).cast("long").alias("n_symbols"),
+            (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"),
+        ],
+    )
+
+
+def _judged(df: DataFrame, keep: list[str]) -> DataFrame:
+    """keep, with n_repeat_words and base_failed, from _hashes.
 
     A word of a 3-word window that occurs twice in the text counts once.  Windows
-    and words are told apart by 64-bit hashes; the windows' positions are found by membership when
-    few windows repeat, and by sorting (hash, position) otherwise.
+    and words are told apart by 64-bit hashes; the windows' positions are found by
+    membership when few windows repeat, and by sorting (hash, position) otherwise.
     """
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    df = _with_hashes(docs, text)
-    df = df.withColumn("_grams", F.expr("if(size(_hashes) < 3, cast(array() as array<bigint>), transform(slice(_hashes, 1, size(_hashes) - 2), (h, i) -> xxhash64(h, _hashes[i + 1], _hashes[i + 2])))"))
-    df = df.withColumn("_sorted", F.expr("if(size(array_distinct(_grams)) = size(_grams), cast(array() as array<bigint>), sort_array(_grams))"))
-    df = df.withColumn("_twice", F.expr("array_distinct(array_compact(zip_with(_sorted, slice(_sorted, 2, greatest(size(_sorted), 1)), (a, b) -> if(a = b, a, null))))"))
-    df = df.withColumn(
-        "_places",
-        F.expr(f"if(size(_twice) <= {_FEW}, cast(array() as array<struct<h: bigint, p: int>>), sort_array(transform(_grams, (h, p) -> struct(h, p))))"),
-    )
-    df = df.withColumn(
-        "_at",
-        F.expr(
-            f"""case when size(_twice) = 0 then cast(array() as array<int>)
-            when size(_twice) <= {_FEW} then array_compact(transform(_grams, (h, p) -> if(array_contains(_twice, h), p, null)))
-            else sort_array(array_distinct(flatten(zip_with(_places, slice(_places, 2, size(_places)),
-                 (a, b) -> if(a.h = b.h, array(a.p, b.p), cast(array() as array<int>)))))) end"""
-        ),
+    none = "cast(array() as array<bigint>)"
+    df = df.select(*keep, F.expr(f"if(size(_hashes) < 3, {none}, transform(slice(_hashes, 1, size(_hashes) - 2), (h, i) -> xxhash64(h, _hashes[i + 1], _hashes[i + 2])))").alias("_grams"))
+    df = df.select(*keep, F.expr(f"if(size(array_distinct(_grams)) = size(_grams), {none}, _grams)").alias("_grams"))
+    df = df.withColumn("_sorted", F.sort_array("_grams"))
+    df = df.withColumn("_twice", F.expr("array_distinct(array_compact(zip_with(_sorted, slice(_sorted, 2, greatest(size(_sorted), 1)), (a, b) -> if(a = b, a, null))))")).drop("_sorted")
+    df = df.withColumn("_places", F.expr(f"if(size(_twice) <= {_FEW}, cast(array() as array<struct<h: bigint, p: int>>), sort_array(transform(_grams, (h, p) -> struct(h, p))))"))
+    at = F.expr(
+        f"""case when size(_twice) = 0 then cast(array() as array<int>)
+        when size(_twice) <= {_FEW} then array_compact(transform(_grams, (h, p) -> if(array_contains(_twice, h), p, null)))
+        else sort_array(array_distinct(flatten(zip_with(_places, slice(_places, 2, size(_places)),
+             (a, b) -> if(a.h = b.h, array(a.p, b.p), cast(array() as array<int>)))))) end"""
     )
-    df = df.withColumn("_lines", F.filter(F.split(text, "\n"), lambda x: x.rlike("[^ \t-\r]")))
-    df = df.select(
-        *docs.columns,
-        "_hashes",
-        "_pairs",
-        F.size("_words").cast("long").alias("n_words"),
-        F.expr("aggregate(_words, 0L, (s, w) -> s + length(w))").alias("word_chars"),
-        F.regexp_count(text, F.lit(_SYMBOLS)).cast("long").alias("n_symbols"),
-        (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"),
-        F.expr("aggregate(zip_with(_at, slice(_at, 2, greatest(size(_at), 1)), (a, b) -> least(3, coalesce(b - a, 3))), 0L, (s, x) -> s + x)").alias("n_repeat_words"),
-    )
-    return df.withColumn("base_failed", F.expr(f"n_words < {MIN_WORDS} or 100 * n_repeat_words > {MAX_REPEAT_PERCENT} * n_words"))
+    df = df.select(*keep, at.alias("_at"))
+    covered = F.expr("aggregate(zip_with(_at, slice(_at, 2, greatest(size(_at), 1)), (a, b) -> least(3, coalesce(b - a, 3))), 0L, (s, x) -> s + x)")
+    return df.select(*keep, covered.alias("n_repeat_words")).withColumn("base_failed", F.expr(f"n_words < {MIN_WORDS} or 100 * n_repeat_words > {MAX_REPEAT_PERCENT} * n_words"))
+
+
+def _kept_columns(df: DataFrame) -> list[str]:
+    return [c for c in df.columns if c not in ("_hashes", "_pairs")]
+
+
+def with_rules(docs: DataFrame, text_col: str = "text") -> DataFrame:
+    """docs with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed."""
+    df = _counted(docs, text_col)
+    return _judged(df, _kept_columns(df))
 
 
 def log_ratios(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -91,8 +102,8 @@ def log_ratios(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, id_co
     if trusted.count() <= BROADCAST_IDS:
         trusted = F.broadcast(trusted)
     rows = docs.select(F.col(id_col).alias("_doc"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("_text"))
-    rows = _with_hashes(rows.join(trusted, F.col("_doc") == F.col("_id"), "left"), F.col("_text"))
-    grams = rows.select(F.when(F.col("_id").isNull(), 0).otherwise(1).alias("t"), F.explode(F.concat("_hashes", "_pairs")).alias("h")).select("t", F.expr(f"pmod(h, {buckets})").cast("int").alias("bucket"))
+    rows = rows.join(trusted, F.col("_doc") == F.col("_id"), "left").select(F.when(F.col("_id").isNull(), 0).otherwise(1).alias("t"), _words(F.col("_text")).alias("_words"))
+    grams = _hashed(rows, ["t"]).select("t", F.explode(F.concat("_hashes", "_pairs")).alias("h")).select("t", F.expr(f"pmod(h, {buckets})").cast("int").alias("bucket"))
     counts = stage(grams.groupBy("bucket").agg(F.count("*").alias("raw"), F.sum("t").alias("trusted")), "buckets")
     total = counts.agg(F.sum("raw").alias("raw"), F.sum("trusted").alias("trusted"))
     both = counts.select("bucket", "raw", "trusted", total.select("raw").scalar().alias("raws"), total.select("trusted").scalar().alias("trusteds"))
@@ -105,10 +116,10 @@ def score(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buck
     ratios = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("bucket")).join(log_ratios(docs, labels, buckets, id_col, text_col), "bucket", "left")
     pairs = F.array_sort(F.collect_list(F.struct("bucket", F.coalesce("ratio", F.lit(0.0)).alias("ratio"))))
     table = stage(ratios.agg(F.transform(pairs, lambda x: x.ratio).alias("ratios")), "ratios")
-    df = with_rules(docs, text_col).withColumn("_ratios", table.scalar())
-    sums = " + ".join(f"aggregate({c}, 0D, (s, h) -> s + _ratios[cast(pmod(h, {buckets}) as int)])" for c in ("_hashes", "_pairs"))
-    llr = F.expr(f"({sums}) / nullif(size(_hashes) + size(_pairs), 0)")
-    df = df.withColumn("llr", llr).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= threshold))
+    df = _counted(docs, text_col).withColumn("_ratios", table.scalar())
+    total = F.expr(f"aggregate(concat(_hashes, _pairs), 0D, (s, h) -> s + _ratios[cast(pmod(h, {buckets}) as int)])")
+    df = df.withColumn("llr", F.when(F.size("_hashes") > 0, total / (F.size("_hashes") + F.size("_pairs")))).drop("_pairs", "_ratios")
+    df = _judged(df, _kept_columns(df)).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= threshold))
     # made by a generator of one row, so that a filter on them is not pushed into the expressions below, where it would multiply
-    made = [c for c in df.columns if c not in docs.columns and not c.startswith("_")]
+    made = [c for c in df.columns if c not in docs.columns]
     return df.select(*docs.columns, F.inline_outer(F.array(F.struct(*made))))
