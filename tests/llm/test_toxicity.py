@@ -61,3 +61,21 @@ def test_without_labels(spark, documents):
 
 def test_fit_with_one_class():
     assert fit([b"a", b"b"], np.array([0, 0])).scores([b"a"])[0] < 0.5
+
+
+def test_kindred_units_are_pooled():
+    """No one word tells, and clean texts hold such words now and then; their share tells, in any script."""
+    rng = random.Random(6)
+    ends = ["".join(rng.choice("abdeiklmnorstu") for _ in range(rng.randint(2, 7))) for _ in range(300)]
+
+    def text(kind):
+        n = rng.randint(60, 200)
+        words = [rng.choice(ends) for _ in range(n)]
+        for k in range(max(2, n // 25) if kind else rng.random() < 0.3):
+            words[k * 7] = kind + rng.choice(ends) if kind else rng.choice(["achl", "réê"]) + rng.choice(ends)
+        return " ".join(words).encode()
+
+    make = lambda n: ([text(["achl", "réê", "", "", "", ""][i % 6]) for i in range(n)], np.array([int(i % 6 < 2) for i in range(n)]))
+    (train, y), (held, want) = make(900), make(300)
+    got = fit(train, y).scores(held) >= 0.5
+    assert (got == want).mean() > 0.95 and got[want == 1].mean() > 0.9
