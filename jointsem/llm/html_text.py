@@ -7,9 +7,10 @@ menu, header, footer, sidebar, notice, advert, form, script, style or reader
 comments go without counting.  If a page has an <article> or <main>, its text is
 what is left of these; otherwise it is what is left of the body.
 
-Elements inside an article are never deleted for being repeated, so pages of
-one host that carry the same article keep it; outside, an element with over half
-of a page's text is kept as well.
+Inside an article, block elements are counted over the host's distinct articles, so
+pages that carry the same article count once, and one is template from a share of
+`within` of them.  An article that would lose over half of its text so keeps it
+all; outside, an element with over half of a page's text is kept as well.
 
 An element is template if at least `share` of the host's pages, and at least
 `least` of them, hold it.  So a host has a bounded number of template hashes,
@@ -36,6 +37,7 @@ from jointsem.llm.text import slices
 
 SHARE = 0.05
 LEAST = 4
+WITHIN = 0.5
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*+[^>]*)>", re.S)
 _ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 # Element names of HTML, by what becomes of them.
@@ -62,6 +64,7 @@ class Element:
     letters: int = 0
     gone: bool = False
     inside: bool = False
+    within: bool = False
 
 
 class Page:
@@ -121,7 +124,7 @@ class Page:
             if tag in _VOID or m[3].endswith("/") and tag in _RAW:
                 continue
             named = tag in _GONE or any(_BOILER.search(next(v for v in a[1:] if v is not None)) for a in (x.groups() for x in _ATTRIBUTE.finditer(m[3]) if any(x.groups()[1:])))
-            e = Element(tag, len(self.pieces), gone=named and tag not in ("html", "body", "article", "main"), inside=inside > 0)
+            e = Element(tag, len(self.pieces), gone=named and tag not in ("html", "body", "article", "main"), inside=inside > 0, within=inside > 0)
             self.elements.append(e)
             stack.append(e)
             held.append([])
@@ -153,16 +156,33 @@ class Page:
         """Hashes of the elements that may be template."""
         return {e.hash for e in self.elements if not e.inside and not e.gone and e.letters and 2 * e.letters <= self.letters and e.tag not in ("html", "body", "article", "main")}
 
+    def mains(self) -> list[Element]:
+        """The outermost articles."""
+        return [e for e in self.elements if e.tag in ("article", "main") and not e.inside and not self._under(e)]
+
+    def article_candidates(self) -> tuple[int, list[Element]]:
+        """A hash of the articles, and the blocks inside them that may be template."""
+        mains = self.mains()
+        most = max((e.letters for e in mains), default=0)
+        return hash(tuple(e.hash for e in mains)), [e for e in self.elements if e.within and not e.gone and e.letters and 2 * e.letters <= most and e.tag not in _INLINE and e.tag not in ("article", "main") and any(m.start <= e.start and e.stop <= m.stop for m in mains)]
+
     def text(self, template: frozenset[int] = frozenset()) -> str:
         """The text that is left; white space of a block becomes one space, and blocks are joined by one."""
         open_ = [False] * (len(self.pieces) + 1)
-        mains = [e for e in self.elements if e.tag in ("article", "main") and not e.inside and not self._under(e)]
+        mains = self.mains()
         for e in mains or [Element("", 0, len(self.pieces))]:
             open_[e.start : e.stop] = [True] * (e.stop - e.start)
         able = self.candidates() if template else set()
         for e in self.elements:
             if e.gone or e.hash in template and e.hash in able and not e.inside and e.tag not in ("html", "body", "article", "main"):
                 open_[e.start : e.stop] = [False] * (e.stop - e.start)
+        if template and mains:
+            size = lambda: sum(len(p) for p, o in zip(self.pieces, open_, strict=False) if o and p is not None)
+            kept, whole = open_.copy(), size()
+            for e in self.article_candidates()[1]:
+                if ~e.hash in template:
+                    open_[e.start : e.stop] = [False] * (e.stop - e.start)
+            open_ = open_ if 2 * size() >= whole else kept
         return " ".join("".join(" " if p is None else p for p, o in zip(self.pieces, open_, strict=False) if o or p is None).split())
 
     def _under(self, e: Element) -> bool:
@@ -174,21 +194,26 @@ def host(url: str = "url") -> Column:
     return F.lower(F.regexp_extract(F.coalesce(F.col(url).cast("string"), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
 
 
-def templates(pages: DataFrame, url_col: str = "url", text_col: str = "html", share: float = SHARE, least: int = LEAST) -> DataFrame:
-    """(host, hashes): the template of every host that has one."""
+def templates(pages: DataFrame, url_col: str = "url", text_col: str = "html", share: float = SHARE, least: int = LEAST, within: float = WITHIN) -> DataFrame:
+    """(host, hashes): the template of every host that has one; what is one inside articles only has its bits turned."""
     rows = pages.select(host(url_col).alias("host"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches):
-            seen: dict[tuple[str, int], int] = {}
+            seen: dict[tuple[str, int, int], int] = {}
             for h, t in zip(batch.column(0).to_pylist(), texts, strict=True):
-                for k in (0, *Page(t.decode(errors="replace")).candidates()):
-                    seen[h, k] = seen.get((h, k), 0) + 1
-            yield pa.RecordBatch.from_arrays([pa.array([h for h, _ in seen]), pa.array([k for _, k in seen], pa.int64()), pa.array(list(seen.values()), pa.int64())], names=["host", "hash", "pages"])
-
-    counts = stage(rows.mapInArrow(run, "host string, hash long, pages long").groupBy("host", "hash").agg(F.sum("pages").alias("pages")).where((F.col("hash") == 0) | (F.col("pages") >= least)), "elements")
-    whole = counts.where("hash = 0").select("host", F.col("pages").alias("all"))
-    chosen = counts.where("hash <> 0").join(whole, "host").where(F.col("pages") >= F.col("all") * share)
+                page = Page(t.decode(errors="replace"))
+                article, parts = page.article_candidates()
+                for k in (0, *page.candidates()):
+                    seen[h, k, 0] = seen.get((h, k, 0), 0) + 1
+                for k in {-1, *(~e.hash for e in parts)} if page.mains() else ():
+                    seen[h, k, article] = 1
+            yield pa.RecordBatch.from_arrays([pa.array([h for h, _, _ in seen]), pa.array([k for _, k, _ in seen], pa.int64()), pa.array([a for _, _, a in seen], pa.int64()), pa.array(list(seen.values()), pa.int64())], names=["host", "hash", "article", "pages"])
+
+    each = rows.mapInArrow(run, "host string, hash long, article long, pages long").groupBy("host", "hash", "article").agg(F.sum("pages").alias("pages"))
+    counts = stage(each.groupBy("host", "hash").agg(F.sum(F.when(F.col("hash") < 0, 1).otherwise(F.col("pages"))).alias("pages")).where(F.col("hash").isin(0, -1) | (F.col("pages") >= least)), "elements")
+    whole = counts.where("hash in (0, -1)").select("host", F.col("pages").alias("all"), (F.col("hash") < 0).alias("inner"))
+    chosen = counts.where("hash not in (0, -1)").withColumn("inner", F.col("hash") < 0).join(whole, ["host", "inner"]).where(F.col("pages") >= F.col("all") * F.when(F.col("inner"), within).otherwise(share))
     return chosen.groupBy("host").agg(F.collect_list("hash").alias("hashes"))
 
 

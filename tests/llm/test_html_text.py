@@ -43,6 +43,18 @@ def test_articles_of_copies_stay(spark):
     assert {r.text for r in main_texts(pages).collect()} == {"Same copy"}
 
 
+def test_repeated_blocks_inside_articles_go(spark):
+    """Unlisted boxes that most of a host's articles hold; a copied article counts once, and no article loses most of its text."""
+    box = "<div class=x7>Read our magazine today</div>"
+    rows = [(i, f"http://d.example/{i}", f"<article><p>Story {i} goes on for quite a while, and so do all the others.</p>{box if i < 12 else ''}<p>The end of {i}.</p></article>") for i in range(16)]
+    rows += [(100 + i, "http://e.example/", "<article><p>Copied text of some length.</p><p>Its end.</p></article>") for i in range(20)]
+    rows += [(200 + i, "http://f.example/", f"<article><p>One line here of most.</p><p>Two lines here of most.</p><p>{i}</p></article>") for i in range(20)]
+    of = {r.page_id: r.text for r in main_texts(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(of[i] == f"Story {i} goes on for quite a while, and so do all the others. The end of {i}." for i in range(16))
+    assert {of[100 + i] for i in range(20)} == {"Copied text of some length. Its end."}
+    assert all(of[200 + i] == f"One line here of most. Two lines here of most. {i}" for i in range(20))
+
+
 def text(source):
     return Page(source).text()
 
