@@ -436,9 +436,10 @@ def order_min_violation(spark, sf):
     return _precedence(spark, sf).withColumn("g", F.lit(0)).groupBy("g").applyInPandas(work, "violation double")
 
 
-def _scored(spark, sf, name: str, mode: str, size: int = 2000) -> DataFrame:
+def _scored(spark, sf, name: str, mode: str, size: int | None = 2000) -> DataFrame:
+    """Scores of a sample, or of all records without a size."""
     w = workload(spark, sf, name)
-    records = evaluation_sample(w.records, size)
+    records = evaluation_sample(w.records, size) if size else w.records
     return tasks.score(records, "id", ["text"], w.instruction, w.k, simulated_pool(w.labels), params=SURE.but(score_assign=mode), hidden="truth").predictions.select("id", "pred")
 
 
@@ -454,12 +455,12 @@ def score_events(spark, sf):
 
 @query()
 def score_matching(spark, sf):
-    return _scored(spark, sf, "S4", "matching", 1000)
+    return _scored(spark, sf, "S4", "matching", None)
 
 
 @query()
 def score_independent(spark, sf):
-    return _scored(spark, sf, "S4", "independent", 1000)
+    return _scored(spark, sf, "S4", "independent", None)
 
 
 # ---- row-wise methods with the lexical model
@@ -700,9 +701,9 @@ def join_equal_texts(spark, sf):
 @query()
 def contextual_summaries(spark, sf):
     w = workload(spark, sf, "W4")
-    sample = stage(evaluation_sample(w.records, 400).withColumnRenamed("truth", "hidden"), "records")
-    found = tasks.classify(sample, "id", ["text"], w.instruction, w.labels, simulated_pool(w.labels), hidden="hidden")
-    return tasks.contextual_map(found.predictions, sample, "Describe it.", simulated_pool(w.labels))
+    records = stage(w.records.withColumnRenamed("truth", "hidden"), "records")
+    found = tasks.classify(records, "id", ["text"], w.instruction, w.labels, simulated_pool(w.labels), hidden="hidden")
+    return tasks.contextual_map(found.predictions, records, "Describe it.", simulated_pool(w.labels))
 
 
 # ---- clustering baselines
@@ -713,9 +714,10 @@ def kmeans_embeddings(spark, sf):
     return baselines.kmeans(vectors, 10).predictions.select("id", "pred")
 
 
-def _clustered(spark, sf, how: Callable, name: str = "W4") -> DataFrame:
+def _clustered(spark, sf, how: Callable, name: str = "W4", size: int | None = None) -> DataFrame:
+    """Clusters of all records, or of a sample of a size."""
     w = workload(spark, sf, name)
-    records = evaluation_sample(w.records, 2000).withColumnRenamed("truth", "hidden")
+    records = (evaluation_sample(w.records, size) if size else w.records).withColumnRenamed("truth", "hidden")
     return how(stage(records, "records"), w).predictions.select("id", "pred")
 
 
@@ -731,7 +733,7 @@ def keyphrase_kmeans(spark, sf):
 
 @query("SELECT p_partkey AS id, split_part(p_name, ' ', 2) AS pred FROM part ORDER BY " + u("'evaluation'", "p_partkey") + ", p_partkey LIMIT 2000")
 def label_then_assign(spark, sf):
-    return _clustered(spark, sf, lambda r, w: baselines.label_then_assign(r, w.instruction, w.k, simulated_pool(w.labels)))
+    return _clustered(spark, sf, lambda r, w: baselines.label_then_assign(r, w.instruction, w.k, simulated_pool(w.labels)), size=2000)
 
 
 @query()
@@ -741,7 +743,7 @@ def semantic_group_by(spark, sf):
 
 @query()
 def direct_cluster(spark, sf):
-    return _clustered(spark, sf, lambda r, w: baselines.direct_cluster(r, w.instruction, simulated_pool(w.labels, Profile(clusters=0.1, long=0.2)), 200))
+    return _clustered(spark, sf, lambda r, w: baselines.direct_cluster(r, w.instruction, simulated_pool(w.labels, Profile(clusters=0.1, long=0.2)), 200), size=2000)
 
 
 @query(f"{_SIM} SELECT id, CASE WHEN confidence >= 0.75 THEN pred ELSE truth END AS pred FROM p")
