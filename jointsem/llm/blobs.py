@@ -12,9 +12,11 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from jointsem.llm.store import partitions
+
 
 def schema(columns: dict[str, type]) -> str:
     return ", ".join(["part int", *(f"{c} binary" for c in columns)])
@@ -40,6 +42,11 @@ def part_of(key: np.ndarray, parts: int) -> np.ndarray:
     return ((key >> np.uint64(32)) % np.uint64(parts)).astype(np.int32)
 
 
+def parts_for(spark: SparkSession, size: int, per: int) -> int:
+    """Enough parts for `size` bytes at `per` bytes each, and no fewer than the shuffle has partitions; so what a task holds does not grow with the input."""
+    return max(partitions(spark), -(-int(size) // per))
+
+
 def reduce_parts(df: DataFrame, parts: int, columns: dict[str, type], work: Callable[[dict[str, np.ndarray]], Iterator[pa.RecordBatch]], out: str) -> DataFrame:
     """Apply work to all rows of each part; part p is partition p of the shuffle."""
 

@@ -6,23 +6,26 @@ A count is read by probing for 1, 2, ... until a probe misses; a probe of an
 absent n-gram hits with a small probability, and rarely twice.  Probabilities
 interpolate bigram and unigram estimates from these counts.
 
-n-grams are counted over all training texts, with partial sums on the map side.
-The filter consists of segments chosen by n-gram hash.  A segment is built by
-the task that counts its n-grams and sized for what it holds; the filter as a
-whole is bounded by MAX_BYTES, beyond which a segment leaves out the n-grams of
-the lowest counts first.  That bound is what makes it safe to broadcast.
+The filter grows with the corpus, so no worker could hold it as one.  It consists
+of segments chosen by n-gram hash, and it is the probes that travel: texts are
+packed into blocks, each block sends the distinct n-grams of its texts, with how
+often its training texts hold them, to the segments' tasks.  A segment's task
+sums these counts, builds the segment, probes it for every n-gram it was sent and
+answers each block with the levels found.  Nothing is left out, whatever the size:
+more text makes more segments, and a task holds one segment and its probes.
 
-The base score needs exact counts.  Those of the most frequent tokens, at most
-TABLE of them, are broadcast as a sorted table; the other tokens of each text
-are looked up by a join.
+The base score needs exact counts; the same answers carry those of the tokens.
 
 Tokens are told apart by 64-bit hashes.  Nulls: a null text is empty, so its one
 token is the end; a null id has no remainder and trains.  Without training
-tokens the scores are null.
+tokens the scores are null.  Repeated rows train and are returned as often as they
+occur.  Only the id and the columns named in score() are returned, so other
+columns of docs cannot clash.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -32,22 +35,21 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
-from jointsem.llm.store import partitions, stage
-from jointsem.llm.text import Words, mix, slices, space_table, starts_of_runs
+from jointsem.llm.store import stage
+from jointsem.llm.text import Words, mix, slices, space_table
 
 BASE = 1.5
 PROBES = 6
 BITS = 10
-MAX_BYTES = 64 << 20
-TABLE = 1 << 20
 WEIGHT = 0.4
 TRUST = 5
 MAX_LEVEL = 64
-CHUNK = 1 << 21
+#: Text of a block, and what the probes of a segment's task take, in bytes.
+BLOCK_BYTES = 4 << 20
+PART_BYTES = 64 << 20
 _END = np.uint64(0x2545F4914F6CDD1D)
 _ORDER = np.uint64(0x9E6C63D0876A9A47)
-#: Hashes that a chunk holds once go without their count.
-_COUNTS = {"once": np.uint64, "h": np.uint64, "n": np.int64}
+_ASKED = {"t": np.uint64, "tn": np.int32, "p": np.uint64, "pn": np.int32}
 
 
 def tokens(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -80,28 +82,24 @@ def typical(q: np.ndarray) -> np.ndarray:
 
 
 class Filter:
-    """Segments of bits, one after another; sizes are powers of two."""
+    """One segment: a table of bits whose number is a power of two."""
 
-    def __init__(self, segments: list[bytes]):
-        self.bits = np.frombuffer(b"".join(segments), np.uint8)
-        self.size = np.array([8 * len(s) for s in segments], np.uint64)
-        self.start = np.append(0, np.cumsum(self.size)[:-1]).astype(np.uint64)
+    def __init__(self, bits: np.ndarray):
+        self.bits, self.mask = bits, np.uint64(8 * len(bits) - 1)
 
     def levels(self, h: np.ndarray) -> np.ndarray:
         """The level of every n-gram: how many probes in a row hit."""
-        out = np.zeros(len(h), np.int64)
+        out = np.zeros(len(h), np.uint8)
         at = np.arange(len(h))
-        seg = blobs.part_of(h, len(self.size))
-        start, mask = self.start[seg], self.size[seg] - np.uint64(1)
         for q in range(1, MAX_LEVEL + 1):
-            step = mix(h + _turn(q))
-            hit = np.arange(len(h))
+            step = mix(h[at] + _turn(q))
+            hit = np.arange(len(at))
             for k in range(PROBES):
-                bit = start[hit] + (_probe(step[hit], k) & mask[hit])
+                bit = _probe(step[hit], k) & self.mask
                 hit = hit[self.bits[(bit >> np.uint64(3)).astype(np.int64)] >> (bit & np.uint64(7)).astype(np.uint8) & 1 > 0]
-                if not len(hit):
-                    return out
-            at, h, start, mask = at[hit], h[hit], start[hit], mask[hit]
+            if not len(hit):
+                break
+            at = at[hit]
             out[at] = q
         return out
 
@@ -114,24 +112,16 @@ def _probe(step: np.ndarray, k: int) -> np.ndarray:
     return step + np.uint64(k) * ((step >> np.uint64(31)) | np.uint64(1))
 
 
-def segment(h: np.ndarray, count: np.ndarray, limit: int) -> bytes:
-    """The filter segment of n-grams: BITS bits per event, but at most limit bytes, rarest n-grams left out first."""
+def segment(h: np.ndarray, count: np.ndarray) -> Filter:
+    """The filter segment of n-grams with counts: BITS bits per event or up to twice as many."""
     q = level(count)
-    need = lambda m: int(q[m].sum()) * BITS
-    keep = np.ones(len(h), bool)
-    for low in range(1, MAX_LEVEL + 1):
-        if need(keep) <= 8 * limit:
-            break
-        keep = q > low
-    h, q = h[keep], q[keep]
-    bits = min(8 * limit, 1 << max(6, (need(slice(None)) - 1).bit_length()))
-    bits = 1 << (bits.bit_length() - 1)
+    bits = 1 << max(6, (int(q.sum()) * BITS - 1).bit_length())
     table = np.zeros(bits, bool)
     for n in range(1, int(q.max(initial=0)) + 1):
         step = mix(h[q >= n] + _turn(n))
         for k in range(PROBES):
             table[(_probe(step, k) & np.uint64(bits - 1)).astype(np.int64)] = True
-    return np.packbits(table, bitorder="little").tobytes()
+    return Filter(np.packbits(table, bitorder="little"))
 
 
 def trains(id_col: str) -> Column:
@@ -139,162 +129,146 @@ def trains(id_col: str) -> Column:
     return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 5 != 1, F.lit(True))
 
 
-def _packed(h: np.ndarray, n: np.ndarray, parts: int) -> Iterator[pa.RecordBatch]:
-    none = np.zeros(0, np.uint64)
-    for once in (True, False):
-        m = n == 1 if once else n > 1
-        if m.any():
-            part = blobs.part_of(h[m], parts)
-            made = blobs.pack(part, {"once": h[m]} if once else {"h": h[m], "n": n[m].astype(np.int64)})
-            empty = pa.array([none.tobytes()] * made.num_rows, pa.binary())
-            yield pa.RecordBatch.from_arrays([made.column(0), *(made.column(made.schema.get_field_index(c)) if c in made.schema.names else empty for c in _COUNTS)], names=["part", *_COUNTS])
+def blocks(docs: DataFrame, id_col: str, text_col: str, limit: int = BLOCK_BYTES) -> DataFrame:
+    """docs packed into rows of about `limit` bytes of text: (block, n_bytes, ids, held, texts).
 
+    A block's name is drawn at random and kept, for the table is written before it is read.
+    """
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), (~trains(id_col)).alias("held"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
 
-def _sum(x: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    h = np.concatenate([x["once"], x["h"]])
-    n = np.concatenate([np.ones(len(x["once"]), np.int64), x["n"]])
-    order = np.argsort(h)
-    h, n = h[order], n[order]
-    head = np.flatnonzero(starts_of_runs(h)) if len(h) else np.zeros(0, np.int64)
-    return h[head], np.add.reduceat(n, head) if len(head) else n
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, texts in slices(batches, limit=limit):
+            whole = pa.array([0, part.num_rows], pa.int32())
+            lists = [pa.ListArray.from_arrays(whole, part.column(k).cast(kind)) for k, kind in enumerate((pa.int64(), pa.bool_(), pa.binary()))]
+            yield pa.RecordBatch.from_arrays([pa.array([uuid.uuid4().hex]), pa.array([sum(map(len, texts))], pa.int64()), *lists], names=["block", "n_bytes", "ids", "held", "texts"])
+
+    return stage(rows.mapInArrow(run, "block string, n_bytes long, ids array<long>, held array<boolean>, texts array<binary>"), "blocks")
+
+
+class _Grams:
+    """Tokens and pairs of a block: occurrences, and the distinct ones in the order in which they are asked for."""
 
+    def __init__(self, texts: list[bytes], parts: int):
+        self.codes, self.first = tokens(texts)
+        self.token, self.of_token, self.token_part = self._distinct(self.codes, parts)
+        self.pair, self.of_pair, self.pair_part = self._distinct(bigrams(self.codes, self.first), parts)
 
-def _counted(texts: DataFrame, parts: int, pairs: bool) -> DataFrame:
-    """Blobs of the counts of the texts' tokens or token pairs, summed per chunk."""
+    @staticmethod
+    def _distinct(codes: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct codes by part, the place of each occurrence among them, and their parts."""
+        known, of = np.unique(codes, return_inverse=True)
+        part = blobs.part_of(known, parts)
+        order = np.argsort(part, kind="stable")
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        return known[order], place[of.ravel()], part[order]
+
+
+def _asked(table: DataFrame, parts: int) -> DataFrame:
+    """Each block's n-grams with their training counts, one row for each segment asked."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
-        size = 0
-        for _, part in slices(batches):
-            codes, first = tokens(part)
-            held.append(bigrams(codes, first) if pairs else codes)
-            size += len(codes)
-            if size >= CHUNK:
-                yield from _packed(*np.unique(np.concatenate(held), return_counts=True), parts)
-                held, size = [], 0
-        if size:
-            yield from _packed(*np.unique(np.concatenate(held), return_counts=True), parts)
-
-    return texts.mapInArrow(run, blobs.schema(_COUNTS))
-
-
-def build_filter(texts: DataFrame, counts: DataFrame, segments: int, max_bytes: int = MAX_BYTES) -> Filter:
-    """The filter of all token pairs of texts (text), and of their tokens with counts (h, n)."""
-    limit = max(64, max_bytes // segments)
-
-    def again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield from _packed(batch.column(0).to_numpy().view(np.uint64), batch.column(1).to_numpy(), segments)
+            for block, held, texts in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                g = _Grams(texts, parts)
+                learns = np.repeat(~np.array(held, bool), np.diff(g.first))
+                columns = {}
+                for name, key, of in (("t", g.token, g.of_token), ("p", g.pair, g.of_pair)):
+                    columns[name], columns[f"{name}n"] = key, np.bincount(of[learns], minlength=len(key)).astype(np.int32)
+                wanted = np.union1d(g.token_part, g.pair_part)
+                cut = {"t": np.searchsorted(g.token_part, [wanted, wanted + 1]), "p": np.searchsorted(g.pair_part, [wanted, wanted + 1])}
+                data = [pa.array([columns[c][x:y].tobytes() for x, y in zip(*cut[c[0]], strict=True)], pa.binary()) for c in _ASKED]
+                yield pa.RecordBatch.from_arrays([pa.array(wanted.astype(np.int32)), pa.array([block] * len(wanted)), *data], names=["part", "block", *_ASKED])
 
-    def work(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
-        h, n = _sum(x)
-        yield pa.RecordBatch.from_arrays([pa.array(blobs.part_of(h[:1], segments)), pa.array([segment(h, n, limit)], pa.binary())], names=["number", "bits"])
+    return table.select("block", "held", "texts").mapInArrow(run, "part int, block string, " + ", ".join(f"{c} binary" for c in _ASKED))
 
-    counted = _counted(texts, segments, True).unionByName(counts.select("h", "n").mapInArrow(again, blobs.schema(_COUNTS)))
-    made = {r.number: bytes(r.bits) for r in blobs.reduce_parts(counted, segments, _COUNTS, work, "number int, bits binary").collect()}
-    return Filter([made.get(i, bytes(8)) for i in range(segments)])
 
+def _answers(asked: DataFrame, parts: int) -> DataFrame:
+    """For each block and segment the tokens' exact counts and levels and the pairs' levels; a row without a block has the segment's training tokens, all and distinct."""
 
-@dataclass
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, names, held = [], [], {c: [] for c in _ASKED}
+        for batch in batches:
+            part += batch.column(0).to_pylist()
+            names += batch.column(1).to_pylist()
+            for k, c in enumerate(_ASKED):
+                held[c] += batch.column(2 + k).to_pylist()
+        if not names:
+            return
+        sizes = {c: np.array([len(x) // 8 for x in held[c]], np.int64) for c in ("t", "p")}
+        flat = {c: np.frombuffer(b"".join(held.pop(c)), kind) for c, kind in _ASKED.items()}
+        keys, counts, place = {}, {}, {}
+        for c in ("t", "p"):
+            keys[c], at = np.unique(flat[c], return_inverse=True)
+            place[c] = at.ravel()
+            counts[c] = np.bincount(place[c], flat[f"{c}n"], len(keys[c])).astype(np.int64)
+        both, all_counts = np.concatenate([keys["t"], keys["p"]]), np.concatenate([counts["t"], counts["p"]])
+        levels = segment(both[all_counts > 0], all_counts[all_counts > 0]).levels(both)
+        found = {"tc": counts["t"][place["t"]], "tl": levels[: len(keys["t"])][place["t"]], "pl": levels[len(keys["t"]) :][place["p"]]}
+        stop = {c: np.append(0, np.cumsum(n)) for c, n in sizes.items()}
+        data = [pa.array([values[x:y].tobytes() for x, y in zip(stop[c[0]][:-1], stop[c[0]][1:], strict=True)], pa.binary()) for c, values in found.items()]
+        none = pa.array([0] * len(names), pa.int64())
+        yield pa.RecordBatch.from_arrays([pa.array(names), pa.array(part, pa.int32()), *data, none, none], names=["block", "part", *found, "n", "v"])
+        blank = pa.array([b""], pa.binary())
+        yield pa.RecordBatch.from_arrays([pa.array([None], pa.string()), pa.array(part[:1], pa.int32()), blank, blank, blank, pa.array([int(counts["t"].sum())]), pa.array([int((counts["t"] > 0).sum())])], names=["block", "part", *found, "n", "v"])
+
+    return asked.repartitionById(parts, F.col("part")).mapInArrow(run, "block string, part int, tc binary, tl binary, pl binary, n long, v long")
+
+
+@dataclass(frozen=True)
 class Model:
-    filter: Filter
-    hashes: np.ndarray
-    counts: np.ndarray
-    complete: bool
+    """What every block needs besides its answers: training tokens, all and distinct."""
+
     total: int
     distinct: int
 
-    def known(self, codes: np.ndarray) -> np.ndarray:
-        """Counts from the table; 0 for tokens that it lacks."""
-        if not len(self.hashes):
-            return np.zeros(len(codes), np.int64)
-        at = np.minimum(np.searchsorted(self.hashes, codes), len(self.hashes) - 1)
-        return np.where(self.hashes[at] == codes, self.counts[at], 0)
-
     def base(self, count: np.ndarray) -> np.ndarray:
         return np.log10((count + 0.5) / (self.total + 0.5 * (self.distinct + 1)))
 
-    def log_probabilities(self, codes: np.ndarray, first: np.ndarray) -> np.ndarray:
-        """log10 of a mixture of the bigram share and the unigram estimate; the share weighs WEIGHT, and less after a token of few counts."""
-        unique, number = np.unique(codes, return_inverse=True)
-        single = typical(self.filter.levels(unique))[number.ravel()]
-        before = np.empty(len(codes))
+    def log_probabilities(self, single: np.ndarray, pair: np.ndarray, first: np.ndarray, end: float) -> np.ndarray:
+        """log10 of a mixture of the bigram share and the unigram estimate; the share weighs WEIGHT, and less after a token of few counts.
+
+        single and pair are the counts that the levels of each token, and of it with the one before, stand for; end is that of the end.
+        """
+        before = np.empty(len(single))
         before[1:] = single[:-1]
-        before[first[:-1]] = typical(self.filter.levels(np.array([_END])))[0]
+        before[first[:-1]] = end
         unigram = (single + 0.5) / (self.total + 0.5 * (self.distinct + 1))
-        pair = np.minimum(typical(self.filter.levels(bigrams(codes, first))), np.minimum(before, single))
-        share = np.where(before > 0, pair / np.maximum(before, 1), 0)
+        share = np.where(before > 0, np.minimum(pair, np.minimum(before, single)) / np.maximum(before, 1), 0)
         weight = WEIGHT * before / (before + TRUST)
         return np.log10(weight * share + (1 - weight) * unigram)
 
 
-def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", table: int = TABLE, max_bytes: int = MAX_BYTES) -> tuple[Model, DataFrame]:
-    """The model of the training rows of docs, and the exact counts (h, n) of their tokens."""
-    spark = docs.sparkSession
-    texts = docs.where(trains(id_col)).select(F.col(text_col).cast("string").alias("text"))
-    parts = partitions(spark)
-
-    def exact(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
-        h, n = _sum(x)
-        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(n)], names=["h", "n"])
-
-    counts = stage(blobs.reduce_parts(_counted(texts, parts, False), parts, _COUNTS, exact, "h long, n long"), "tokens")
-    spread = counts.groupBy(F.floor(F.log2("n")).alias("size")).agg(F.count("*").alias("tokens"), F.sum("n").alias("n")).orderBy(F.desc("size")).collect()
-    total, distinct, held, least = sum(r.n for r in spread), sum(r.tokens for r in spread), 0, None
-    for r in spread:
-        held += r.tokens
-        if held > table:
-            break
-        least = 2 ** int(r.size)
-    frequent = counts.where(F.col("n") >= (least or 2**62)).select("h", "n").toArrow()
-    hashes = frequent.column("h").to_numpy().view(np.uint64)
-    order = np.argsort(hashes)
-    hashes, number = hashes[order], frequent.column("n").to_numpy()[order]
-    segments = 16
-    while segments < min(1 << 16, docs.count() // 4096):
-        segments *= 2
-    return Model(build_filter(texts, counts, segments, max_bytes), hashes, number, held <= table, total, distinct), counts
-
-
-def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", table: int = TABLE, max_bytes: int = MAX_BYTES) -> DataFrame:
+def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, part_bytes: int = PART_BYTES) -> tuple[Model, DataFrame, DataFrame, int]:
+    """The model of the training rows of docs, the blocks of all rows, the answers to each block, and the number of segments."""
+    table = blocks(docs, id_col, text_col, block_bytes)
+    size = table.agg(F.coalesce(F.sum("n_bytes"), F.lit(0))).first()[0]
+    parts = blobs.parts_for(docs.sparkSession, 2 * size, part_bytes)
+    answers = stage(_answers(_asked(table, parts), parts), "levels")
+    total = answers.where("block is null").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
+    return Model(*map(int, total)), table, answers, parts
+
+
+def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, part_bytes: int = PART_BYTES) -> DataFrame:
     """id, held_out, n_tokens, n_known, train_tokens, base_score and score for every row of docs."""
-    model, counts = train(docs, id_col, text_col, table, max_bytes)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), (~trains(id_col)).alias("held_out"), F.xxhash64(text).alias("th"), text.alias("text"))
+    model, table, answers, parts = train(docs, id_col, text_col, block_bytes, part_bytes)
+    of_block = answers.where("block is not null").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("part", "tc", "tl", "pl"))).alias("found"))
+    both = table.select("block", "ids", "held", "texts").join(of_block, "block").select("ids", "held", "texts", *[F.expr(f"transform(found, x -> x.{c})").alias(c) for c in ("tc", "tl", "pl")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = shared.value
-        for batch, texts in slices(batches):
-            codes, first = tokens(texts)
-            count = m.known(codes)
-            seen = count > 0
-            doc = np.repeat(np.arange(len(texts)), np.diff(first))
-            add = lambda v, at=doc, n=len(texts): np.bincount(at, v, n)
-            score = add(m.log_probabilities(codes, first)) if m.total else np.full(len(texts), np.nan)
-            rare = np.flatnonzero(~seen)
-            sure = rare if m.complete else rare[:0]
-            base = seen.copy()
-            base[sure] = True
-            value = np.where(base, m.base(count), 0.0) if m.total else np.full(len(codes), np.nan)
-            open_ = rare if not m.complete else rare[:0]
-            offsets = np.searchsorted(open_, first)
-            lists = pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(codes[open_].view(np.int64)))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(np.diff(first)), pa.array(add(seen).astype(np.int64)), pa.array(add(value)), pa.array(score), lists], names=["id", "held_out", "th", "n_tokens", "n_known", "base_score", "score", "open"])
-
-    scored = rows.mapInArrow(run, "id long, held_out boolean, th long, n_tokens long, n_known long, base_score double, score double, open array<long>")
-    if not model.complete:
-        scored = _looked_up(stage(scored, "scored"), counts, model)
+        for batch in batches:
+            for ids, held, texts, *found in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                g = _Grams(texts, parts)
+                count, single, pair = (np.frombuffer(b"".join(x), kind) for x, kind in zip(found, (np.int64, np.uint8, np.uint8), strict=True))
+                count, single, pair = count[g.of_token], typical(single)[g.of_token], typical(pair)[g.of_pair]
+                doc = np.repeat(np.arange(len(texts)), np.diff(g.first))
+                add = lambda v, at=doc, n=len(texts): np.bincount(at, v, n)
+                if model.total:
+                    base, value = add(model.base(count)), add(model.log_probabilities(single, pair, g.first, float(single[g.first[1] - 1])))
+                else:
+                    base = value = np.full(len(texts), np.nan)
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(held), pa.array(np.diff(g.first)), pa.array(add(count > 0).astype(np.int64)), pa.array(base), pa.array(value)], names=["id", "held_out", "n_tokens", "n_known", "base_score", "score"])
+
+    scored = both.mapInArrow(run, "id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
     null = lambda c: F.when(~F.isnan(c), F.col(c)).alias(c)
     return scored.select(F.col("id").alias(id_col), "held_out", "n_tokens", "n_known", F.lit(model.total).cast("long").alias("train_tokens"), null("base_score"), null("score"))
-
-
-def _looked_up(scored: DataFrame, counts: DataFrame, model: Model) -> DataFrame:
-    """scored with the tokens in `open`, which the table lacks, added from the exact counts by a join."""
-    texts = scored.where("size(open) > 0").dropDuplicates(["id", "th"])
-    each = texts.select("id", "th", F.explode("open").alias("h")).groupBy("id", "th", "h").agg(F.count("*").alias("times"))
-    met = each.join(counts, "h", "left").select("id", "th", "times", F.coalesce("n", F.lit(0)).alias("n"))
-    value = F.log10((F.col("n") + 0.5) / F.lit(model.total + 0.5 * (model.distinct + 1)))
-    more = met.groupBy(F.col("id").alias("i"), F.col("th").alias("t")).agg(F.sum(F.col("times") * value).alias("more"), F.sum(F.when(F.col("n") > 0, F.col("times")).otherwise(0)).alias("seen"))
-    both = scored.join(more, F.col("id").eqNullSafe(F.col("i")) & (F.col("th") == F.col("t")), "left")
-    return both.withColumns({"base_score": F.col("base_score") + F.coalesce("more", F.lit(0.0)), "n_known": F.col("n_known") + F.coalesce("seen", F.lit(0))})
