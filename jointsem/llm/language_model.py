@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
 from jointsem.llm.store import stage
-from jointsem.llm.text import Words, mix, slices, space_table
+from jointsem.llm.text import SLICE_BYTES, Words, mix, slices, space_table
 
 BASE = 1.5
 PROBES = 6
@@ -46,7 +46,8 @@ TRUST = 5
 MAX_LEVEL = 64
 #: Text of a block, and what the probes of a segment's task take, in bytes.
 BLOCK_BYTES = 4 << 20
-PART_BYTES = 64 << 20
+PART_BYTES = 32 << 20
+CHUNK = 1 << 17
 _END = np.uint64(0x2545F4914F6CDD1D)
 _ORDER = np.uint64(0x9E6C63D0876A9A47)
 _ASKED = {"t": np.uint64, "tn": np.int32, "p": np.uint64, "pn": np.int32}
@@ -89,6 +90,9 @@ class Filter:
 
     def levels(self, h: np.ndarray) -> np.ndarray:
         """The level of every n-gram: how many probes in a row hit."""
+        return np.concatenate([self._levels(h[i : i + CHUNK]) for i in range(0, len(h), CHUNK)] or [np.zeros(0, np.uint8)])
+
+    def _levels(self, h: np.ndarray) -> np.ndarray:
         out = np.zeros(len(h), np.uint8)
         at = np.arange(len(h))
         for q in range(1, MAX_LEVEL + 1):
@@ -117,10 +121,12 @@ def segment(h: np.ndarray, count: np.ndarray) -> Filter:
     q = level(count)
     bits = 1 << max(6, (int(q.sum()) * BITS - 1).bit_length())
     table = np.zeros(bits, bool)
-    for n in range(1, int(q.max(initial=0)) + 1):
-        step = mix(h[q >= n] + _turn(n))
-        for k in range(PROBES):
-            table[(_probe(step, k) & np.uint64(bits - 1)).astype(np.int64)] = True
+    for i in range(0, len(h), CHUNK):
+        own, least = h[i : i + CHUNK], q[i : i + CHUNK]
+        for n in range(1, int(least.max()) + 1):
+            step = mix(own[least >= n] + _turn(n))
+            for k in range(PROBES):
+                table[(_probe(step, k) & np.uint64(bits - 1)).astype(np.int64)] = True
     return Filter(np.packbits(table, bitorder="little"))
 
 
@@ -145,11 +151,33 @@ def blocks(docs: DataFrame, id_col: str, text_col: str, limit: int = BLOCK_BYTES
     return stage(rows.mapInArrow(run, "block string, n_bytes long, ids array<long>, held array<boolean>, texts array<binary>"), "blocks")
 
 
+def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[list]:
+    """Rows one by one, for one of them is large."""
+    for batch in batches:
+        for r in range(batch.num_rows):
+            yield [c[r].as_py() for c in batch.columns]
+
+
+def _sliced(texts: list[bytes]) -> Iterator[list[bytes]]:
+    """The texts in slices of bounded bytes; hashing takes many times the bytes it reads."""
+    held, size = [], 0
+    for t in texts:
+        if held and size + len(t) > SLICE_BYTES:
+            yield held
+            held, size = [], 0
+        held.append(t)
+        size += len(t)
+    yield held
+
+
 class _Grams:
     """Tokens and pairs of a block: occurrences, and the distinct ones in the order in which they are asked for."""
 
     def __init__(self, texts: list[bytes], parts: int):
-        self.codes, self.first = tokens(texts)
+        made = [tokens(part) for part in _sliced(texts)]
+        self.codes = np.concatenate([codes for codes, _ in made])
+        self.first = np.append(0, np.cumsum(np.concatenate([np.diff(first) for _, first in made])))
+        del made
         self.token, self.of_token, self.token_part = self._distinct(self.codes, parts)
         self.pair, self.of_pair, self.pair_part = self._distinct(bigrams(self.codes, self.first), parts)
 
@@ -168,17 +196,16 @@ def _asked(table: DataFrame, parts: int) -> DataFrame:
     """Each block's n-grams with their training counts, one row for each segment asked."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for block, held, texts in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                g = _Grams(texts, parts)
-                learns = np.repeat(~np.array(held, bool), np.diff(g.first))
-                columns = {}
-                for name, key, of in (("t", g.token, g.of_token), ("p", g.pair, g.of_pair)):
-                    columns[name], columns[f"{name}n"] = key, np.bincount(of[learns], minlength=len(key)).astype(np.int32)
-                wanted = np.union1d(g.token_part, g.pair_part)
-                cut = {"t": np.searchsorted(g.token_part, [wanted, wanted + 1]), "p": np.searchsorted(g.pair_part, [wanted, wanted + 1])}
-                data = [pa.array([columns[c][x:y].tobytes() for x, y in zip(*cut[c[0]], strict=True)], pa.binary()) for c in _ASKED]
-                yield pa.RecordBatch.from_arrays([pa.array(wanted.astype(np.int32)), pa.array([block] * len(wanted)), *data], names=["part", "block", *_ASKED])
+        for block, held, texts in _rows(batches):
+            g = _Grams(texts, parts)
+            learns = np.repeat(~np.array(held, bool), np.diff(g.first))
+            columns = {}
+            for name, key, of in (("t", g.token, g.of_token), ("p", g.pair, g.of_pair)):
+                columns[name], columns[f"{name}n"] = key, np.bincount(of[learns], minlength=len(key)).astype(np.int32)
+            wanted = np.union1d(g.token_part, g.pair_part)
+            cut = {"t": np.searchsorted(g.token_part, [wanted, wanted + 1]), "p": np.searchsorted(g.pair_part, [wanted, wanted + 1])}
+            data = [pa.array([columns[c][x:y].tobytes() for x, y in zip(*cut[c[0]], strict=True)], pa.binary()) for c in _ASKED]
+            yield pa.RecordBatch.from_arrays([pa.array(wanted.astype(np.int32)), pa.array([block] * len(wanted)), *data], names=["part", "block", *_ASKED])
 
     return table.select("block", "held", "texts").mapInArrow(run, "part int, block string, " + ", ".join(f"{c} binary" for c in _ASKED))
 
@@ -256,18 +283,17 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block
     both = table.select("block", "ids", "held", "texts").join(of_block, "block").select("ids", "held", "texts", *[F.expr(f"transform(found, x -> x.{c})").alias(c) for c in ("tc", "tl", "pl")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for ids, held, texts, *found in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                g = _Grams(texts, parts)
-                count, single, pair = (np.frombuffer(b"".join(x), kind) for x, kind in zip(found, (np.int64, np.uint8, np.uint8), strict=True))
-                count, single, pair = count[g.of_token], typical(single)[g.of_token], typical(pair)[g.of_pair]
-                doc = np.repeat(np.arange(len(texts)), np.diff(g.first))
-                add = lambda v, at=doc, n=len(texts): np.bincount(at, v, n)
-                if model.total:
-                    base, value = add(model.base(count)), add(model.log_probabilities(single, pair, g.first, float(single[g.first[1] - 1])))
-                else:
-                    base = value = np.full(len(texts), np.nan)
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(held), pa.array(np.diff(g.first)), pa.array(add(count > 0).astype(np.int64)), pa.array(base), pa.array(value)], names=["id", "held_out", "n_tokens", "n_known", "base_score", "score"])
+        for ids, held, texts, *found in _rows(batches):
+            g = _Grams(texts, parts)
+            count, single, pair = (np.frombuffer(b"".join(x), kind) for x, kind in zip(found, (np.int64, np.uint8, np.uint8), strict=True))
+            count, single, pair = count[g.of_token], typical(single)[g.of_token], typical(pair)[g.of_pair]
+            doc = np.repeat(np.arange(len(texts)), np.diff(g.first))
+            add = lambda v, at=doc, n=len(texts): np.bincount(at, v, n)
+            if model.total:
+                base, value = add(model.base(count)), add(model.log_probabilities(single, pair, g.first, float(single[g.first[1] - 1])))
+            else:
+                base = value = np.full(len(texts), np.nan)
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(held), pa.array(np.diff(g.first)), pa.array(add(count > 0).astype(np.int64)), pa.array(base), pa.array(value)], names=["id", "held_out", "n_tokens", "n_known", "base_score", "score"])
 
     scored = both.mapInArrow(run, "id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
     null = lambda c: F.when(~F.isnan(c), F.col(c)).alias(c)
