@@ -45,7 +45,7 @@ WEIGHT = 0.4
 TRUST = 5
 MAX_LEVEL = 64
 #: Text of a block, and what the probes of a segment's task take, in bytes.
-BLOCK_BYTES = 4 << 20
+BLOCK_BYTES = 1 << 20
 PART_BYTES = 32 << 20
 CHUNK = 1 << 17
 _END = np.uint64(0x2545F4914F6CDD1D)
