@@ -48,9 +48,10 @@ MAX_LEVEL = 64
 BLOCK_BYTES = 1 << 20
 PART_BYTES = 32 << 20
 CHUNK = 1 << 17
+SHORT = 5
 _END = np.uint64(0x2545F4914F6CDD1D)
 _ORDER = np.uint64(0x9E6C63D0876A9A47)
-_ASKED = {"t": np.uint64, "tn": np.int32, "p": np.uint64, "pn": np.int32}
+_ASKED = {"t": "binary", "t0": "int", "t1": "int", "tn": "binary", "p": "binary", "p0": "int", "p1": "int", "pn": "binary"}
 
 
 def tokens(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -171,73 +172,101 @@ def _sliced(texts: list[bytes]) -> Iterator[list[bytes]]:
 
 
 class _Grams:
-    """Tokens and pairs of a block: occurrences, and the distinct ones in the order in which they are asked for."""
+    """Tokens and pairs of a block: occurrences, and the distinct ones in the order in which they are asked for.
 
-    def __init__(self, texts: list[bytes], parts: int):
+    Distinct ones are ordered by part, then by whether the block's training texts
+    hold them never, once or more often, so that only the last need their counts.
+    """
+
+    def __init__(self, texts: list[bytes], held: list[bool], parts: int):
         made = [tokens(part) for part in _sliced(texts)]
         self.codes = np.concatenate([codes for codes, _ in made])
         self.first = np.append(0, np.cumsum(np.concatenate([np.diff(first) for _, first in made])))
         del made
-        self.token, self.of_token, self.token_part = self._distinct(self.codes, parts)
-        self.pair, self.of_pair, self.pair_part = self._distinct(bigrams(self.codes, self.first), parts)
+        learns = np.repeat(~np.array(held, bool), np.diff(self.first))
+        self.token = _Distinct(self.codes, learns, parts)
+        self.pair = _Distinct(bigrams(self.codes, self.first), learns, parts)
+
 
-    @staticmethod
-    def _distinct(codes: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Distinct codes by part, the place of each occurrence among them, and their parts."""
+class _Distinct:
+    def __init__(self, codes: np.ndarray, learns: np.ndarray, parts: int):
         known, of = np.unique(codes, return_inverse=True)
-        part = blobs.part_of(known, parts)
-        order = np.argsort(part, kind="stable")
+        of = of.ravel()
+        count = np.bincount(of[learns], minlength=len(known)).astype(np.int32)
+        cell = blobs.part_of(known, parts).astype(np.int64) * 3 + np.minimum(count, 2)
+        order = np.argsort(cell, kind="stable")
         place = np.empty(len(order), np.int64)
         place[order] = np.arange(len(order))
-        return known[order], place[of.ravel()], part[order]
+        self.key, self.count, self.cell, self.of = known[order], count[order], cell[order], place[of]
+
+    def cut(self, part: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Where the keys of each part begin, where its once held ones and its others begin, and where it ends."""
+        return tuple(np.searchsorted(self.cell, 3 * part + k) for k in range(4))
+
+
+def _short(key: np.ndarray) -> np.ndarray:
+    """The low five bytes of each key.  A segment's pairs differ in these but for about one in a million; the filter's own false hits are one in a hundred."""
+    return np.ascontiguousarray(key.view(np.uint8).reshape(-1, 8)[:, :SHORT])
+
+
+def _long(data: bytes) -> np.ndarray:
+    out = np.zeros((len(data) // SHORT, 8), np.uint8)
+    out[:, :SHORT] = np.frombuffer(data, np.uint8).reshape(-1, SHORT)
+    return out.view(np.uint64).ravel()
 
 
 def _asked(table: DataFrame, parts: int) -> DataFrame:
-    """Each block's n-grams with their training counts, one row for each segment asked."""
+    """Each block's n-grams with their training counts, one row for each segment asked; t0, t1 and p0, p1 are how many are held never and once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block, held, texts in _rows(batches):
-            g = _Grams(texts, parts)
-            learns = np.repeat(~np.array(held, bool), np.diff(g.first))
-            columns = {}
-            for name, key, of in (("t", g.token, g.of_token), ("p", g.pair, g.of_pair)):
-                columns[name], columns[f"{name}n"] = key, np.bincount(of[learns], minlength=len(key)).astype(np.int32)
-            wanted = np.union1d(g.token_part, g.pair_part)
-            cut = {"t": np.searchsorted(g.token_part, [wanted, wanted + 1]), "p": np.searchsorted(g.pair_part, [wanted, wanted + 1])}
-            data = [pa.array([columns[c][x:y].tobytes() for x, y in zip(*cut[c[0]], strict=True)], pa.binary()) for c in _ASKED]
+            g = _Grams(texts, held, parts)
+            wanted = np.unique(np.concatenate([g.token.cell, g.pair.cell]) // 3)
+            data = []
+            for x, key in ((g.token, g.token.key), (g.pair, _short(g.pair.key))):
+                a, b, c, d = x.cut(wanted)
+                data.append(pa.array([key[i:j].tobytes() for i, j in zip(a, d, strict=True)], pa.binary()))
+                data += [pa.array((b - a).astype(np.int32)), pa.array((c - b).astype(np.int32))]
+                data.append(pa.array([x.count[i:j].tobytes() for i, j in zip(c, d, strict=True)], pa.binary()))
             yield pa.RecordBatch.from_arrays([pa.array(wanted.astype(np.int32)), pa.array([block] * len(wanted)), *data], names=["part", "block", *_ASKED])
 
-    return table.select("block", "held", "texts").mapInArrow(run, "part int, block string, " + ", ".join(f"{c} binary" for c in _ASKED))
+    return table.select("block", "held", "texts").mapInArrow(run, "part int, block string, " + ", ".join(f"{c} {kind}" for c, kind in _ASKED.items()))
+
+
+def _counts(keys: np.ndarray, size: np.ndarray, never: np.ndarray, once: np.ndarray, more: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct keys, their summed counts, and the place of each key among them; the keys of a row are those held never, once and more often, in this order."""
+    step = np.arange(len(keys)) - np.repeat(np.cumsum(size) - size, size)
+    count = (step >= np.repeat(never, size)).astype(np.int64)
+    count[step >= np.repeat(never + once, size)] = np.frombuffer(more, np.int32)
+    known, at = np.unique(keys, return_inverse=True)
+    return known, np.bincount(at.ravel(), count, len(known)).astype(np.int64), at.ravel()
 
 
 def _answers(asked: DataFrame, parts: int) -> DataFrame:
     """For each block and segment the tokens' exact counts and levels and the pairs' levels; a row without a block has the segment's training tokens, all and distinct."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, names, held = [], [], {c: [] for c in _ASKED}
+        held: dict[str, list] = {c: [] for c in ("part", "block", *_ASKED)}
         for batch in batches:
-            part += batch.column(0).to_pylist()
-            names += batch.column(1).to_pylist()
-            for k, c in enumerate(_ASKED):
-                held[c] += batch.column(2 + k).to_pylist()
+            for k, c in enumerate(held):
+                held[c] += batch.column(k).to_pylist()
+        part, names = held.pop("part"), held.pop("block")
         if not names:
             return
-        sizes = {c: np.array([len(x) // 8 for x in held[c]], np.int64) for c in ("t", "p")}
-        flat = {c: np.frombuffer(b"".join(held.pop(c)), kind) for c, kind in _ASKED.items()}
-        keys, counts, place = {}, {}, {}
-        for c in ("t", "p"):
-            keys[c], at = np.unique(flat[c], return_inverse=True)
-            place[c] = at.ravel()
-            counts[c] = np.bincount(place[c], flat[f"{c}n"], len(keys[c])).astype(np.int64)
-        both, all_counts = np.concatenate([keys["t"], keys["p"]]), np.concatenate([counts["t"], counts["p"]])
-        levels = segment(both[all_counts > 0], all_counts[all_counts > 0]).levels(both)
-        found = {"tc": counts["t"][place["t"]], "tl": levels[: len(keys["t"])][place["t"]], "pl": levels[len(keys["t"]) :][place["p"]]}
-        stop = {c: np.append(0, np.cumsum(n)) for c, n in sizes.items()}
-        data = [pa.array([values[x:y].tobytes() for x, y in zip(stop[c[0]][:-1], stop[c[0]][1:], strict=True)], pa.binary()) for c, values in found.items()]
-        none = pa.array([0] * len(names), pa.int64())
-        yield pa.RecordBatch.from_arrays([pa.array(names), pa.array(part, pa.int32()), *data, none, none], names=["block", "part", *found, "n", "v"])
+        ints = lambda c: np.array(held[c], np.int64)
+        size_t, size_p = np.array([len(x) // 8 for x in held["t"]]), np.array([len(x) // SHORT for x in held["p"]])
+        token, n, of_token = _counts(np.frombuffer(b"".join(held.pop("t")), np.uint64), size_t, ints("t0"), ints("t1"), b"".join(held.pop("tn")))
+        pair, m, of_pair = _counts(_long(b"".join(held.pop("p"))), size_p, ints("p0"), ints("p1"), b"".join(held.pop("pn")))
+        both, count = np.concatenate([token, pair]), np.concatenate([n, m])
+        levels = segment(both[count > 0], count[count > 0]).levels(both)
+        data = []
+        for values, size in ((n[of_token], size_t), (levels[: len(token)][of_token], size_t), (levels[len(token) :][of_pair], size_p)):
+            stop = np.append(0, np.cumsum(size))
+            data.append(pa.array([values[i:j].tobytes() for i, j in zip(stop[:-1], stop[1:], strict=True)], pa.binary()))
+        none, columns = pa.array([0] * len(names), pa.int64()), ["block", "part", "tc", "tl", "pl", "n", "v"]
+        yield pa.RecordBatch.from_arrays([pa.array(names), pa.array(part, pa.int32()), *data, none, none], names=columns)
         blank = pa.array([b""], pa.binary())
-        yield pa.RecordBatch.from_arrays([pa.array([None], pa.string()), pa.array(part[:1], pa.int32()), blank, blank, blank, pa.array([int(counts["t"].sum())]), pa.array([int((counts["t"] > 0).sum())])], names=["block", "part", *found, "n", "v"])
+        yield pa.RecordBatch.from_arrays([pa.array([None], pa.string()), pa.array(part[:1], pa.int32()), blank, blank, blank, pa.array([int(n.sum())]), pa.array([int((n > 0).sum())])], names=columns)
 
     return asked.repartitionById(parts, F.col("part")).mapInArrow(run, "block string, part int, tc binary, tl binary, pl binary, n long, v long")
 
@@ -284,9 +313,9 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for ids, held, texts, *found in _rows(batches):
-            g = _Grams(texts, parts)
+            g = _Grams(texts, held, parts)
             count, single, pair = (np.frombuffer(b"".join(x), kind) for x, kind in zip(found, (np.int64, np.uint8, np.uint8), strict=True))
-            count, single, pair = count[g.of_token], typical(single)[g.of_token], typical(pair)[g.of_pair]
+            count, single, pair = count[g.token.of], typical(single)[g.token.of], typical(pair)[g.pair.of]
             doc = np.repeat(np.arange(len(texts)), np.diff(g.first))
             add = lambda v, at=doc, n=len(texts): np.bincount(at, v, n)
             if model.total:
