@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
 from jointsem.llm.store import stage
-from jointsem.llm.text import SLICE_BYTES, Words, mix, slices, space_table
+from jointsem.llm.text import SLICE_BYTES, Words, mix, slices, space_table, starts_of_runs
 
 BASE = 1.5
 PROBES = 6
@@ -46,7 +46,7 @@ TRUST = 5
 MAX_LEVEL = 64
 #: Text of a block, and what the probes of a segment's task take, in bytes.
 BLOCK_BYTES = 1 << 20
-PART_BYTES = 32 << 20
+PART_BYTES = 24 << 20
 CHUNK = 1 << 17
 SHORT = 5
 _END = np.uint64(0x2545F4914F6CDD1D)
@@ -119,8 +119,8 @@ def _probe(step: np.ndarray, k: int) -> np.ndarray:
 
 def segment(h: np.ndarray, count: np.ndarray) -> Filter:
     """The filter segment of n-grams with counts: BITS bits per event or up to twice as many."""
-    q = level(count)
-    bits = 1 << max(6, (int(q.sum()) * BITS - 1).bit_length())
+    q = level(count).astype(np.uint8)
+    bits = 1 << max(6, (int(q.sum(dtype=np.int64)) * BITS - 1).bit_length())
     table = np.zeros(bits, bool)
     for i in range(0, len(h), CHUNK):
         own, least = h[i : i + CHUNK], q[i : i + CHUNK]
@@ -235,11 +235,17 @@ def _asked(table: DataFrame, parts: int) -> DataFrame:
 
 def _counts(keys: np.ndarray, size: np.ndarray, never: np.ndarray, once: np.ndarray, more: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Distinct keys, their summed counts, and the place of each key among them; the keys of a row are those held never, once and more often, in this order."""
-    step = np.arange(len(keys)) - np.repeat(np.cumsum(size) - size, size)
-    count = (step >= np.repeat(never, size)).astype(np.int64)
-    count[step >= np.repeat(never + once, size)] = np.frombuffer(more, np.int32)
-    known, at = np.unique(keys, return_inverse=True)
-    return known, np.bincount(at.ravel(), count, len(known)).astype(np.int64), at.ravel()
+    step = np.arange(len(keys), dtype=np.int32) - np.repeat((np.cumsum(size) - size).astype(np.int32), size)
+    count = (step >= np.repeat(never.astype(np.int32), size)).astype(np.int32)
+    count[step >= np.repeat((never + once).astype(np.int32), size)] = np.frombuffer(more, np.int32)
+    del step
+    order = np.argsort(keys).astype(np.int32)
+    known = keys[order]
+    new = starts_of_runs(known)
+    place = np.empty(len(keys), np.int32)
+    place[order] = np.cumsum(new, dtype=np.int32) - 1
+    head = np.flatnonzero(new)
+    return known[head], np.add.reduceat(count[order], head, dtype=np.int64) if len(head) else np.zeros(0, np.int64), place
 
 
 def _answers(asked: DataFrame, parts: int) -> DataFrame:
@@ -257,10 +263,11 @@ def _answers(asked: DataFrame, parts: int) -> DataFrame:
         size_t, size_p = np.array([len(x) // 8 for x in held["t"]]), np.array([len(x) // SHORT for x in held["p"]])
         token, n, of_token = _counts(np.frombuffer(b"".join(held.pop("t")), np.uint64), size_t, ints("t0"), ints("t1"), b"".join(held.pop("tn")))
         pair, m, of_pair = _counts(_long(b"".join(held.pop("p"))), size_p, ints("p0"), ints("p1"), b"".join(held.pop("pn")))
-        both, count = np.concatenate([token, pair]), np.concatenate([n, m])
-        levels = segment(both[count > 0], count[count > 0]).levels(both)
+        filter_ = segment(np.concatenate([token[n > 0], pair[m > 0]]), np.concatenate([n[n > 0], m[m > 0]]))
+        of_tokens, of_pairs = filter_.levels(token), filter_.levels(pair)
+        del token, pair, m
         data = []
-        for values, size in ((n[of_token], size_t), (levels[: len(token)][of_token], size_t), (levels[len(token) :][of_pair], size_p)):
+        for values, size in ((n[of_token], size_t), (of_tokens[of_token], size_t), (of_pairs[of_pair], size_p)):
             stop = np.append(0, np.cumsum(size))
             data.append(pa.array([values[i:j].tobytes() for i, j in zip(stop[:-1], stop[1:], strict=True)], pa.binary()))
         none, columns = pa.array([0] * len(names), pa.int64()), ["block", "part", "tc", "tl", "pl", "n", "v"]
