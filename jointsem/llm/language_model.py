@@ -316,7 +316,8 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block
     """id, held_out, n_tokens, n_known, train_tokens, base_score and score for every row of docs."""
     model, table, answers, parts = train(docs, id_col, text_col, block_bytes, part_bytes)
     of_block = answers.where("block is not null").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("part", "tc", "tl", "pl"))).alias("found"))
-    both = table.select("block", "ids", "held", "texts").join(of_block, "block").select("ids", "held", "texts", *[F.expr(f"transform(found, x -> x.{c})").alias(c) for c in ("tc", "tl", "pl")])
+    n = blobs.parts_for(docs.sparkSession, table.agg(F.coalesce(F.sum("n_bytes"), F.lit(0))).first()[0], 8 * block_bytes)
+    both = table.select("block", "ids", "held", "texts").repartition(n, "block").join(of_block.repartition(n, "block"), "block").select("ids", "held", "texts", *[F.expr(f"transform(found, x -> x.{c})").alias(c) for c in ("tc", "tl", "pl")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for ids, held, texts, *found in _rows(batches):

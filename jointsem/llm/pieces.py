@@ -8,7 +8,11 @@ Words of over LONG symbols use a heap instead, so that a text without spaces
 does not need a round per character.  Results equal the library's for models
 without a normalisation map, with byte fallback.
 
-Nulls: a null text is empty and has no ids.
+Words are grouped by 64-bit hashes and compared byte by byte; where two words
+share a hash, the slice is encoded from its words themselves.
+
+Nulls: a null text is empty and has no ids.  Repeated rows are returned as often as
+they occur; other columns of docs are not returned and cannot clash.
 """
 
 from __future__ import annotations
@@ -221,6 +225,15 @@ class Model:
         return gather(self.spelled, start, size), np.append(0, np.cumsum(size))[first]
 
 
+def _word_keys(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    return mix(Prefix.of_bytes(data).span(start, end) + (end - start).astype(np.uint64))
+
+
+def _alike(a: np.ndarray, a_start: np.ndarray, a_size: np.ndarray, b: np.ndarray, b_start: np.ndarray, b_size: np.ndarray) -> bool:
+    """Whether each span of a has the bytes of its span of b."""
+    return np.array_equal(a_size, b_size) and np.array_equal(gather(a, a_start, a_size), gather(b, b_start, b_size))
+
+
 class Encoder:
     """Encodes slices of texts, keeping the ids of the words it met; the memory of words is bounded."""
 
@@ -232,6 +245,7 @@ class Encoder:
         self.keys = np.zeros(0, np.uint64)
         self.start = self.count = np.zeros(0, np.int64)
         self.ids = np.zeros(0, np.int64)
+        self.text, self.at, self.size = np.zeros(0, np.uint8), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Joined ids of the texts, and where each text's ids start (and the last end)."""
@@ -246,7 +260,7 @@ class Encoder:
         new[doc[:-1][np.diff(doc) > 0]] = True
         start = np.flatnonzero(new)
         end = np.append(start[1:], len(data))
-        key = mix(Prefix.of_bytes(data).span(start, end) + (end - start).astype(np.uint64))
+        key = _word_keys(data, start, end)
         unique, where, number = np.unique(key, return_index=True, return_inverse=True)
         if len(self.keys) + len(unique) > CACHE:
             self._clear()
@@ -254,18 +268,32 @@ class Encoder:
         known = np.zeros(len(unique), bool)
         inside = slot < len(self.keys)
         known[inside] = self.keys[slot[inside]] == unique[inside]
+        size, number = end - start, number.ravel()
+        held = slot[known]
+        if not (_alike(data, start, size, data, start[where][number], size[where][number]) and _alike(data, start[where[known]], size[where[known]], self.text, self.at[held], self.size[held])):
+            self._clear()
+            spelled: dict[bytes, int] = {}
+            whole = data.tobytes()
+            number = np.array([spelled.setdefault(whole[a:b], len(spelled)) for a, b in zip(start.tolist(), end.tolist(), strict=True)])
+            size = np.array([len(w) for w in spelled])
+            flat, count = self.model.encode_words(np.frombuffer(b"".join(spelled), np.uint8), np.cumsum(size) - size)
+            return gather(flat, (np.cumsum(count) - count)[number], count[number]), np.append(0, np.cumsum(count[number]))[np.searchsorted(start, doc)]
         fresh = where[~known]
         if len(fresh):
-            size = end[fresh] - start[fresh]
-            ids, count = self.model.encode_words(gather(data, start[fresh], size), np.cumsum(size) - size)
+            size = size[fresh]
+            text = gather(data, start[fresh], size)
+            ids, count = self.model.encode_words(text, np.cumsum(size) - size)
             keys = np.concatenate([self.keys, unique[~known]])
             order = np.argsort(keys)
             self.start = np.concatenate([self.start, len(self.ids) + np.cumsum(count) - count])[order]
             self.count = np.concatenate([self.count, count])[order]
             self.ids = np.concatenate([self.ids, ids])
+            self.at = np.concatenate([self.at, len(self.text) + np.cumsum(size) - size])[order]
+            self.size = np.concatenate([self.size, size])[order]
+            self.text = np.concatenate([self.text, text])
             self.keys = keys[order]
             slot = np.searchsorted(self.keys, unique)
-        at = slot[number.ravel()]
+        at = slot[number]
         ids = gather(self.ids, self.start[at], self.count[at])
         return ids, np.append(0, np.cumsum(self.count[at]))[np.searchsorted(start, doc)]
 

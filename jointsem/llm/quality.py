@@ -5,15 +5,14 @@ Two multinomials over hashed n-grams are compared: one of trusted documents
 log ratio of its n-grams, so its length has no part in it, and a document stays
 if the base rules pass and the score reaches `threshold`.
 
-The n-grams of a text are its words, and its pairs of neighbouring words by
-their last three characters.  The ratio table has `buckets` entries
+The n-grams of a text are its words and its pairs of neighbouring words.  The ratio table has `buckets` entries
 whatever the corpus holds; it reaches the scoring projection as a scalar
 subquery.  Counting combines on the map side, and scoring shuffles nothing.
 
 Nulls: a null text has no words and fails the base rules.  Labels with a null
 id or quality are unused.  Without trusted documents every ratio is 0 and the
 base rules alone decide.  Repeated rows are counted and returned as often as
-they occur.
+they occur.  Of a column of docs that has the name of a result, the result stays.
 """
 
 from __future__ import annotations
@@ -23,8 +22,10 @@ from pyspark.sql import functions as F
 
 from jointsem.llm.store import stage
 
-BUCKETS = 10_000
-THRESHOLD = -0.5
+BUCKETS = 100_000
+THRESHOLD = -0.2
+#: Pseudo counts of every bucket on either side: what a bucket of few n-grams says counts little.
+PRIOR = 4.0
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
 #: Up to so many trusted ids are broadcast (16 MB); more are joined by shuffling texts.
@@ -32,6 +33,7 @@ BROADCAST_IDS = 2_000_000
 _SPACE = " \t\n\x0b\x0c\r"
 _SYMBOLS = r"[#*$%&|<>]"
 _FEW = 16
+_RULES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
 
 
 def _words(text: Column) -> Column:
@@ -40,10 +42,10 @@ def _words(text: Column) -> Column:
 
 
 def _hashed(df: DataFrame, keep: list[Column | str]) -> DataFrame:
-    """keep, with _hashes, the hash of each of _words, and _pairs, the hash of each pair of neighbouring word endings."""
-    df = df.select(*keep, F.expr("transform(_words, w -> xxhash64(w))").alias("_hashes"), F.expr("transform(_words, w -> xxhash64(right(w, 3)))").alias("_last"))
-    pairs = F.expr("if(size(_last) < 2, cast(array() as array<bigint>), transform(slice(_last, 1, size(_last) - 1), (h, i) -> xxhash64(h, _last[i + 1])))")
-    return df.withColumn("_pairs", pairs).drop("_last")
+    """keep, with _hashes, the hash of each of _words, and _pairs, the hash of each pair of neighbouring words."""
+    df = df.select(*keep, F.expr("transform(_words, w -> xxhash64(w))").alias("_hashes"))
+    pairs = F.expr("if(size(_hashes) < 2, cast(array() as array<bigint>), transform(slice(_hashes, 1, size(_hashes) - 1), (h, i) -> xxhash64(h, _hashes[i + 1])))")
+    return df.withColumn("_pairs", pairs)
 
 
 def _counted(docs: DataFrame, text_col: str) -> DataFrame:
@@ -86,18 +88,25 @@ def _judged(df: DataFrame, keep: list[str]) -> DataFrame:
     return df.select(*keep, covered.alias("n_repeat_words")).withColumn("base_failed", F.expr(f"n_words < {MIN_WORDS} or 100 * n_repeat_words > {MAX_REPEAT_PERCENT} * n_words"))
 
 
+def _apart(docs: DataFrame, made: tuple[str, ...]) -> tuple[DataFrame, dict[str, str]]:
+    """docs without columns named as results, the others under names that nothing here uses, and these names by their own."""
+    names = {c: f"_c{n}" for n, c in enumerate(docs.columns) if c not in made}
+    return docs.select(*[F.col(c).alias(n) for c, n in names.items()]), names
+
+
 def _kept_columns(df: DataFrame) -> list[str]:
     return [c for c in df.columns if c not in ("_hashes", "_pairs")]
 
 
 def with_rules(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """docs with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed."""
-    df = _counted(docs, text_col)
-    return _judged(df, _kept_columns(df))
+    docs, names = _apart(docs, _RULES)
+    df = _counted(docs, names[text_col])
+    return _judged(df, _kept_columns(df)).withColumnsRenamed({n: c for c, n in names.items()})
 
 
 def log_ratios(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(bucket, ratio): log of the trusted over the raw share, add-one smoothed; buckets without n-grams have no row."""
+    """(bucket, ratio): log of the trusted count over the one to be expected of so many n-grams of the raw corpus, both with PRIOR added; buckets without n-grams have no row."""
     trusted = labels.where("quality = 1").select(F.col("doc_id").alias("_id")).where("_id is not null").distinct()
     if trusted.count() <= BROADCAST_IDS:
         trusted = F.broadcast(trusted)
@@ -107,12 +116,14 @@ def log_ratios(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, id_co
     counts = stage(grams.groupBy("bucket").agg(F.count("*").alias("raw"), F.sum("t").alias("trusted")), "buckets")
     total = counts.agg(F.sum("raw").alias("raw"), F.sum("trusted").alias("trusted"))
     both = counts.select("bucket", "raw", "trusted", total.select("raw").scalar().alias("raws"), total.select("trusted").scalar().alias("trusteds"))
-    share = lambda c: F.log((F.col(c) + 1) / (F.col(c + "s") + buckets))
-    return both.select("bucket", F.when(F.col("trusteds") > 0, share("trusted") - share("raw")).otherwise(0.0).alias("ratio"))
+    expected = F.col("raw") * F.col("trusteds") / F.col("raws")
+    return both.select("bucket", F.when(F.col("trusteds") > 0, F.log((F.col("trusted") + PRIOR) / (expected + PRIOR))).otherwise(0.0).alias("ratio"))
 
 
 def score(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buckets: int = BUCKETS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with the rules' columns, llr (mean log ratio, null without words) and kept."""
+    docs, names = _apart(docs, (*_RULES, "llr", "kept"))
+    id_col, text_col = names[id_col], names[text_col]
     ratios = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("bucket")).join(log_ratios(docs, labels, buckets, id_col, text_col), "bucket", "left")
     pairs = F.array_sort(F.collect_list(F.struct("bucket", F.coalesce("ratio", F.lit(0.0)).alias("ratio"))))
     table = stage(ratios.agg(F.transform(pairs, lambda x: x.ratio).alias("ratios")), "ratios")
@@ -122,4 +133,4 @@ def score(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buck
     df = _judged(df, _kept_columns(df)).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= threshold))
     # made by a generator of one row, so that a filter on them is not pushed into the expressions below, where it would multiply
     made = [c for c in df.columns if c not in docs.columns]
-    return df.select(*docs.columns, F.inline_outer(F.array(F.struct(*made))))
+    return df.select(*[F.col(n).alias(c) for c, n in names.items()], F.inline_outer(F.array(F.struct(*made))))

@@ -14,7 +14,8 @@ Hot anchors do not gather in one task.  A map task sends one row per anchor and
 one per distinct piece, however many copies it holds, and answers the others
 itself.  The windows of an anchor with more than `hot` rows are dealt one by
 one by their own content.  The table of such anchors is bounded: at most
-_HOT_SHARE times the mean number of anchors of a text.
+_HOT_SHARE times the mean number of anchors of a text.  The number of parts of a
+shuffle follows the bytes of the texts, so what a task holds does not grow with them.
 """
 
 from __future__ import annotations
@@ -29,9 +30,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
-from jointsem.llm.store import partitions, stage
+from jointsem.llm.store import stage
 from jointsem.llm.text import gather, merged, mix, slices, starts_of_runs
 
+#: Bytes of distinct texts for each part of a shuffle; a part takes a few times as much.
+PART_BYTES = 16 << 20
 CHUNK = 1 << 18
 CHUNK_BYTES = 8 << 20
 BLOCK = 1 << 17
@@ -138,9 +141,8 @@ def _lists(keys: tuple[np.ndarray, ...], names: list[str], values: list[np.ndarr
     return pa.RecordBatch.from_arrays([*(pa.array(k[at]) for k in keys), *lists], names=[*names, *value_names])
 
 
-def candidates(texts: DataFrame, scheme: Scheme, n_texts: int) -> DataFrame:
+def candidates(texts: DataFrame, scheme: Scheme, n_texts: int, parts: int) -> DataFrame:
     """(th, text) -> blobs of (th, first): anchors of several places, dealt by text; rows of part -1 hold hot anchors in `hot`."""
-    parts = partitions(texts.sparkSession)
     hot_rows = max(_HOT_LEAST, n_texts // _HOT_SHARE)
 
     def reduce(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
@@ -167,7 +169,7 @@ def candidates(texts: DataFrame, scheme: Scheme, n_texts: int) -> DataFrame:
     return blobs.reduce_parts(mapped, parts, _COUNTED, reduce, blobs.schema(_FOUND))
 
 
-def by_text(found: DataFrame) -> DataFrame:
+def by_text(found: DataFrame, parts: int) -> DataFrame:
     """Blobs of candidates() -> (th, firsts), one row per text."""
 
     def gather_text(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
@@ -177,7 +179,7 @@ def by_text(found: DataFrame) -> DataFrame:
         yield _lists((th[keep],), ["th"], [first[keep]], ["firsts"])
 
     columns = {c: _FOUND[c] for c in ("th", "first")}
-    return blobs.reduce_parts(found.where("part >= 0"), partitions(found.sparkSession), columns, gather_text, "th long, firsts array<int>")
+    return blobs.reduce_parts(found.where("part >= 0"), parts, columns, gather_text, "th long, firsts array<int>")
 
 
 def _part_of_text(th: np.ndarray, parts: int) -> np.ndarray:
@@ -295,9 +297,8 @@ def _joined(row: np.ndarray, s: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.
     return s[edge], s[np.append(edge[1:], len(s)) - 1], edge
 
 
-def repeated_spans(texts: DataFrame, scheme: Scheme, hot: np.ndarray) -> DataFrame:
+def repeated_spans(texts: DataFrame, scheme: Scheme, hot: np.ndarray, parts: int) -> DataFrame:
     """(id, th, firsts, text) -> (id, th, starts, stops): the spans covered by repeated windows, one row per text that has any."""
-    parts = partitions(texts.sparkSession)
     reach = scheme.width - 1
 
     def reduce(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
@@ -372,11 +373,14 @@ def with_spans(docs: DataFrame, scheme: Scheme, id_col: str, text_col: str) -> D
     schemes by place, also of the same text); equal texts are left to the caller.
     """
     keyed = text_keys(docs, id_col, text_col)
-    firsts = stage(keyed.groupBy("_th", "_t2").agg(F.min("_id").alias("id"), F.count("*").alias("copies")).select(F.col("_th").alias("th"), "_t2", "id", "copies"), "texts")
-    found = stage(candidates(keyed.select(F.col("_th").alias("th"), F.col("_text").alias("text")), scheme, firsts.count()), "anchors")
+    size = F.first(F.octet_length("_text")).alias("size")
+    firsts = stage(keyed.groupBy("_th", "_t2").agg(F.min("_id").alias("id"), F.count("*").alias("copies"), size).select(F.col("_th").alias("th"), "_t2", "id", "copies", "size"), "texts")
+    n_texts, n_bytes = firsts.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
+    parts = blobs.parts_for(docs.sparkSession, n_bytes, PART_BYTES)
+    found = stage(candidates(keyed.select(F.col("_th").alias("th"), F.col("_text").alias("text")), scheme, n_texts, parts), "anchors")
     hot = np.frombuffer(b"".join(bytes(r.hot) for r in found.where("part = -1").select("hot").collect()), np.uint64)
-    wanted = firsts.join(by_text(found), "th").select("id", "th", "firsts")
+    wanted = firsts.join(by_text(found, parts), "th").select("id", "th", "firsts")
     rows = keyed.select(F.col("_id").alias("id"), F.col("_th").alias("th"), F.col("_text").alias("text")).join(wanted, ["id", "th"])
-    spans = repeated_spans(rows, scheme, hot).withColumnsRenamed({"starts": "_starts", "stops": "_stops"})
+    spans = repeated_spans(rows, scheme, hot, parts).withColumnsRenamed({"starts": "_starts", "stops": "_stops"})
     known = stage(firsts.join(spans, ["id", "th"], "left"), "spans").select(F.col("id").alias("_id"), F.col("th").alias("_th"), "_t2", "copies", "_starts", "_stops", F.lit(True).alias("_first"))
     return keyed.join(known, ["_id", "_th", "_t2"], "left")

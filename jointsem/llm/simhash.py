@@ -10,7 +10,8 @@ never all pairs of a dense group, and copies count once.
 
 Nulls: a null text is an empty one.  Null ids are allowed; a component's id is
 its least id that is not null.  Texts without words share fingerprint zero and
-link like any other.  Repeated rows are returned as often as they occur.
+link like any other.  Repeated rows are returned as often as they occur.  Other
+columns of docs are not returned and cannot clash.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
 from jointsem.llm.components import components
-from jointsem.llm.store import partitions, stage
+from jointsem.llm.store import stage
 from jointsem.llm.text import Words, mix, slices, space_table
 
 SHINGLE = 3
@@ -33,6 +34,10 @@ BUDGET = 2
 STEP = 4
 CHUNK = 1 << 17
 BRUTE = 48
+#: Bytes of a dealt fingerprint, and of those that a task gets.
+ROW_BYTES, PART_BYTES = 17, 64 << 20
+#: A fingerprint with over this share of all rows is joined by broadcast; there are at most as many as its inverse.
+HOT_SHARE = 1e-4
 _COLUMNS = {"unit": np.uint64, "fp": np.uint64, "side": np.uint8}
 
 
@@ -116,6 +121,12 @@ def leaves_near(fp: np.ndarray, dense: list[np.ndarray], budget: int) -> tuple[n
     return np.concatenate(rows), np.concatenate(leaves), np.concatenate(own)
 
 
+def _spread(dense: list[np.ndarray]) -> int:
+    """A bound on the leaves near a fingerprint: as many as prefixes of the trie's mean depth within two bits of its own."""
+    depth = STEP * len(dense)
+    return 1 + depth + depth * (depth - 1) // 2
+
+
 def _split(fp: np.ndarray, lo: np.ndarray, hi: np.ndarray, bit: int) -> np.ndarray:
     """First index of each sorted range whose fingerprint has the bit set, all higher bits being equal in a range."""
     lo, hi, one = lo.copy(), hi.copy(), np.uint64(bit)
@@ -180,9 +191,11 @@ def _union(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> None:
 def links(fps: DataFrame, budget: int = BUDGET, leaf: int | None = None) -> DataFrame:
     """Distinct fingerprints (fp) -> (u, v) whose components are those of all links at `budget` or fewer differing bits."""
     spark = fps.sparkSession
+    n = fps.count()
     if leaf is None:
-        leaf = min(1_000_000, max(8192, fps.count() // 1024))
-    dense, parts = dense_prefixes(fps, leaf), partitions(spark)
+        leaf = min(1_000_000, max(8192, n // 1024))
+    dense = dense_prefixes(fps, leaf)
+    parts = blobs.parts_for(spark, n * ROW_BYTES * _spread(dense), PART_BYTES)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -218,9 +231,15 @@ def links(fps: DataFrame, budget: int = BUDGET, leaf: int | None = None) -> Data
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", budget: int = BUDGET) -> DataFrame:
     """(id_col, fp, component_id) for every row; component_id is the least id reachable over links."""
     rows = stage(fingerprints(docs, id_col, text_col), "fingerprints")
-    classes = stage(rows.groupBy("fp").agg(F.min("id").alias("least")), "classes")
+    classes = stage(rows.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("copies")), "classes")
     roots = components(links(classes, budget)).select(F.col("node").alias("fp"), "root")
-    rooted = classes.join(roots, "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    rooted = classes.join(roots, "fp", "left").select("fp", "least", "copies", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    of_class = rooted.join(least, "root").select("fp", "component_id")
-    return rows.join(of_class, "fp").select(F.col("id").alias(id_col), "fp", "component_id")
+    of_class = stage(rooted.join(least, "root").select("fp", "copies", "component_id"), "members")
+    # the copies of a frequent text are not brought together: its class is sent to them
+    many = F.col("copies") > HOT_SHARE * classes.agg(F.coalesce(F.sum("copies"), F.lit(0))).first()[0]
+    hot = of_class.where(many).select("fp", F.col("component_id").alias("hot_id"), F.lit(True).alias("hot"))
+    marked = rows.join(F.broadcast(hot), "fp", "left")
+    near = marked.where("hot").select("id", "fp", F.col("hot_id").alias("component_id"))
+    far = marked.where("hot is null").select("id", "fp").join(of_class.where(~many).select("fp", "component_id"), "fp")
+    return near.unionByName(far).select(F.col("id").alias(id_col), "fp", "component_id")

@@ -6,7 +6,8 @@ windows are then compared by two independent 64-bit hashes of their words.
 Equal texts are recognised first: all their windows repeat.
 
 Nulls: a null text has no words; null ids are allowed.  Two rows with equal
-texts are two places, also if their ids are equal.
+texts are two places, also if their ids are equal.  Of a column of docs that has the
+name of a result, the result stays.
 """
 
 from __future__ import annotations
@@ -24,6 +25,7 @@ from jointsem.llm.repeats import with_spans
 from jointsem.llm.text import Prefix, Words, merged, mix, slices, space_table
 
 WIDTH = 35
+_MADE = ("n_words", "n_removed", "kept_sha256")
 
 
 class _WordScan:
@@ -67,9 +69,10 @@ class WordScheme:
 
 def dedup_words(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, text_out: bool = False) -> DataFrame:
     """docs without the text column, with n_words, n_removed and kept_sha256; with text_out the text column holds the kept words."""
-    found = with_spans(docs, WordScheme(width), id_col, text_col)
-    columns = [c for c in docs.columns if c != text_col]
-    rows = found.select(F.col("_text").alias("text"), F.coalesce(F.col("copies") == 1, F.lit(False)).alias("single"), F.col("_starts").alias("starts"), F.col("_stops").alias("stops"), *[F.col(c).alias(f"_{n}") for n, c in enumerate(columns)])
+    columns = [c for c in docs.columns if c != text_col and c not in _MADE]
+    safe = docs.select(F.col(text_col).alias("_body"), F.col(id_col).alias("_key"), *[F.col(c).alias(f"_{n}") for n, c in enumerate(columns)])
+    found = with_spans(safe, WordScheme(width), "_key", "_body")
+    rows = found.select(F.col("_text").alias("text"), F.coalesce(F.col("copies") == 1, F.lit(False)).alias("single"), F.col("_starts").alias("starts"), F.col("_stops").alias("stops"), *[f"_{n}" for n in range(len(columns))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in slices(batches):

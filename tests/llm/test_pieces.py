@@ -1,10 +1,12 @@
 import hashlib
 import random
 
+import numpy as np
 import public_tokenizers
 import pytest
 import sentencepiece
 
+from jointsem.llm import pieces
 from jointsem.llm.pieces import Encoder, Model, round_trip
 
 PATH = public_tokenizers.path("piece_bpe_32k.model")
@@ -47,3 +49,12 @@ def test_round_trip(documents, library):
     assert got == sorted(want)
     assert round_trip(documents([]), PATH).collect() == []
     assert [r.ids for r in round_trip(documents([(1, "a b")]), PATH, ids_out=True).collect()] == [library.encode("a b")]
+
+
+def test_words_that_share_a_hash_are_told_apart(library, monkeypatch):
+    """With a hash of two values nearly all words share one."""
+    monkeypatch.setattr(pieces, "_word_keys", lambda data, start, end: (end - start).astype(np.uint64) % np.uint64(2))
+    encoder = Encoder(Model(open(PATH, "rb").read()))
+    for part in (["ab cd", "ef"], ["xy zzz"], texts()[:40], ["one"], ["two"]):
+        ids, first = encoder.encode([t.encode() for t in part])
+        assert [ids[a:b].tolist() for a, b in zip(first[:-1], first[1:], strict=True)] == [library.encode(t) for t in part]
