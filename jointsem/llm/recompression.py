@@ -2,9 +2,12 @@
 
 A round first names every maximal run of one symbol, then splits the alphabet by
 a bit of the symbols' names into left and right ones and names every left-right
-pair.  A name is a 64-bit hash of what it stands for, so all tasks give equal
-strings equal names without a shared dictionary; what shares a name is compared
-afterwards by other hashes.
+pair.  Words, runs and pairs get 64-bit hashes for provisional names; they decide
+the structure, so that equal strings are cut alike everywhere.  A round of Spark
+then collects the definitions of a level's names from all texts (the word, the
+symbol and length of a run, the two symbols of a pair) and gives further names to
+definitions that share one.  So the names the next round builds on are exact: a
+name stands for one string, and equal names verify equal words.
 
 With each symbol goes the span of words that fixes it: its own words and those
 neighbours that were looked at.  A symbol whose span lies inside a repeated
@@ -13,26 +16,76 @@ passage appears in every copy of that passage, at the same place.
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 
-from jointsem.llm.text import Prefix, mix
+from jointsem.llm.text import Prefix, gather, mix
 
 ROUNDS = 3
 _RUN, _PAIR = np.uint64(0xA0761D6478BD642F), np.uint64(0xE7037ED1A0B428DB)
+_SHORT_RUN = np.uint64(0x8BB84B93962EACC9)
 
 
 @dataclass
 class Symbols:
-    """Symbols in order: name, text, and the words [low, high) that fix each; low or high is outside the text if its edge was looked at."""
+    """Symbols in order: provisional and exact name, text, own words [start, stop), and the words [low, high) that fix each; low or high is outside the text if its edge was looked at."""
 
     name: np.ndarray
+    exact: np.ndarray
     doc: np.ndarray
+    start: np.ndarray
+    stop: np.ndarray
     low: np.ndarray
     high: np.ndarray
 
 
+@dataclass
+class Definitions:
+    """What a level's names stand for: kind, name, first word, and bytes flat[at : at + size] of each."""
+
+    kind: int
+    name: np.ndarray
+    word: np.ndarray
+    at: np.ndarray
+    size: np.ndarray
+    flat: np.ndarray
+
+    def take(self, rows: np.ndarray) -> Definitions:
+        return Definitions(self.kind, self.name[rows], self.word[rows], self.at[rows], self.size[rows], self.flat)
+
+
+@dataclass
+class Names:
+    """Names of the definitions that share a hash, by kind and hash; all others are named by their hash.
+
+    Of n definitions about n ** 2 / 2 ** 65 share one, so this stays small.  Hashes of fewer bits are for tests.
+    """
+
+    table: dict[int, dict[int, dict[bytes, int]]] = field(default_factory=dict)
+    bits: int = 64
+
+    def cut(self, h: np.ndarray) -> np.ndarray:
+        return h & np.uint64(2**self.bits - 1)
+
+    def add(self, kind: int, name: int, definitions: list[bytes]) -> None:
+        """Name further definitions; the names that some of them have already stay."""
+        known = self.table.setdefault(kind, {}).setdefault(name, {})
+        for d in sorted(definitions):
+            if d not in known:
+                known[d] = name if not known else int(mix(np.array([(name + len(known) * int(_SHORT_RUN)) % 2**64], np.uint64))[0])
+
+    def resolve(self, d: Definitions) -> np.ndarray:
+        shared = self.table.get(d.kind)
+        if not shared:
+            return d.name
+        out = d.name.copy()
+        for i in np.flatnonzero(np.isin(d.name, np.array(list(shared), np.uint64))).tolist():
+            spelled = d.flat[d.at[i] : d.at[i] + d.size[i]].tobytes()
+            out[i] = shared[int(d.name[i])].get(spelled, int(d.name[i]))
+        return out
+
+
 def _neighbours(x: Symbols, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """low of the symbol before and high of the symbol after, one word beyond the text where there is none."""
     n = len(x.name)
@@ -44,48 +97,66 @@ def _neighbours(x: Symbols, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return low, high
 
 
-def _name_runs(x: Symbols, first: np.ndarray) -> Symbols:
+def _name_runs(x: Symbols, first: np.ndarray, kind: int, names: Names) -> tuple[Symbols, Definitions]:
     head = np.ones(len(x.name), bool)
     head[1:] = (x.name[1:] != x.name[:-1]) | (x.doc[1:] != x.doc[:-1])
     at = np.flatnonzero(head)
     end = np.append(at[1:], len(head)) - 1
     low, high = _neighbours(x, first)
     length = (end - at + 1).astype(np.uint64)
-    name = np.where(length > 1, mix(x.name[at] + length * _RUN), x.name[at])
-    return Symbols(name, x.doc[at], low[at], high[end])
-
-
-def _name_pairs(x: Symbols, first: np.ndarray, salt: int) -> Symbols:
+    name = np.where(length > 1, names.cut(mix(x.name[at] + length * _RUN)), x.name[at])
+    exact, several = x.exact[at].copy(), np.flatnonzero(length > 1)
+    start, size = at[several], length[several].astype(np.int64)
+    code = mix(x.exact[start] + length[several] * _RUN)
+    pairs = np.stack([x.exact[start], length[several]], axis=1).ravel()
+    # symbols of one provisional name may have several exact ones; such a run is defined by all of them
+    mixed = np.flatnonzero(np.maximum.reduceat(x.exact, at)[several] != np.minimum.reduceat(x.exact, at)[several]) if len(several) else several
+    place, width = np.arange(len(several)) * 16, np.full(len(several), 16)
+    flat = pairs.view(np.uint8)
+    if len(mixed):
+        more = gather(x.exact, start[mixed], size[mixed])
+        stop = np.cumsum(size[mixed])
+        code[mixed] = mix(Prefix(more).span(stop - size[mixed], stop) + _SHORT_RUN)
+        place[mixed], width[mixed] = len(flat) + 8 * (stop - size[mixed]), 8 * size[mixed]
+        flat = np.concatenate([flat, more.view(np.uint8)])
+    made = Definitions(kind, names.cut(code), x.start[start], place, width, flat)
+    exact[several] = names.resolve(made)
+    return Symbols(name, exact, x.doc[at], x.start[at], x.stop[end], low[at], high[end]), made
+
+
+def _name_pairs(x: Symbols, first: np.ndarray, salt: int, kind: int, names: Names) -> tuple[Symbols, Definitions]:
     left = mix(x.name ^ np.uint64(salt * 2 + 1)) >> np.uint64(63) == 0
     pair = np.zeros(len(x.name), bool)
     pair[:-1] = left[:-1] & ~left[1:] & (x.doc[1:] == x.doc[:-1])
     second = np.zeros(len(pair), bool)
     second[1:] = pair[:-1]
     low, high = _neighbours(x, first)
-    name = x.name.copy()
+    name, exact, stop = x.name.copy(), x.exact.copy(), x.stop.copy()
     at = np.flatnonzero(pair)
-    name[at] = mix(mix(x.name[at] + _PAIR) ^ x.name[at + 1])
+    name[at] = names.cut(mix(mix(x.name[at] + _PAIR) ^ x.name[at + 1]))
+    both = np.stack([x.exact[at], x.exact[at + 1]], axis=1).ravel()
+    made = Definitions(kind, names.cut(mix(mix(x.exact[at] + _PAIR) ^ x.exact[at + 1])), x.start[at], np.arange(len(at)) * 16, np.full(len(at), 16), both.view(np.uint8))
+    exact[at] = names.resolve(made)
     low = np.where(left, x.low, low)
     high = np.where(left, high, x.high)
-    high[at] = x.high[at + 1]
+    high[at], stop[at] = x.high[at + 1], x.stop[at + 1]
     keep = ~second
-    return Symbols(name[keep], x.doc[keep], low[keep], high[keep])
+    return Symbols(name[keep], exact[keep], x.doc[keep], x.start[keep], stop[keep], low[keep], high[keep]), made
 
 
-def compress(codes: np.ndarray, doc: np.ndarray, first: np.ndarray, rounds: int = ROUNDS, run_every: int = 1) -> Symbols:
-    """Symbols after so many rounds over word codes; first[d] is the first word of text d, first[-1] their number."""
+def compress(codes: np.ndarray, exact: np.ndarray, doc: np.ndarray, first: np.ndarray, names: Names, rounds: int = ROUNDS) -> tuple[Symbols, list[list[Definitions]]]:
+    """Symbols after so many rounds over words with provisional codes and exact names, and each round's definitions; first[d] is the first word of text d, first[-1] their number."""
     at = np.arange(len(codes))
-    x = Symbols(codes, doc, at, at + 1)
-    for r in range(rounds):
-        if len(x.name) and r % run_every == 0:
-            x = _name_runs(x, first)
-        if len(x.name):
-            x = _name_pairs(x, first, r)
-    return x
+    x, made = Symbols(codes, exact, doc, at, at + 1, at, at + 1), []
+    for r in range(rounds if len(codes) else 0):
+        x, runs = _name_runs(x, first, 2 * r + 1, names)
+        x, pairs = _name_pairs(x, first, r, 2 * r + 2, names)
+        made.append([runs, pairs])
+    return x, made
 
 
-def anchors(codes: np.ndarray, doc: np.ndarray, first: np.ndarray, width: int, rounds: int = ROUNDS, run_every: int = 1) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(hash, first, count): consecutive windows of `width` words of one text that choose the same symbol.
+def anchors(codes: np.ndarray, x: Symbols, first: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(hash, first, count, symbol): consecutive windows of `width` words of one text that choose the same symbol; -1 for none.
 
     A window chooses, of the symbols fixed inside it, that with the least hash of
     the words fixing it.  One without such a symbol is its own anchor.  Both
@@ -100,9 +171,8 @@ def anchors(codes: np.ndarray, doc: np.ndarray, first: np.ndarray, width: int, r
     start = np.flatnonzero(np.cumsum(edge[:-1]) > 0)
     if not len(start):
         none = np.zeros(0, np.int64)
-        return np.zeros(0, np.uint64), none, none
-    x = compress(codes, doc, first, rounds, run_every)
-    inside = (x.low >= first[x.doc]) & (x.high <= first[x.doc + 1]) & (x.high - x.low <= width)
+        return np.zeros(0, np.uint64), none, none, none
+    inside = np.flatnonzero((x.low >= first[x.doc]) & (x.high <= first[x.doc + 1]) & (x.high - x.low <= width))
     low, high = x.low[inside], x.high[inside]
     own = mix(prefix.span(low, high) ^ x.name[inside])
     lo, hi = np.searchsorted(low, start), np.searchsorted(high, start + width, "right") - 1
@@ -128,4 +198,4 @@ def anchors(codes: np.ndarray, doc: np.ndarray, first: np.ndarray, width: int, r
     count = np.diff(np.append(at, len(start)))
     alone = chosen[at] < 0
     h = np.where(alone, mix(prefix.span(start[at], start[at] + width) + np.uint64(1)), own[chosen[at]] if len(own) else np.uint64(0))
-    return h, start[at], count
+    return h, start[at], count, np.where(alone, -1, inside[chosen[at]] if len(inside) else -1)

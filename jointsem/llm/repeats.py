@@ -65,6 +65,9 @@ class Scheme(Protocol):
 
     def scan(self, texts: list[bytes]) -> Scan: ...
 
+    def named(self, rows: DataFrame, parts: int) -> tuple[Scheme, DataFrame]:
+        """The scheme and rows (id, th, firsts, text) as the comparison is to use them."""
+
     def classes(self, content: np.ndarray, offset: np.ndarray, count: np.ndarray) -> np.ndarray:
         """A class for every window of pieces, piece after piece; equal windows share one."""
 
@@ -204,6 +207,13 @@ def _union(id_: np.ndarray, th: np.ndarray, start: np.ndarray, stop: np.ndarray)
     return id_[own], th[own], (a & 0xFFFFFFFF).astype(np.int32), (b & 0xFFFFFFFF).astype(np.int32)
 
 
+def chosen(s: Scan, batch: pa.RecordBatch) -> np.ndarray:
+    """The anchors whose first windows `firsts` names."""
+    firsts = batch.column(batch.schema.get_field_index("firsts"))
+    wanted = (np.repeat(np.arange(len(firsts)), [len(x) for x in firsts]) << 32) | np.asarray(firsts.flatten()).astype(np.int64)
+    return np.flatnonzero(np.isin((s.doc.astype(np.int64) << 32) | s.first, wanted)) if len(s.h) else np.zeros(0, np.int64)
+
+
 def _piece_map(work: Work, hot: np.ndarray):
     scheme, parts = work.scheme, work.parts
 
@@ -216,7 +226,7 @@ def _piece_map(work: Work, hot: np.ndarray):
         at = np.flatnonzero(new)
         end = np.append(at[1:], len(new))
         run = np.cumsum(new) - 1
-        same = _same(content, start, c["size"], at[run])
+        same = same_bytes(content, start, c["size"], at[run])
         if scheme.by_id:
             answered = same & (c["id"] > c["id"][at[run]])
             many = np.zeros(len(new), np.uint8)
@@ -238,9 +248,7 @@ def _piece_map(work: Work, hot: np.ndarray):
         size = 0
         for batch, texts in slices(batches):
             s = scheme.scan(texts)
-            firsts = batch.column(batch.schema.get_field_index("firsts"))
-            wanted = (np.repeat(np.arange(len(firsts)), [len(x) for x in firsts]) << 32) | np.asarray(firsts.flatten()).astype(np.int64)
-            at = np.flatnonzero(np.isin((s.doc.astype(np.int64) << 32) | s.first, wanted)) if len(s.h) else np.zeros(0, np.int64)
+            at = chosen(s, batch)
             if not len(at):
                 continue
             skip, count, h = np.zeros(len(at), np.int64), s.count[at], s.h[at]
@@ -265,7 +273,7 @@ def _piece_map(work: Work, hot: np.ndarray):
     return run
 
 
-def _same(content: np.ndarray, start: np.ndarray, size: np.ndarray, other: np.ndarray) -> np.ndarray:
+def same_bytes(content: np.ndarray, start: np.ndarray, size: np.ndarray, other: np.ndarray) -> np.ndarray:
     """Whether each piece has the bytes of piece other[i]."""
     size = size.astype(np.int64)
     same = size == size[other]
@@ -310,7 +318,7 @@ def repeated_spans(texts: DataFrame, scheme: Scheme, hot: np.ndarray, parts: int
             h, ph, id_, th, first, count, many = (x[k][order] for k in ("h", "ph", "id", "th", "first", "count", "many"))
             start, size = start[order], size[order]
             new = starts_of_runs(h, count, ph)
-            new |= ~_same(x["content"], start, size, np.flatnonzero(new)[np.cumsum(new) - 1])
+            new |= ~same_bytes(x["content"], start, size, np.flatnonzero(new)[np.cumsum(new) - 1])
             at = np.flatnonzero(new)
             end = np.append(at[1:], len(h))
             run = np.cumsum(new) - 1
@@ -381,6 +389,7 @@ def with_spans(docs: DataFrame, scheme: Scheme, id_col: str, text_col: str) -> D
     hot = np.frombuffer(b"".join(bytes(r.hot) for r in found.where("part = -1").select("hot").collect()), np.uint64)
     wanted = firsts.join(by_text(found, parts), "th").select("id", "th", "firsts")
     rows = keyed.select(F.col("_id").alias("id"), F.col("_th").alias("th"), F.col("_text").alias("text")).join(wanted, ["id", "th"])
+    scheme, rows = scheme.named(rows, parts)
     spans = repeated_spans(rows, scheme, hot, parts).withColumnsRenamed({"starts": "_starts", "stops": "_stops"})
     known = stage(firsts.join(spans, ["id", "th"], "left"), "spans").select(F.col("id").alias("_id"), F.col("th").alias("_th"), "_t2", "copies", "_starts", "_stops", F.lit(True).alias("_first"))
     return keyed.join(known, ["_id", "_th", "_t2"], "left")

@@ -6,9 +6,9 @@ from collections import Counter
 import numpy as np
 import pytest
 
-from jointsem.llm.recompression import compress
+from jointsem.llm.recompression import Names, compress
 from jointsem.llm.text import Words, space_table
-from jointsem.llm.word_dedup import dedup_words
+from jointsem.llm.word_dedup import WordScheme, dedup_words
 
 
 def plain(rows, width=35):
@@ -47,6 +47,40 @@ def test_matches_brute_force(documents, monkeypatch, hot):
     assert sorted((str(r[0]), *r[1:]) for r in got) == plain(rows)
 
 
+@pytest.mark.parametrize("bits", [3, 8])
+def test_words_and_symbols_that_share_a_hash_get_names_of_their_own(documents, bits):
+    """With names of so few bits nearly all definitions share one, and only further names tell them apart."""
+    rows = cases()[:45]
+    got = dedup_words(documents(rows).repartition(3), bits=bits).select("doc_id", "n_words", "n_removed", "kept_sha256").collect()
+    assert sorted((str(r[0]), *r[1:]) for r in got) == plain(rows)
+
+
+def test_equal_names_stand_for_equal_words():
+    """A symbol's exact name decides: altering it alone makes two equal windows differ."""
+    scheme = WordScheme(20)
+    passage = " ".join(f"w{i}" for i in range(80))
+    texts = [passage.encode(), f"x {passage} y".encode()]
+    s = scheme.scan(texts)
+    at = np.flatnonzero(np.isin(s.h, s.h[s.doc == 0]) & (s.symbol >= 0))
+    assert len(at) > 2
+    zero = np.zeros(len(at), np.int64)
+
+    def classes():
+        _, size, content = s.pieces(at, zero, s.count[at])
+        return scheme.classes(content, np.cumsum(size) - size, s.count[at])
+
+    before = classes()
+    assert len(set(before.tolist())) < len(before)
+    s.symbols.exact[s.symbol[at[s.doc[at] == 0]]] += np.uint64(1)
+    assert len(set(classes().tolist())) > len(set(before.tolist()))
+
+
+def test_columns_with_the_names_of_results_are_replaced(documents):
+    docs = documents([(1, "a b c")]).selectExpr("*", "'x' as n_words", "'y' as copies", "'z' as _id", "'w' as _starts")
+    got = dedup_words(docs).first()
+    assert (got.n_words, got.copies, got._id, got._starts) == (3, "y", "z", "w")
+
+
 def test_empty_table(documents):
     assert dedup_words(documents([])).collect() == []
 
@@ -56,7 +90,8 @@ def test_symbols_fixed_inside_a_passage_recur_with_it():
     passage = [rng.choice("abcde") for _ in range(60)]
     texts = [" ".join([rng.choice("abcde") for _ in range(rng.randrange(30))] + passage + [rng.choice("abcde") for _ in range(20)]).encode() for _ in range(20)]
     words = Words(texts, space_table())
-    x = compress(words.hashes(), words.doc, words.first, rounds=3)
+    codes = words.hashes()
+    x, _ = compress(codes, codes, words.doc, words.first, Names(), rounds=3)
     seen = []
     for d, t in enumerate(texts):
         p = words.first[d] + next(k for k in range(100) if t.split()[k : k + 60] == [c.encode() for c in passage])
