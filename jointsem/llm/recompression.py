@@ -97,61 +97,76 @@ def _neighbours(x: Symbols, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return low, high
 
 
-def _name_runs(x: Symbols, first: np.ndarray, kind: int, names: Names) -> tuple[Symbols, Definitions]:
+def _name_runs(x: Symbols, first: np.ndarray, kind: int, names: Names, define: bool) -> tuple[Symbols, Definitions | None]:
     head = np.ones(len(x.name), bool)
     head[1:] = (x.name[1:] != x.name[:-1]) | (x.doc[1:] != x.doc[:-1])
     at = np.flatnonzero(head)
     end = np.append(at[1:], len(head)) - 1
     low, high = _neighbours(x, first)
-    length = (end - at + 1).astype(np.uint64)
-    name = np.where(length > 1, names.cut(mix(x.name[at] + length * _RUN)), x.name[at])
-    exact, several = x.exact[at].copy(), np.flatnonzero(length > 1)
-    start, size = at[several], length[several].astype(np.int64)
-    code = mix(x.exact[start] + length[several] * _RUN)
-    pairs = np.stack([x.exact[start], length[several]], axis=1).ravel()
-    # symbols of one provisional name may have several exact ones; such a run is defined by all of them
-    mixed = np.flatnonzero(np.maximum.reduceat(x.exact, at)[several] != np.minimum.reduceat(x.exact, at)[several]) if len(several) else several
+    several = np.flatnonzero(end > at)
+    length = (end[several] - at[several] + 1).astype(np.uint64)
+    name, made = x.name[at], None
+    name[several] = names.cut(mix(name[several] + length * _RUN))
+    exact = name
+    if define or names.table:
+        made = _run_definitions(x, at, several, length, kind, names)
+        if names.table:
+            exact = x.exact[at]
+            exact[several] = names.resolve(made)
+    return Symbols(name, exact, x.doc[at], x.start[at], x.stop[end], low[at], high[end]), made
+
+
+def _run_definitions(x: Symbols, at: np.ndarray, several: np.ndarray, length: np.ndarray, kind: int, names: Names) -> Definitions:
+    """A run is defined by its symbol and length; symbols of one provisional name may have several exact ones, and such a run is defined by all of them."""
+    start, size = at[several], length.astype(np.int64)
+    code = mix(x.exact[start] + length * _RUN)
     place, width = np.arange(len(several)) * 16, np.full(len(several), 16)
-    flat = pairs.view(np.uint8)
+    flat = np.stack([x.exact[start], length], axis=1).ravel().view(np.uint8)
+    mixed = np.flatnonzero(np.maximum.reduceat(x.exact, at)[several] != np.minimum.reduceat(x.exact, at)[several]) if len(several) else several
     if len(mixed):
         more = gather(x.exact, start[mixed], size[mixed])
         stop = np.cumsum(size[mixed])
         code[mixed] = mix(Prefix(more).span(stop - size[mixed], stop) + _SHORT_RUN)
         place[mixed], width[mixed] = len(flat) + 8 * (stop - size[mixed]), 8 * size[mixed]
         flat = np.concatenate([flat, more.view(np.uint8)])
-    made = Definitions(kind, names.cut(code), x.start[start], place, width, flat)
-    exact[several] = names.resolve(made)
-    return Symbols(name, exact, x.doc[at], x.start[at], x.stop[end], low[at], high[end]), made
+    return Definitions(kind, names.cut(code), x.start[start], place, width, flat)
 
 
-def _name_pairs(x: Symbols, first: np.ndarray, salt: int, kind: int, names: Names) -> tuple[Symbols, Definitions]:
+def _name_pairs(x: Symbols, first: np.ndarray, salt: int, kind: int, names: Names, define: bool) -> tuple[Symbols, Definitions | None]:
     left = mix(x.name ^ np.uint64(salt * 2 + 1)) >> np.uint64(63) == 0
     pair = np.zeros(len(x.name), bool)
     pair[:-1] = left[:-1] & ~left[1:] & (x.doc[1:] == x.doc[:-1])
-    second = np.zeros(len(pair), bool)
-    second[1:] = pair[:-1]
+    keep = np.ones(len(pair), bool)
+    keep[1:] = ~pair[:-1]
     low, high = _neighbours(x, first)
-    name, exact, stop = x.name.copy(), x.exact.copy(), x.stop.copy()
-    at = np.flatnonzero(pair)
+    at, made = np.flatnonzero(pair), None
+    name, stop = x.name.copy(), x.stop.copy()
     name[at] = names.cut(mix(mix(x.name[at] + _PAIR) ^ x.name[at + 1]))
-    both = np.stack([x.exact[at], x.exact[at + 1]], axis=1).ravel()
-    made = Definitions(kind, names.cut(mix(mix(x.exact[at] + _PAIR) ^ x.exact[at + 1])), x.start[at], np.arange(len(at)) * 16, np.full(len(at), 16), both.view(np.uint8))
-    exact[at] = names.resolve(made)
+    exact = name
+    if define or names.table:
+        both = np.stack([x.exact[at], x.exact[at + 1]], axis=1).ravel()
+        made = Definitions(kind, names.cut(mix(mix(x.exact[at] + _PAIR) ^ x.exact[at + 1])), x.start[at], np.arange(len(at)) * 16, np.full(len(at), 16), both.view(np.uint8))
+        if names.table:
+            exact = x.exact.copy()
+            exact[at] = names.resolve(made)
     low = np.where(left, x.low, low)
     high = np.where(left, high, x.high)
     high[at], stop[at] = x.high[at + 1], x.stop[at + 1]
-    keep = ~second
-    return Symbols(name[keep], exact[keep], x.doc[keep], x.start[keep], stop[keep], low[keep], high[keep]), made
+    name = name[keep]
+    return Symbols(name, exact[keep] if names.table else name, x.doc[keep], x.start[keep], stop[keep], low[keep], high[keep]), made
 
 
-def compress(codes: np.ndarray, exact: np.ndarray, doc: np.ndarray, first: np.ndarray, names: Names, rounds: int = ROUNDS) -> tuple[Symbols, list[list[Definitions]]]:
-    """Symbols after so many rounds over words with provisional codes and exact names, and each round's definitions; first[d] is the first word of text d, first[-1] their number."""
+def compress(codes: np.ndarray, exact: np.ndarray, doc: np.ndarray, first: np.ndarray, names: Names, rounds: int = ROUNDS, define: int = 0) -> tuple[Symbols, list[Definitions]]:
+    """Symbols after so many rounds over words with provisional codes and exact names, and the definitions of round `define`; first[d] is the first word of text d, first[-1] their number.
+
+    While no definitions share a hash, exact names are the provisional ones.
+    """
     at = np.arange(len(codes))
     x, made = Symbols(codes, exact, doc, at, at + 1, at, at + 1), []
-    for r in range(rounds if len(codes) else 0):
-        x, runs = _name_runs(x, first, 2 * r + 1, names)
-        x, pairs = _name_pairs(x, first, r, 2 * r + 2, names)
-        made.append([runs, pairs])
+    for r in range(1, rounds + 1 if len(codes) else 0):
+        x, runs = _name_runs(x, first, 2 * r - 1, names, r == define)
+        x, pairs = _name_pairs(x, first, r - 1, 2 * r, names, r == define)
+        made += [runs, pairs] if r == define else []
     return x, made
 
 

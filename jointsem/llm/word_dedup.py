@@ -39,13 +39,13 @@ _MADE = ("n_words", "n_removed", "kept_sha256")
 
 
 class _WordScan:
-    def __init__(self, texts: list[bytes], width: int, rounds: int, names: Names):
+    def __init__(self, texts: list[bytes], width: int, rounds: int, names: Names, define: int = 0):
         words = Words(texts, space_table())
         codes = names.cut(words.hashes())
         self.width = width
         self.words = Definitions(0, codes, np.arange(len(codes)), words.starts, words.ends - words.starts, words.data)
         self.exact = names.resolve(self.words)
-        self.symbols, self.made = compress(codes, self.exact, words.doc, words.first, names, rounds)
+        self.symbols, self.made = compress(codes, self.exact, words.doc, words.first, names, rounds, define)
         self.h, self.start, self.count, self.symbol = anchors(codes, self.symbols, words.first, width)
         self.doc = words.doc[self.start]
         self.first = self.start - words.first[self.doc]
@@ -61,7 +61,7 @@ class _WordScan:
         np.add.at(cover, start, 1)
         np.add.at(cover, stop, -1)
         inside = np.cumsum(cover) > 0
-        found = self.made[level - 1] if level else [self.words]
+        found = self.made if level else [self.words]
         return [d.take(np.flatnonzero(inside[d.word])) for d in found]
 
     def pieces(self, at: np.ndarray, skip: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -87,8 +87,8 @@ class WordScheme:
     def __init__(self, width: int = WIDTH, rounds: int = ROUNDS, names: Names | None = None):
         self.width, self.rounds, self.names = width, rounds, names or Names()
 
-    def scan(self, texts: list[bytes]) -> _WordScan:
-        return _WordScan(texts, self.width, self.rounds, self.names)
+    def scan(self, texts: list[bytes], define: int = 0) -> _WordScan:
+        return _WordScan(texts, self.width, self.rounds, self.names, define)
 
     def named(self, rows: DataFrame, parts: int) -> tuple[WordScheme, DataFrame]:
         """The scheme with exact names for the words and symbols that decide about rows, and rows as a table.
@@ -180,7 +180,7 @@ def _shared_names(rows: DataFrame, scheme: WordScheme, level: int, parts: int) -
             return ragged_pack(blobs.part_of(columns["name"], parts), columns, "content", columns["size"].astype(np.int64), content, _NAMED)
 
         for batch, texts in slices(batches):
-            s = scheme.scan(texts)
+            s = scheme.scan(texts, level)
             at = chosen(s, batch)
             if len(at):
                 held.append(_distinct(s.definitions(at, level)))
