@@ -40,8 +40,20 @@ def _pairwise(records: Records, instruction: str, model: Metered, params: Params
     return w + w.T
 
 
+def in_order(ids: np.ndarray, k: int) -> np.ndarray:
+    """Clusters numbered by their first record, so that equal groupings have equal numbers."""
+    seen, first = np.unique(ids, return_index=True)
+    number = np.zeros(k, np.int64)
+    number[seen[np.argsort(first)]] = np.arange(len(seen))
+    return number[ids]
+
+
 def cluster_batch(records: Records, instruction: str, k: int, model: Metered, params: Params, batch: int = 0) -> Clustering:
-    """Clusters 0..k-1.  The trace holds (round, bound, objective, records moved)."""
+    """Clusters 0..k-1, numbered by their first records.  The trace holds (round, bound, objective, records moved).
+
+    With a warm start, random starts are tried in the first round and where the
+    questions would end; a better grouping found there puts the end off.
+    """
     n = len(records)
     ids = np.array(records.ids, np.int64)
     search = {"k": k, "record_ids": ids, "seed": params.seed, "restarts": params.restarts}
@@ -49,8 +61,9 @@ def cluster_batch(records: Records, instruction: str, k: int, model: Metered, pa
         return Clustering(np.zeros(n, np.int64), np.zeros((n, n)), 0)
     if params.edge_mode in ("pairwise", "pairwise_context"):
         w = _pairwise(records, instruction, model, params, params.edge_mode == "pairwise_context")
-        return Clustering(correlation_cluster(w, **search), w, 1)
+        return Clustering(in_order(correlation_cluster(w, **search), k), w, 1)
     votes, out = Votes(n, params.unseen_weight), Clustering(np.zeros(n, np.int64), np.zeros((n, n)), 0)
+    w = votes.weights()
     for r in range(1, params.max_rounds + 1):
         rows = draw_sample(ids, params.sample, params.seed, batch, r)
         part = records.take(rows)
@@ -62,11 +75,18 @@ def cluster_batch(records: Records, instruction: str, k: int, model: Metered, pa
             answer, transitive = model.group_pairs(instruction, part, f"{batch}|{r}"), params.transitive
         pairs, bad = answered_rows(answer, ids[rows])
         votes.add(rows, positive_matrix(len(rows), pairs, transitive))
-        w = votes.weights()
-        new = correlation_cluster(w, start=out.ids if params.start == "warm" and r > 1 else None, **search)
-        bound = uncertain_bound(disagreement(w, new, k), new, votes.per_pair() if params.rounds_seen == "pair_mean" else r)
+        votes.refresh(w, rows)
+        warm = params.start == "warm" and r > 1
+        new = in_order(correlation_cluster(w, start=out.ids, **(search | {"restarts": 0})) if warm else correlation_cluster(w, **search), k)
+        seen = votes.per_pair() if params.rounds_seen == "pair_mean" else r
+        bound = uncertain_bound(disagreement(w, new, k), new, seen)
+        done = should_stop(bound, n, params.stop_share)
+        if warm and (done or r == params.max_rounds):
+            new = in_order(correlation_cluster(w, start=new, **search), k)
+            bound = uncertain_bound(disagreement(w, new, k), new, seen)
+            done = should_stop(bound, n, params.stop_share)
         out.trace.append((r, bound, objective(w, new, k), int((new != out.ids).sum())))
         out.ids, out.weights, out.rounds, out.malformed = new, w, r, out.malformed + bad
-        if should_stop(bound, n, params.stop_share):
+        if done:
             break
     return out

@@ -56,7 +56,7 @@ def correlation_cluster(w: np.ndarray, k: int, record_ids: np.ndarray, seed: str
     gain = 2 * w - 1
     np.fill_diagonal(gain, 0)
     best, value = None, np.inf
-    for r in range(max(1, restarts) + (start is not None)):
+    for r in range(restarts + 1 if start is not None else max(1, restarts)):
         u = uniforms((seed, "start", r), record_ids.tolist())
         first = start if start is not None and r == 0 else np.minimum((u * k).astype(np.int64), k - 1)
         ids = _settle(gain, first, k, np.argsort(u, kind="stable"), sweeps)

@@ -75,6 +75,13 @@ class Votes:
         np.fill_diagonal(out, 0)
         return out
 
+    def refresh(self, w: np.ndarray, rows: np.ndarray) -> None:
+        """Bring the weights of all pairs of these rows up to date in w."""
+        at = np.ix_(rows, rows)
+        negative, seen = self.negative[at], self.positive[at] + self.negative[at]
+        w[at] = np.where(seen > 0, negative / np.maximum(seen, 1), self.unseen)
+        w[rows, rows] = 0
+
     def per_pair(self) -> float:
         n = len(self.positive)
         return float((self.positive + self.negative).sum()) / (n * (n - 1)) if n > 1 else 0.0
@@ -104,7 +111,7 @@ def sample_pairs_df(samples: DataFrame) -> DataFrame:
     return samples.withColumnRenamed("id", "a").join(other, ["batch_id", "round"]).where("a < b")
 
 
-def closed_labels_df(samples: DataFrame, answers: DataFrame, max_steps: int = 20) -> DataFrame:
+def closed_labels_df(samples: DataFrame, answers: DataFrame, max_steps: int = 64) -> DataFrame:
     """(batch_id, round, id, label): the least id that answered pairs connect a record with, inside its sample."""
     keys = ["batch_id", "round"]
     both = answers.unionByName(answers.select(*keys, F.col("b").alias("a"), F.col("a").alias("b")))
@@ -117,9 +124,9 @@ def closed_labels_df(samples: DataFrame, answers: DataFrame, max_steps: int = 20
         labels = stage(near.join(jump, [*keys, "label"], "left").select(*keys, "id", F.coalesce("next", "label").alias("label")), "labels")
         total = labels.agg(F.sum("label")).first()[0]
         if total == last:
-            break
+            return labels
         last = total
-    return labels
+    raise RuntimeError(f"labels did not settle in {max_steps} steps")
 
 
 def pair_closure_df(samples: DataFrame, answers: DataFrame) -> DataFrame:

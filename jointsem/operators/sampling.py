@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 from jointsem.functions.hashing import portable_uniform
 
 _PER_BUCKET = 200_000
+#: Offsets of the ranges are broadcast, so there are at most so many; beyond, ranges grow.
+_MOST_BUCKETS = 1 << 20
 
 
 def hash_sample(df: DataFrame, id_col: str, share: float, seed: str) -> DataFrame:
@@ -40,7 +42,7 @@ def assign_batches(df: DataFrame, size: int, seed: str, id_col: str = "id", n: i
     """
     n = df.count() if n is None else n
     batches = max(1, math.ceil(n / size))
-    buckets = max(1, math.ceil(n / bucket_rows))
+    buckets = min(_MOST_BUCKETS, max(1, math.ceil(n / bucket_rows)))
     rows = df.withColumn("_u", portable_uniform(seed, F.col(id_col))).withColumn("_bucket", F.floor(F.col("_u") * buckets).cast("int"))
     place = F.row_number().over(Window.partitionBy("_bucket").orderBy("_u", id_col)) - 1
     if buckets > 1:
@@ -50,5 +52,7 @@ def assign_batches(df: DataFrame, size: int, seed: str, id_col: str = "id", n: i
         rows = rows.withColumn("_place", place).join(F.broadcast(offsets), "_bucket")
     else:
         rows = rows.withColumn("_place", place).withColumn("_before", F.lit(0))
-    number = F.floor((F.col("_place") + F.col("_before")) * batches / max(1, n)).cast("long")
+    # place * batches / n in whole numbers; beyond what a long holds, in decimals
+    kind = "bigint" if n * batches < 2**62 else "decimal(19,0)"
+    number = F.expr(f"cast((cast(_place + _before as {kind}) * cast({batches} as {kind})) div cast({max(1, n)} as {kind}) as bigint)")
     return rows.withColumn("batch_id", number).drop("_u", "_bucket", "_place", "_before")

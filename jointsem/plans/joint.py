@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from jointsem.models.base import Metered, Pool, Records
 from jointsem.operators.assignment import assign_classes, match_weights
-from jointsem.operators.clustering import cluster_batch
+from jointsem.operators.clustering import Clustering, cluster_batch
 from jointsem.operators.ordering import order_clusters, precedence, to_scores
 from jointsem.plans.params import Params
 
@@ -24,9 +24,13 @@ def _records(pdf: pd.DataFrame) -> Records:
 
 def label_records(records: Records, task: str, instruction: str, labels: list[str], k: int, pool: Pool, params: Params, batch: int) -> pd.DataFrame:
     """Predictions of one batch; usage and clustering figures stand in its first row."""
-    asker, labeller = Metered(pool.tier(params.cluster_tier)), Metered(pool.tier(params.assign_tier))
+    asker = Metered(pool.tier(params.cluster_tier))
     found = cluster_batch(records, instruction, k, asker, params, batch)
-    ids, key = found.ids, str(batch)
+    return _labelled(records, found, asker, task, instruction, labels, k, pool, params, batch)
+
+
+def _labelled(records: Records, found: Clustering, asker: Metered, task: str, instruction: str, labels: list[str], k: int, pool: Pool, params: Params, batch: int) -> pd.DataFrame:
+    labeller, ids, key = Metered(pool.tier(params.assign_tier)), found.ids, str(batch)
     if task == "cluster" and not labels:
         names: list[str] = []
         for c in range(k):
@@ -63,6 +67,17 @@ def label_batches(batches: DataFrame, task: str, instruction: str, labels: list[
     return batches.groupBy("batch_id").applyInPandas(work, SCHEMA)
 
 
+def label_clusters(clustered: DataFrame, task: str, instruction: str, labels: list[str], k: int, pool: Pool, params: Params) -> DataFrame:
+    """(batch_id, id, cluster_id, text[, hidden]) -> SCHEMA: the given clusters are labelled, and nothing is clustered anew."""
+
+    def work(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("id")
+        found = Clustering(pdf["cluster_id"].to_numpy(np.int64) - 1, np.zeros((0, 0)), 0)
+        return _labelled(_records(pdf), found, Metered(pool.tier(params.cluster_tier)), task, instruction, labels, k, pool, params, int(pdf["batch_id"].iloc[0]))
+
+    return clustered.groupBy("batch_id").applyInPandas(work, SCHEMA)
+
+
 def cluster_batches(batches: DataFrame, instruction: str, k: int, pool: Pool, params: Params) -> DataFrame:
     """(batch_id, id, cluster_id) with clusters 1..k per batch, without labels."""
 

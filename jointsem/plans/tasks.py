@@ -19,7 +19,7 @@ from jointsem.functions.expressions import as_records
 from jointsem.models.base import Metered, Pool, Records
 from jointsem.operators.sampling import assign_batches, sample_batch
 from jointsem.plans.cascade import choose_proxy, choose_threshold, cost_of_threshold, full_joint_feasible, predicted_cost, route, row_wise
-from jointsem.plans.joint import label_batches, usage_rows
+from jointsem.plans.joint import label_batches, label_clusters, usage_rows
 from jointsem.plans.params import Params
 from jointsem.sources.stages import stage
 
@@ -48,6 +48,15 @@ def _routed(labelled: DataFrame, name: str) -> DataFrame:
     return labelled.withColumn("route", F.lit(name)).select(*_KEPT)
 
 
+def _counted(records: DataFrame) -> int:
+    """The number of records; an id that is null or repeats would make joins on it multiply rows, and is an error."""
+    each = records.groupBy("id").agg(F.count("*").alias("n"))
+    n, most, nulls = each.agg(F.coalesce(F.sum("n"), F.lit(0)), F.max("n"), F.count(F.when(F.col("id").isNull(), 1))).first()
+    if nulls or (most or 0) > 1:
+        raise ValueError("ids must be unique and not null; stable_id() makes such ids")
+    return n
+
+
 def run_task(
     task: str,
     df: DataFrame,
@@ -73,7 +82,7 @@ def run_task(
     if task == "score" and not labels:
         labels = [str(s) for s in range(1, k + 1)]
     records = as_records(df, id_col, text_cols, hidden)
-    n, size = records.count(), params.batch_size(k)
+    n, size = _counted(records), params.batch_size(k)
     first = stage(sample_batch(records, size, params.seed, n=n).withColumn("batch_id", F.lit(-1).cast("long")), "sample")
     done = stage(label_batches(first, task, instruction, labels or [], k, pool, params), "first")
     ledger = usage_rows(done, "sample", pool)
@@ -82,7 +91,8 @@ def run_task(
         labels = [r.pred for r in done.select("cluster_id", "pred").distinct().orderBy("cluster_id").collect()]
         labels += [f"empty {c}" for c in range(len(labels) + 1, k + 1)]
         if params.cluster_names == "matching":
-            done = stage(label_batches(first, "classify", instruction, labels, k, pool, params), "first")
+            clustered = first.join(done.select("id", "cluster_id"), "id")
+            done = stage(label_clusters(clustered, "classify", instruction, labels, k, pool, params), "first")
             ledger += usage_rows(done, "sample names", pool)
     report = {"n": n, "k": k, "batch": size, "c0": c0, "tau": None, "proxy": None, "budget_exceeded": False, "labels": labels}
     parts = [_routed(done, "sample")]

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -22,6 +23,16 @@ def read_any(spark: SparkSession, path: str, fmt: str, schema: str | None = None
     return reader.load(path) if path else reader.load()
 
 
+def read_or_empty(spark: SparkSession, path: str, schema: str) -> DataFrame:
+    """A Parquet table, or an empty one if nothing was written there yet; every other error is raised."""
+    try:
+        return spark.read.schema(schema).parquet(path)
+    except AnalysisException as error:
+        if error.getCondition() != "PATH_NOT_FOUND":
+            raise
+        return spark.createDataFrame([], schema)
+
+
 def parse_props(events: DataFrame, schema: str = "k INT") -> DataFrame:
     """events with props as a struct; malformed JSON gives nulls."""
     return events.withColumn("props", F.from_json("props", schema))
@@ -46,10 +57,7 @@ class ResponseCache:
         self.spark, self.path, self.schema = spark, path, f"key string, {schema}"
 
     def _table(self) -> DataFrame:
-        try:
-            return self.spark.read.schema(self.schema).parquet(self.path)
-        except Exception:  # noqa: BLE001  nothing stored yet
-            return self.spark.createDataFrame([], self.schema)
+        return read_or_empty(self.spark, self.path, self.schema)
 
     @staticmethod
     def keyed(prompts: DataFrame, model: str, prompt: str = "prompt") -> DataFrame:

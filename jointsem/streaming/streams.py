@@ -13,7 +13,7 @@ from jointsem.operators.sampling import assign_batches
 from jointsem.plans.cascade import row_wise
 from jointsem.plans.joint import label_batches
 from jointsem.plans.params import Params
-from jointsem.sources.tables import read_table
+from jointsem.sources.tables import read_or_empty, read_table
 
 
 def stream_table(spark: SparkSession, sf_dir: str, name: str, files_per_trigger: int = 1) -> DataFrame:
@@ -68,10 +68,7 @@ class JointSink:
         self.tau, self.params, self.budget, self.proxy = tau, params or Params(), budget, proxy
 
     def _read(self, spark: SparkSession, name: str, schema: str) -> DataFrame:
-        try:
-            return spark.read.schema(schema).parquet(f"{self.folder}/{name}")
-        except Exception:  # noqa: BLE001  nothing written yet
-            return spark.createDataFrame([], schema)
+        return read_or_empty(spark, f"{self.folder}/{name}", schema)
 
     def spent(self, spark: SparkSession) -> float:
         return self._read(spark, "ledger", "cost double, epoch long").agg(F.coalesce(F.sum("cost"), F.lit(0.0))).first()[0]
@@ -79,10 +76,12 @@ class JointSink:
     def predictions(self, spark: SparkSession) -> DataFrame:
         return self._read(spark, "predictions", "id long, pred string, route string, epoch long")
 
-    def pending(self, spark: SparkSession) -> DataFrame:
-        """Unsure records without a joint prediction yet."""
+    def pending(self, spark: SparkSession, epoch: int | None = None) -> DataFrame:
+        """Unsure records without a joint prediction yet, as seen before an epoch: those of the epochs since the last joint batch, which took all that waited."""
+        before = F.lit(True) if epoch is None else F.col("epoch") < epoch
+        last = self._read(spark, "ledger", "cost double, joint boolean, epoch long").where(F.col("joint") & before).agg(F.max("epoch")).first()[0]
         waiting = self._read(spark, "waiting", "id long, text string, hidden string, epoch long")
-        return waiting.join(self.predictions(spark).where("route = 'joint'").select("id"), "id", "left_anti")
+        return waiting if last is None else waiting.where(F.col("epoch") > last)
 
     def _write(self, df: DataFrame, name: str, epoch: int) -> None:
         df.drop("epoch").write.mode("overwrite").parquet(f"{self.folder}/{name}/epoch={epoch}")
@@ -99,13 +98,14 @@ class JointSink:
         sure = scored.where(F.col("confidence") >= self.tau) if open_ else scored
         self._write(rows.join(scored.where(F.col("confidence") < self.tau).select("id"), "id", "left_semi") if open_ else rows.limit(0), "waiting", epoch)
         out = sure.select("id", "pred", F.lit("proxy").alias("route"))
-        waiting = self.pending(spark).where(F.col("epoch") <= epoch).persist()
+        waiting = self.pending(spark, epoch).where(F.col("epoch") <= epoch).persist()
         size = self.params.batch_size(len(self.labels))
-        if open_ and waiting.count() >= size:
+        full = open_ and waiting.count() >= size
+        if full:
             joint, price = self._joint(waiting.drop("epoch"))
             out, cost = out.unionByName(joint), cost + price
         self._write(out, "predictions", epoch)
-        self._write(spark.createDataFrame([(float(cost),)], "cost double"), "ledger", epoch)
+        self._write(spark.createDataFrame([(float(cost), full)], "cost double, joint boolean"), "ledger", epoch)
         for df in (rows, scored, waiting):
             df.unpersist()
 
@@ -119,11 +119,11 @@ class JointSink:
 
     def flush(self, spark: SparkSession, epoch: int) -> None:
         """Label whatever still waits, as when a timer fires or the stream ends."""
-        waiting = self.pending(spark).drop("epoch")
+        waiting = self.pending(spark, epoch).drop("epoch")
         if waiting.limit(1).count():
             joint, cost = self._joint(waiting)
             self._write(joint, "predictions", epoch)
-            self._write(spark.createDataFrame([(float(cost),)], "cost double"), "ledger", epoch)
+            self._write(spark.createDataFrame([(float(cost), True)], "cost double, joint boolean"), "ledger", epoch)
 
 
 def run_available(stream: DataFrame, target: Callable[[DataFrame, int], None], checkpoint: str) -> None:
