@@ -28,7 +28,12 @@ class Records:
 
 
 class LanguageModel(Protocol):
-    """Answers; each costs one call of the records it is shown."""
+    """Answers; each costs one call of the records it is shown.
+
+    A model may also have classify_rows(instruction, labels, records, context), which
+    reads many records one by one at once, and columns(text, labels), which gives the
+    label and its log-probability as column expressions.
+    """
 
     def classify(self, instruction: str, labels: list[str], record: Records, context: str = "", key: str = "") -> tuple[str, float]:
         """Label of one record, and the log-probability of the answer."""
@@ -50,6 +55,9 @@ class LanguageModel(Protocol):
 
     def summarize(self, instruction: str, records: Records, key: str = "") -> str: ...
 
+    def extract(self, instruction: str, fields: dict[str, str], records: Records, key: str = "") -> dict[str, str]:
+        """Values of named fields for the first record, the others being its context."""
+
     def rubric(self, instruction: str, labels: list[str], records: Records, key: str = "") -> str: ...
 
     def keyphrases(self, instruction: str, record: Records, key: str = "") -> list[str]: ...
@@ -119,6 +127,19 @@ class Metered:
         self.usage.add(self._shown(instruction, labels, record, context), tokens_of(answer[0]))
         return answer
 
+    def classify_rows(self, instruction, labels, records, context=""):
+        """Answers to each record by itself, and the tokens of each."""
+        model = self.tier.model
+        if hasattr(model, "classify_rows"):
+            answers = model.classify_rows(instruction, labels, records, context)
+        else:
+            answers = [model.classify(instruction, labels, records.take([r]), context) for r in range(len(records))]
+        fixed = self._shown(instruction, labels, context)
+        tokens = [(fixed + tokens_of(t) + 2, tokens_of(a[0])) for t, a in zip(records.texts, answers, strict=True)]
+        for t in tokens:
+            self.usage.add(*t)
+        return answers, tokens
+
     def classify_many(self, instruction, labels, records, key=""):
         answer = self.tier.model.classify_many(instruction, labels, records, key)
         self.usage.add(self._shown(instruction, labels, records), sum(tokens_of(a) for a in answer))
@@ -154,6 +175,11 @@ class Metered:
         self.usage.add(self._shown(instruction, records), tokens_of(answer))
         return answer
 
+    def extract(self, instruction, fields, records, key=""):
+        answer = self.tier.model.extract(instruction, fields, records, key)
+        self.usage.add(self._shown(instruction, list(fields), list(fields.values()), records), sum(map(tokens_of, answer.values())))
+        return answer
+
     def rubric(self, instruction, labels, records, key=""):
         answer = self.tier.model.rubric(instruction, labels, records, key)
         self.usage.add(self._shown(instruction, labels, records), tokens_of(answer))

@@ -7,6 +7,9 @@ import re
 from collections import Counter
 from dataclasses import dataclass, field
 
+from pyspark.sql import Column
+from pyspark.sql import functions as F
+
 from jointsem.models.base import Records
 
 
@@ -81,6 +84,21 @@ class LexicalModel:
         names = list(self.spec)
         return Counter(names[self._best(t, names)] for t in records.texts).most_common(1)[0][0] if len(records) else "empty"
 
+    def extract(self, instruction: str, fields: dict[str, str], records: Records, key: str = "") -> dict[str, str]:
+        """The first match of each field's pattern."""
+        found = {n: re.search(p, records.texts[0] or "") for n, p in fields.items()}
+        return {n: m[0] if m else "" for n, m in found.items()}
+
+    def columns(self, text: Column, labels: list[str]) -> tuple[Column, Column]:
+        """classify() as expressions; the patterns must mean the same to Java."""
+        low = F.lower(F.coalesce(text, F.lit("")))
+        counts = F.array(*[F.regexp_count(low, F.lit(self.spec.get(n, re.escape(n.lower())))) for n in labels])
+        total = F.aggregate(counts, F.lit(0), lambda s, x: s + x)
+        scaled = F.transform(counts, lambda c: F.when(total > 0, self.sharpness * c / total).otherwise(F.lit(0.0)))
+        top = F.array_max(scaled)
+        best = F.element_at(F.array(*map(F.lit, labels)), F.array_position(scaled, top).cast("int"))
+        return best, -F.log(F.aggregate(scaled, F.lit(0.0), lambda s, x: s + F.exp(x - top)))
+
     def rubric(self, instruction: str, labels: list[str], records: Records, key: str = "") -> str:
         return "; ".join(f"{n}: like {self.spec.get(n, n)}" for n in labels)
 

@@ -145,6 +145,9 @@ class SimulatedModel:
         n = Counter(h or "" for h in records.hidden)
         return min(n, key=lambda c: (-n[c], c)) if n else "empty"
 
+    def extract(self, instruction: str, fields: dict[str, str], records: Records, key: str = "") -> dict[str, str]:
+        return dict.fromkeys(fields, self._alone(records.ids[0], records.hidden[0])[0] if len(records) == 1 else records.hidden[0] or "")
+
     def rubric(self, instruction: str, labels: list[str], records: Records, key: str = "") -> str:
         return "guidelines for " + ", ".join(labels)
 

@@ -80,17 +80,35 @@ def plain_cascade(records: DataFrame, instruction: str, labels: list[str], pool:
     return found
 
 
-def target_threshold(confidence: np.ndarray, agree: np.ndarray, target: float, delta: float = 0.1, grid: int = 20) -> float:
-    """The least threshold whose agreement with the strong model is at least target with probability 1 - delta; above 1 if none is.
+def most_losses(n: int, target: float, delta: float = 0.1) -> int:
+    """The most of n sampled records that may be lost for the share of all that are lost to be at most 1 - target, with probability 1 - delta; -1 if none may be.
 
-    A record counts as lost if the light model is sure of it and disagrees; the
-    bound is Hoeffding's, over all thresholds of the grid at once.
+    The exact binomial bound: so few losses would have a chance of at most delta if the share were larger.
     """
-    slack = math.sqrt(math.log(grid / delta) / (2 * max(1, len(agree))))
-    for t in np.linspace(0, 1, grid, endpoint=False):
-        if 1 - np.mean((confidence >= t) & ~agree) - slack >= target:
-            return float(t)
-    return 1.000001
+    lost, chance, found = 1 - target, 0.0, -1
+    for k in range(n):
+        chance += math.comb(n, k) * lost**k * target ** (n - k)
+        if chance > delta:
+            break
+        found = k
+    return found
+
+
+def target_threshold(confidence: np.ndarray, agree: np.ndarray, target: float, delta: float = 0.1) -> float:
+    """The least sampled confidence at which agreement with the strong model is at least target with probability 1 - delta; 0 if any will do, above 1 if none does.
+
+    A record is lost if the light model is sure of it and disagrees.  Thresholds
+    are tested from the highest down until one fails, so delta holds for all of
+    them together: losses only grow on the way.
+    """
+    allowed = most_losses(len(agree), target, delta)
+    lost = np.sort(confidence[~agree])[::-1]
+    if allowed < 0:
+        return 1.000001
+    if len(lost) <= allowed:
+        return 0.0
+    above = confidence[confidence > lost[allowed]]
+    return float(above.min()) if len(above) else 1.000001
 
 
 def target_cascade(records: DataFrame, instruction: str, labels: list[str], pool: Pool, target: float = 0.9, sample: int = 200, delta: float = 0.1, seed: str = "target") -> Result:
@@ -105,7 +123,8 @@ def target_cascade(records: DataFrame, instruction: str, labels: list[str], pool
     strong = stage(row_wise(asked, instruction, labels, pool.strong), "strong")
     known = both.join(unsure.select("id"), "id", "left_semi")
     ledger = [_spent(light, "light", "light", pool), _spent(both, "sample", "strong", pool), _spent(strong, "strong", "strong", pool)]
-    return _result(sure.unionByName(strong).unionByName(known), "target_cascade", ledger, {"tau": tau})
+    n, left = light.count(), unsure.count()
+    return _result(sure.unionByName(strong).unionByName(known), "target_cascade", ledger, {"tau": tau, "light_share": (n - left) / n if n else 1.0})
 
 
 def text_vectors(records: DataFrame, size: int = 512, extra: str | None = None) -> DataFrame:
@@ -168,10 +187,8 @@ def label_then_assign(records: DataFrame, instruction: str, k: int, pool: Pool,
         return pd.DataFrame({"name": names or [""], "tokens_in": [meter.usage.tokens_in] + [0] * (max(1, len(names)) - 1), "tokens_out": [meter.usage.tokens_out] + [0] * (max(1, len(names)) - 1)})
 
     proposed = stage(assign_batches(records, size, seed).groupBy("batch_id").applyInPandas(propose, "name string, tokens_in long, tokens_out long"), "names")
-    # names are merged by count, so the driver sees the most frequent ones only
-    counts = proposed.where("name <> ''").groupBy("name").count().orderBy(F.desc("count"), "name").limit(20 * k).collect()
     merger = Metered(one)
-    labels = merger.merge_labels(instruction, [r.name for r in counts for _ in range(min(50, r["count"]))], k)
+    labels = _merged(proposed.where("name <> ''").groupBy("name").agg(F.count("*").alias("n")), instruction, k, merger)
     labels += [f"other {i}" for i in range(len(labels) + 1, k + 1)]
     found = row_by_row(records, instruction, labels, pool, tier)
     spent = proposed.agg(F.sum(F.when(F.col("tokens_in") > 0, 1)), F.sum("tokens_in"), F.sum("tokens_out")).first()
@@ -180,6 +197,20 @@ def label_then_assign(records: DataFrame, instruction: str, k: int, pool: Pool,
     return Result(found.predictions.withColumn("route", F.lit("label_then_assign")), ledger, {"cost": sum(r[5] for r in ledger), "labels": labels})
 
 
+def _merged(counts: DataFrame, instruction: str, k: int, merger: Metered, page: int = 1000) -> list[str]:
+    """k names from all that were proposed, the most frequent first: pages of names are merged into k each, and these again, so no prompt holds more than a page."""
+    names: list[str] = []
+    held: list[str] = []
+    for r in counts.orderBy(F.desc("n"), "name").toLocalIterator():
+        held += [r.name] * min(int(r.n), max(1, page // 20))
+        if len(held) >= page:
+            names += merger.merge_labels(instruction, held, k)
+            held = []
+    if not names:
+        return merger.merge_labels(instruction, held, k)
+    return merger.merge_labels(instruction, names + (merger.merge_labels(instruction, held, k) if held else []), k)
+
+
 def semantic_group_by(records: DataFrame, instruction: str, k: int, pool: Pool, sample: int = 200, tier: str = "strong", seed: str = "groups", steps: int = 10) -> Result:
     """Groups that the model predicts on a sample give K-means its first centres."""
     from pyspark.ml.functions import vector_to_array

@@ -11,29 +11,49 @@ from pyspark.sql import functions as F
 
 from jointsem.functions.expressions import token_count, tokens_of
 from jointsem.models.base import Metered, Records, Tier
-from jointsem.sources.stages import spread
+from jointsem.sources.stages import spread, stage
+from jointsem.sources.tables import ResponseCache
 
 ROWS = "id long, pred string, confidence double, tokens_in long, tokens_out long"
 BINS = 4096
 
 
-def row_wise(records: DataFrame, instruction: str, labels: list[str], tier: Tier, context: str = "") -> DataFrame:
-    """Each record by itself: a narrow map with one model client per partition."""
+def row_wise(records: DataFrame, instruction: str, labels: list[str], tier: Tier, context: str = "", cache: ResponseCache | None = None) -> DataFrame:
+    """Each record by itself: column expressions where the model has them, else a narrow map with one model client per partition.
+
+    With a cache, texts that the tier was asked about before are looked up and cost nothing, and new answers are stored before they are used.
+    """
+    if cache:
+        return _cached(records, instruction, labels, tier, context, cache)
+    if hasattr(tier.model, "columns"):
+        label, log = tier.model.columns(F.col("text"), labels)
+        fixed = tokens_of(instruction) + sum(map(tokens_of, labels)) + tokens_of(context) + 2
+        answered = spread(records).select("id", "text", F.struct(label.alias("pred"), F.exp(log).alias("confidence")).alias("a"))
+        return answered.select("id", "a.pred", "a.confidence", (token_count(F.col("text")) + fixed).alias("tokens_in"), token_count(F.col("a.pred")).alias("tokens_out"))
 
     def work(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         meter = Metered(tier)
         for pdf in parts:
-            hidden = pdf["hidden"].where(pdf["hidden"].notna(), None).tolist() if "hidden" in pdf else None
-            rows = []
-            for n, (i, t) in enumerate(zip(pdf["id"], pdf["text"], strict=True)):
-                tin, tout = meter.usage.tokens_in, meter.usage.tokens_out
-                label, log = meter.classify(instruction, labels, Records([int(i)], [t or ""], [hidden[n]] if hidden else []), context)
-                rows.append((i, label, math.exp(log), meter.usage.tokens_in - tin, meter.usage.tokens_out - tout))
-            yield pd.DataFrame(rows, columns=["id", "pred", "confidence", "tokens_in", "tokens_out"])
+            hidden = pdf["hidden"].where(pdf["hidden"].notna(), None).tolist() if "hidden" in pdf else []
+            every = Records(pdf["id"].tolist(), [t or "" for t in pdf["text"]], hidden)
+            answers, tokens = meter.classify_rows(instruction, labels, every, context)
+            yield pd.DataFrame({"id": every.ids, "pred": [a for a, _ in answers], "confidence": [math.exp(x) for _, x in answers], "tokens_in": [t for t, _ in tokens], "tokens_out": [t for _, t in tokens]}, columns=["id", "pred", "confidence", "tokens_in", "tokens_out"])
 
     return spread(records).mapInPandas(work, ROWS)
 
 
+def _cached(records: DataFrame, instruction: str, labels: list[str], tier: Tier, context: str, cache: ResponseCache) -> DataFrame:
+    asked = F.concat_ws("\0", F.lit(instruction), F.lit("\1".join(labels)), F.lit(context), F.coalesce("text", F.lit("")))
+    keyed = stage(cache.keyed(records.withColumn("prompt", asked), tier.name).drop("prompt"), "asked")
+    _, open_ = cache.lookup(keyed)
+    new = stage(row_wise(open_.drop("key"), instruction, labels, tier, context), "answers")
+    cache.store(open_.select("id", "key").join(new, "id").select("key", "pred", "confidence"))
+    known, _ = cache.lookup(keyed)
+    paid = new.select(F.col("id").alias("_paid"), "tokens_in", "tokens_out")
+    spent = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
+    return known.join(paid, F.col("id") == F.col("_paid"), "left").select("id", "pred", "confidence", spent("tokens_in"), spent("tokens_out"))
+
+
 def predicted_cost(records: DataFrame, instruction: str, labels: list[str], tiers: list[Tier], context: str = "") -> list[float]:
     """Cost of a row-wise pass with each tier, from token counts and prices alone."""
     fixed = tokens_of(instruction) + sum(map(tokens_of, labels)) + tokens_of(context) + 2

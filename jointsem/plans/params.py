@@ -12,7 +12,7 @@ def default_batch_size(k: int) -> int:
 @dataclass(frozen=True)
 class Params:
     """edge_mode: pairs, cluster_labels, pairwise, pairwise_context.  assign: matching, independent, with_examples, majority.
-    score_assign: order, matching, independent.  rounds_seen: pair_mean (annotations per pair) or rounds.  start: random or warm."""
+    score_assign: order, matching, independent.  proxy: rows, ladder (light, then strong where light is less sure than ladder_tau), batch or rubric.  rounds_seen: pair_mean (annotations per pair) or rounds.  start: random or warm."""
 
     batch: int | None = None
     sample: int = 80
@@ -35,6 +35,8 @@ class Params:
     cluster_names: str = "identity"
     on_infeasible: str = "proxy_all"
     call_batch: int = 50
+    proxy: str = "rows"
+    ladder_tau: float = 0.7
     seed: str = "joint"
 
     def batch_size(self, k: int) -> int:

@@ -18,9 +18,10 @@ from pyspark.sql import functions as F
 from jointsem.functions.expressions import as_records
 from jointsem.models.base import Metered, Pool, Records
 from jointsem.operators.sampling import assign_batches, sample_batch
-from jointsem.plans.cascade import choose_proxy, choose_threshold, cost_of_threshold, full_joint_feasible, predicted_cost, route, row_wise
+from jointsem.plans.cascade import choose_proxy, choose_threshold, cost_of_threshold, full_joint_feasible, predicted_cost, route
 from jointsem.plans.joint import label_batches, label_clusters, usage_rows
 from jointsem.plans.params import Params
+from jointsem.plans.proxies import proxy_scores
 from jointsem.sources.stages import stage
 
 LEDGER = "stage string, tier string, calls long, tokens_in long, tokens_out long, cost double"
@@ -105,11 +106,9 @@ def run_task(
         if not whole:
             strong, light = predicted_cost(rest, instruction, labels, [pool.strong, pool.light])
             name = choose_proxy(c0, strong, budget)
-            tier = pool.tier(name)
-            scored = stage(row_wise(rest, instruction, labels, tier), "scores")
-            spent = scored.agg(F.count("*"), F.sum("tokens_in"), F.sum("tokens_out")).first()
-            c_proxy = (spent[1] * tier.price_in + spent[2] * tier.price_out) / 1e6
-            ledger.append(("proxy", name, int(spent[0]), int(spent[1]), int(spent[2]), c_proxy))
+            scored, paid = proxy_scores(rest, instruction, labels, pool, name, params)
+            c_proxy = sum(r[5] for r in paid)
+            ledger += paid
             tau = 0.0 if force_route == "proxy" else choose_threshold(scored, size, c0, c_proxy, budget)
             if tau is None:
                 if params.on_infeasible == "error":
@@ -156,30 +155,82 @@ def semantic_filter(df: DataFrame, id_col: str, text_cols: list[str], predicate:
     return df.join(kept, id_col, "left_semi"), found
 
 
-def semantic_filter_all(df: DataFrame, id_col: str, text_cols: list[str], predicates: list[str], pool: Pool, **options) -> tuple[DataFrame, list[Result]]:
-    """A conjunction: each predicate is asked only of the rows that passed those before, the shortest first."""
-    results = []
-    for p in sorted(predicates, key=len):
+def semantic_filter_all(df: DataFrame, id_col: str, text_cols: list[str], predicates: list[str], pool: Pool, probe: int = 200, **options) -> tuple[DataFrame, list[Result]]:
+    """A conjunction: each predicate is asked only of the rows that passed those before.
+
+    A sample is asked all of them first; what rejects most for its price comes first.  Probes cost what they cost, and their results come first.
+    """
+    sample = stage(sample_batch(df.withColumnRenamed(id_col, "id"), probe, "probe").withColumnRenamed("id", id_col), "probe")
+    n = max(1, sample.count())
+    results, rank = [], []
+    for place, p in enumerate(predicates):
+        kept, found = semantic_filter(sample, id_col, text_cols, p, pool, **options)
+        results.append(found)
+        rank.append((found.cost / n / max(1e-9, 1 - kept.count() / n), place, p))
+    for _, _, p in sorted(rank):
         df, found = semantic_filter(df, id_col, text_cols, p, pool, **options)
         df = stage(df, "filtered")
         results.append(found)
     return df, results
 
 
-def candidate_pairs(left: DataFrame, right: DataFrame, shingle: int = 8) -> DataFrame:
+def semantic_where(df: DataFrame, id_col: str, text_cols: list[str], condition, pool: Pool, **options) -> tuple[DataFrame, list[Result]]:
+    """Rows that meet a condition: a predicate, ("not", c), ("and", c, ...) or ("or", c, ...).
+
+    What is decided is not asked again: later parts of "and" see the rows that passed, those of "or" the rows that did not.
+    """
+    if isinstance(condition, str):
+        kept, found = semantic_filter(df, id_col, text_cols, condition, pool, **options)
+        return kept, [found]
+    kind, *parts = condition
+    if kind == "not":
+        kept, found = semantic_where(df, id_col, text_cols, parts[0], pool, **options)
+        return df.join(kept.select(id_col), id_col, "left_anti"), found
+    if kind not in ("and", "or"):
+        raise ValueError(f"no such condition: {kind}")
+    results, left, passed = [], df, None
+    for c in parts:
+        kept, found = semantic_where(left, id_col, text_cols, c, pool, **options)
+        results += found
+        kept = stage(kept, "kept")
+        if kind == "and":
+            left = kept
+        else:
+            passed = kept if passed is None else passed.unionByName(kept)
+            left = stage(left.join(kept.select(id_col), id_col, "left_anti"), "left")
+    return (left if kind == "and" else passed), results
+
+
+def word_runs(df: DataFrame, name: str, length: int) -> DataFrame:
+    """(id, text) -> (name, gram): hashes of the distinct runs of `length` words; a shorter text is one run."""
+    words = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
+    at = F.sequence(F.lit(1), F.size("words") - (length - 1))
+    joined = lambda part: F.xxhash64(F.array_join(part, " "))
+    grams = F.when(F.size("words") >= length, F.array_distinct(F.transform(at, lambda i: joined(F.slice("words", i, length))))).otherwise(F.array(joined(F.col("words"))))
+    return df.select(F.col("id").alias(name), words.alias("words")).select(name, F.explode(grams).alias("gram"))
+
+
+def candidate_pairs(left: DataFrame, right: DataFrame, shingle: int = 8, split: int = 100_000) -> DataFrame:
     """(left_id, right_id) of texts that share a run of `shingle` words; left and right are (id, text).
 
-    Runs are counted first: one that is frequent on both sides would pair every
-    holder with every other, so the pairs are distinct before they are rendered.
+    Runs are counted on both sides first.  Those that only one side holds go no
+    further, and one that would make over `split` pairs is cut into parts: each
+    left holder goes to one of them, and the right ones to all, so no task gets a
+    frequent run as a whole.  Pairs are distinct before they are rendered.
     """
+    l, r = stage(word_runs(left, "left_id", shingle), "runs"), stage(word_runs(right, "right_id", shingle), "runs")
+    both = l.groupBy("gram").agg(F.count("*").alias("n")).join(r.groupBy("gram").agg(F.count("*").alias("m")), "gram")
+    parts = stage(both.select("gram", F.greatest(F.lit(1), F.least(F.ceil(F.col("n") * F.col("m") / split), F.col("n"))).cast("int").alias("parts")), "counts")
+    dealt = l.join(parts, "gram").select("left_id", "gram", F.pmod(F.xxhash64("left_id"), F.col("parts")).cast("int").alias("part"))
+    copies = r.join(parts, "gram").select("right_id", "gram", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"))
+    return dealt.join(copies, ["gram", "part"]).select("left_id", "right_id").distinct()
 
-    def runs(df: DataFrame, name: str) -> DataFrame:
-        words = F.split(F.trim(F.lower("text")), r"[^\p{L}\p{N}]+")
-        at = F.sequence(F.lit(1), F.size(words) - (shingle - 1))
-        grams = F.when(F.size(words) >= shingle, F.array_distinct(F.transform(at, lambda i: F.xxhash64(F.array_join(F.slice(words, i, shingle), " "))))).otherwise(F.array(F.xxhash64(F.array_join(words, " "))))
-        return df.select(F.col("id").alias(name), F.explode(grams).alias("gram"))
 
-    return runs(left, "left_id").join(runs(right, "right_id"), "gram").select("left_id", "right_id").distinct()
+def blocking_recall(candidates: DataFrame, truth: DataFrame) -> DataFrame:
+    """One row: true pairs, how many of them are candidates, how many candidates there are, and the share found (1 if nothing is true)."""
+    hit = truth.select("left_id", "right_id").join(candidates.withColumn("_hit", F.lit(1)), ["left_id", "right_id"], "left")
+    counted = hit.agg(F.count("*").alias("n_true"), F.count("_hit").alias("n_found")).join(F.broadcast(candidates.agg(F.count("*").alias("n_candidates"))))
+    return counted.withColumn("recall", F.when(F.col("n_true") > 0, F.col("n_found") / F.col("n_true")).otherwise(1.0))
 
 
 def semantic_join(left: DataFrame, right: DataFrame, predicate: str, pool: Pool, block: int | None = 8, cross_limit: int = 1_000_000, **options) -> tuple[DataFrame, Result]:
@@ -196,26 +247,42 @@ def semantic_join(left: DataFrame, right: DataFrame, predicate: str, pool: Pool,
     return kept.select("left_id", "right_id"), found
 
 
-def contextual_map(labelled: DataFrame, records: DataFrame, instruction: str, pool: Pool, tier: str = "strong", n_context: int = 3) -> DataFrame:
-    """(id, answer): an open-ended answer per record, asked with the members nearest in hash order of its cluster as context.
+def _in_context(labelled: DataFrame, records: DataFrame, n_context: int, answer, schema: str) -> DataFrame:
+    """answer(every, near) for each record, with the members nearest in id order of its cluster; (id, ...) rows.
 
     labelled is (id, batch_id, cluster_id), records (id, text[, hidden]).
     """
     both = records.join(labelled.where("cluster_id is not null").select("id", "batch_id", "cluster_id"), "id")
-    one = pool.tier(tier)
+    columns = [c.split()[0] for c in schema.split(", ")]
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
-        meter = Metered(one)
         pdf = pdf.sort_values("id")
         hidden = pdf["hidden"].where(pdf["hidden"].notna(), None).tolist() if "hidden" in pdf else []
         every = Records(pdf["id"].astype(int).tolist(), pdf["text"].fillna("").tolist(), hidden)
-        out = []
+        rows = []
         for r in range(len(every)):
             near = [(r + s) % len(every) for s in range(min(len(every), n_context + 1))]
-            out.append((every.ids[r], meter.summarize(instruction, every.take(near))))
-        return pd.DataFrame(out, columns=["id", "answer"])
+            rows.append((every.ids[r], *answer(every.take(near))))
+        return pd.DataFrame(rows, columns=columns)
+
+    return both.groupBy("batch_id", "cluster_id").applyInPandas(work, schema)
+
+
+def contextual_map(labelled: DataFrame, records: DataFrame, instruction: str, pool: Pool, tier: str = "strong", n_context: int = 3) -> DataFrame:
+    """(id, answer): an open-ended answer per record, asked with neighbours of its cluster as context."""
+    one = pool.tier(tier)
+    return _in_context(labelled, records, n_context, lambda near: (Metered(one).summarize(instruction, near),), "id long, answer string")
+
+
+def contextual_extract(labelled: DataFrame, records: DataFrame, instruction: str, fields: dict[str, str], pool: Pool, tier: str = "strong", n_context: int = 3) -> DataFrame:
+    """(id, a column for each field): values found in each record, asked with neighbours of its cluster as context; fields gives each name its meaning (a pattern, for the lexical model)."""
+    one = pool.tier(tier)
+
+    def answer(near: Records) -> tuple:
+        found = Metered(one).extract(instruction, fields, near)
+        return tuple(found.get(n, "") for n in fields)
 
-    return both.groupBy("batch_id", "cluster_id").applyInPandas(work, "id long, answer string")
+    return _in_context(labelled, records, n_context, answer, "id long, " + ", ".join(f"{n} string" for n in fields))
 
 
 def explain_cost(n: int, k: int, c0: float, row_cost: float, budget: float, params: Params | None = None) -> Iterator[str]:
