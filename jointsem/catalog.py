@@ -98,7 +98,7 @@ def evaluation_sample_docs(spark, sf):
     return evaluation_sample(read_table(spark, sf, "documents", "doc_id").select(F.col("doc_id").alias("id")))
 
 
-# ---- edge weights of one small batch of parts
+# ---- edge weights of small batches of parts
 
 _NAMES = "[" + ", ".join(f"'{n}'" for n in NOUNS) + "]"
 
@@ -109,7 +109,8 @@ def _next(label: str, draw: str) -> str:
 
 
 _KEY = "concat_ws('|', batch_id, round)"
-_CTE = f"""WITH r AS (SELECT CAST(0 AS BIGINT) AS batch_id, p_partkey AS id, split_part(p_name, ' ', 2) AS truth FROM part WHERE p_partkey <= 60),
+_CTE = f"""WITH r AS (SELECT CAST(floor((n - 1) * ceil(c / 60.0) / c) AS BIGINT) AS batch_id, id, truth FROM (
+  SELECT p_partkey AS id, split_part(p_name, ' ', 2) AS truth, row_number() OVER (ORDER BY {u("'edges'", "p_partkey")}, p_partkey) AS n, count(*) OVER () AS c FROM part)),
 s AS (SELECT batch_id, round, id, truth FROM (SELECT *, row_number() OVER (PARTITION BY batch_id, round ORDER BY {u("'joint'", "batch_id", "round", "id")}, id) AS p
   FROM r, (SELECT CAST(unnest(range(1, 11)) AS INT) AS round)) WHERE p <= 20),
 seen AS (SELECT *, CASE WHEN {u("'sim'", "'group'", _KEY, "id")} < {NOISE.group} THEN {_next("truth", u("'sim'", "'group'", "'other'", _KEY, "id"))} ELSE truth END AS c FROM s),
@@ -129,7 +130,9 @@ def _weights(positives: str) -> str:
 
 
 def _parts(spark, sf) -> DataFrame:
-    return read_table(spark, sf, "part", "p_partkey", "p_name").where("p_partkey <= 60").select(F.lit(0).cast("long").alias("batch_id"), F.col("p_partkey").alias("id"), F.split("p_name", " ")[1].alias("truth"))
+    """All parts in batches of 60."""
+    parts = read_table(spark, sf, "part", "p_partkey", "p_name").select(F.col("p_partkey").alias("id"), F.split("p_name", " ")[1].alias("truth"))
+    return assign_batches(parts, 60, "edges").select("batch_id", "id", "truth")
 
 
 def _samples(spark, sf) -> DataFrame:
@@ -193,12 +196,12 @@ def edge_weights_cluster_labels(spark, sf):
 
 
 @query(f"""{_CTE} SELECT x.batch_id, x.id AS a, y.id AS b, CAST((x.truth <> y.truth) <> ({u("'sim'", "'pair'", "'0'", "x.id", "y.id")} < {NOISE.pair}) AS INT) AS weight
-  FROM r x JOIN r y ON x.id < y.id""")
+  FROM r x JOIN r y ON x.batch_id = y.batch_id AND x.id < y.id""")
 def edge_weights_pairwise(spark, sf):
     return simulated_same(_parts(spark, sf), NOISE)
 
 
-@query(f"{_CTE} SELECT x.batch_id, x.id AS a, y.id AS b, CAST(x.truth <> y.truth AS INT) AS weight FROM r x JOIN r y ON x.id < y.id")
+@query(f"{_CTE} SELECT x.batch_id, x.id AS a, y.id AS b, CAST(x.truth <> y.truth AS INT) AS weight FROM r x JOIN r y ON x.batch_id = y.batch_id AND x.id < y.id")
 def edge_weights_truth(spark, sf):
     return edges.edge_weights_truth_df(_parts(spark, sf))
 
@@ -210,13 +213,13 @@ def edge_weights_in_worker(spark, sf):
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("id")
         records = Records(pdf["id"].tolist(), [""] * len(pdf), pdf["truth"].tolist())
-        ids, model, votes = np.array(records.ids), SimulatedModel(NOUNS, NOISE), edges.Votes(len(pdf))
+        ids, model, votes, batch = np.array(records.ids), SimulatedModel(NOUNS, NOISE), edges.Votes(len(pdf)), int(pdf["batch_id"].iloc[0])
         for r in range(1, 11):
-            rows = edges.draw_sample(ids, 20, "joint", 0, r)
-            pairs, _ = edges.answered_rows(model.group_pairs("", records.take(rows), f"0|{r}"), ids[rows])
+            rows = edges.draw_sample(ids, 20, "joint", batch, r)
+            pairs, _ = edges.answered_rows(model.group_pairs("", records.take(rows), f"{batch}|{r}"), ids[rows])
             votes.add(rows, edges.positive_matrix(len(rows), pairs))
         a, b = np.nonzero(np.triu(votes.positive + votes.negative, 1))
-        return pd.DataFrame({"batch_id": 0, "a": ids[a], "b": ids[b], "pos": votes.positive[a, b], "neg": votes.negative[a, b], "weight": votes.weights()[a, b].round(9)})
+        return pd.DataFrame({"batch_id": batch, "a": ids[a], "b": ids[b], "pos": votes.positive[a, b], "neg": votes.negative[a, b], "weight": votes.weights()[a, b].round(9)})
 
     return _parts(spark, sf).groupBy("batch_id").applyInPandas(work, "batch_id long, a long, b long, pos int, neg int, weight double")
 
@@ -436,31 +439,32 @@ def order_min_violation(spark, sf):
     return _precedence(spark, sf).withColumn("g", F.lit(0)).groupBy("g").applyInPandas(work, "violation double")
 
 
-def _scored(spark, sf, name: str, mode: str, size: int | None = 2000) -> DataFrame:
-    """Scores of a sample, or of all records without a size."""
+def _scored(spark, sf, name: str, mode: str) -> DataFrame:
     w = workload(spark, sf, name)
-    records = evaluation_sample(w.records, size) if size else w.records
-    return tasks.score(records, "id", ["text"], w.instruction, w.k, simulated_pool(w.labels), params=SURE.but(score_assign=mode), hidden="truth").predictions.select("id", "pred")
+    return tasks.score(w.records, "id", ["text"], w.instruction, w.k, simulated_pool(w.labels), params=SURE.but(score_assign=mode), hidden="truth").predictions.select("id", "pred")
 
 
-@query(f"SELECT id, level AS pred FROM (SELECT o_orderkey AS id, {_S4} AS level FROM orders WHERE {_S4} IS NOT NULL) ORDER BY {u("'evaluation'", 'id')}, id LIMIT 2000")
+_PRIORITY = f"SELECT o_orderkey AS id, {_S4} AS pred FROM orders WHERE {_S4} IS NOT NULL"
+
+
+@query(_PRIORITY)
 def score_priority(spark, sf):
     return _scored(spark, sf, "S4", "order")
 
 
-@query("SELECT id, pred FROM (SELECT event_id AS id, CAST(ntile(5) OVER (ORDER BY value, event_id) AS VARCHAR) AS pred FROM events) ORDER BY " + u("'evaluation'", "id") + ", id LIMIT 2000")
+@query("SELECT event_id AS id, CAST(ntile(5) OVER (ORDER BY value, event_id) AS VARCHAR) AS pred FROM events")
 def score_events(spark, sf):
     return _scored(spark, sf, "S5", "order")
 
 
-@query()
+@query(_PRIORITY)
 def score_matching(spark, sf):
-    return _scored(spark, sf, "S4", "matching", None)
+    return _scored(spark, sf, "S4", "matching")
 
 
-@query()
+@query(_PRIORITY)
 def score_independent(spark, sf):
-    return _scored(spark, sf, "S4", "independent", None)
+    return _scored(spark, sf, "S4", "independent")
 
 
 # ---- row-wise methods with the lexical model
@@ -589,9 +593,10 @@ def proxy_choice(spark, sf):
     return spark.createDataFrame([(b, cascade.choose_proxy(0.05, strong, b)) for b in (0.1, 1.0, 10.0)], "budget double, proxy string")
 
 
-@query("SELECT b AS budget, CAST(0.01 * ceil(1000 / 200.0) <= b AS BOOLEAN) AS feasible FROM (SELECT unnest([0.01, 0.05, 0.06]) AS b)")
+@query("SELECT b AS budget, 0.01 * ceil((SELECT count(*) FROM documents) / 200.0) <= b AS feasible FROM (SELECT unnest([0.01, 0.045, 0.065, 0.45, 0.65]) AS b)")
 def full_joint_feasible(spark, sf):
-    return spark.createDataFrame([(b, cascade.full_joint_feasible(0.01, 1000, 200, b)) for b in (0.01, 0.05, 0.06)], "budget double, feasible boolean")
+    n = read_table(spark, sf, "documents", "doc_id").count()
+    return spark.createDataFrame([(b, cascade.full_joint_feasible(0.01, n, 200, b)) for b in (0.01, 0.045, 0.065, 0.45, 0.65)], "budget double, feasible boolean")
 
 
 # ---- joint tasks; a simulated model without noise must return the truth
@@ -681,21 +686,47 @@ def filter_quality(spark, sf):
     return _filtered(spark, sf, "W11", "1")
 
 
-@query("SELECT doc_id AS left_id, item_id AS right_id FROM documents d, benchmark b WHERE contains(d.text, left(b.text, 60))")
+def _runs_sql(table: str, key: str, name: str, length: int) -> str:
+    """CTE of (id, gram): the distinct runs of `length` words of a table's texts."""
+    return f"""{name}_w AS (SELECT {key} AS id, regexp_extract_all(lower(coalesce(text, '')), '[\\p{{L}}\\p{{N}}]+') AS w FROM {table}),
+{name} AS (SELECT DISTINCT id, array_to_string(w[p:p + n - 1], ' ') AS gram FROM (SELECT id, w, least({length}, len(w)) AS n, unnest(range(1, len(w) - least({length}, len(w)) + 2)) AS p FROM {name}_w))"""
+
+
+def _pairs_sql(length: int, tag: str) -> str:
+    return f"""{_runs_sql("documents", "doc_id", f"d{tag}", length)}, {_runs_sql("benchmark", "item_id", f"b{tag}", length)},
+p{tag} AS (SELECT DISTINCT d.id AS left_id, b.id AS right_id FROM d{tag} d JOIN b{tag} b USING (gram))"""
+
+
+@query(f"WITH {_pairs_sql(8, '8')} SELECT * FROM p8")
+def join_candidates(spark, sf):
+    """Pairs that share a run of eight words."""
+    return tasks.candidate_pairs(*join_workload(spark, sf), 8)
+
+
+@query(f"WITH {_pairs_sql(13, '13')} SELECT * FROM p13")
 def join_benchmark(spark, sf):
-    """Pairs that share a run of words, asked whether the document quotes the passage."""
+    """Candidate pairs, asked whether the document quotes the passage: whether any 13 words of it, in order, stand in the document."""
     docs, items = join_workload(spark, sf)
     pairs = tasks.candidate_pairs(docs, items, 8)
-    both = pairs.join(docs.select(F.col("id").alias("left_id"), F.col("text").alias("l")), "left_id").join(items.select(F.col("id").alias("right_id"), F.col("text").alias("r")), "right_id")
-    rows = stage(both.select("left_id", "right_id", F.xxhash64("left_id", "right_id").alias("id"), F.concat_ws(" ⟂ ", "l", "r").alias("text"), F.when(F.contains("l", F.left("r", F.lit(60))), "yes").otherwise("no").alias("hidden")), "pairs")
+    quoted = tasks.candidate_pairs(docs, items, 13).withColumn("quoted", F.lit("yes"))
+    both = pairs.join(quoted, ["left_id", "right_id"], "left").join(docs.select(F.col("id").alias("left_id"), F.col("text").alias("l")), "left_id").join(items.select(F.col("id").alias("right_id"), F.col("text").alias("r")), "right_id")
+    rows = stage(both.select("left_id", "right_id", F.xxhash64("left_id", "right_id").alias("id"), F.concat_ws(" ⟂ ", "l", "r").alias("text"), F.coalesce("quoted", F.lit("no")).alias("hidden")), "pairs")
     return tasks.semantic_filter(rows, "id", ["text"], "Does the text quote the passage?", simulated_pool(["yes", "no"]), hidden="hidden", params=SURE.but(max_rounds=60))[0].select("left_id", "right_id")
 
 
-@query("SELECT a.doc_id AS left_id, b.doc_id AS right_id FROM documents a JOIN documents b ON a.text = b.text AND a.doc_id < b.doc_id")
+@query(f"WITH {_pairs_sql(13, '13')}, {_pairs_sql(16, '16')} SELECT (SELECT count(*) FROM p13) AS n_true, count(*) AS n_found, (SELECT count(*) FROM p16) AS n_candidates, round(count(*) / (SELECT count(*) FROM p13), 9) AS recall FROM p13 JOIN p16 USING (left_id, right_id)")
+def join_blocking_recall(spark, sf):
+    """What blocking by runs of sixteen words finds of the pairs that share thirteen."""
+    docs, items = join_workload(spark, sf)
+    return tasks.blocking_recall(tasks.candidate_pairs(docs, items, 16), tasks.candidate_pairs(docs, items, 13)).withColumn("recall", F.round("recall", 9))
+
+
+@query("SELECT doc_id AS id, min(doc_id) OVER (PARTITION BY text) AS class_id, count(*) OVER (PARTITION BY text) AS copies FROM documents")
 def join_equal_texts(spark, sf):
-    docs = read_table(spark, sf, "documents", "doc_id", "text").withColumn("key", F.md5(F.col("text").cast("binary")))
-    other = docs.select(F.col("doc_id").alias("right_id"), F.col("text").alias("t2"), "key")
-    return docs.withColumnRenamed("doc_id", "left_id").join(other, "key").where("left_id < right_id and text = t2").select("left_id", "right_id")
+    """Equal texts as classes: each document with the least id of its class, never all pairs of one.  Counts combine before the shuffle, and the classes of several texts come back by the hash."""
+    docs = read_table(spark, sf, "documents", "doc_id", "text").select(F.col("doc_id").alias("id"), F.md5(F.col("text").cast("binary")).alias("key"))
+    classes = docs.groupBy("key").agg(F.min("id").alias("class_id"), F.count("*").alias("copies"))
+    return docs.join(classes, docs.key.eqNullSafe(classes.key)).select("id", "class_id", "copies")
 
 
 @query()
@@ -714,11 +745,9 @@ def kmeans_embeddings(spark, sf):
     return baselines.kmeans(vectors, 10).predictions.select("id", "pred")
 
 
-def _clustered(spark, sf, how: Callable, name: str = "W4", size: int | None = None) -> DataFrame:
-    """Clusters of all records, or of a sample of a size."""
+def _clustered(spark, sf, how: Callable, name: str = "W4") -> DataFrame:
     w = workload(spark, sf, name)
-    records = (evaluation_sample(w.records, size) if size else w.records).withColumnRenamed("truth", "hidden")
-    return how(stage(records, "records"), w).predictions.select("id", "pred")
+    return how(stage(w.records.withColumnRenamed("truth", "hidden"), "records"), w).predictions.select("id", "pred")
 
 
 @query()
@@ -731,9 +760,9 @@ def keyphrase_kmeans(spark, sf):
     return _clustered(spark, sf, lambda r, w: baselines.keyphrase_kmeans(r, w.instruction, w.k, simulated_pool(w.labels)))
 
 
-@query("SELECT p_partkey AS id, split_part(p_name, ' ', 2) AS pred FROM part ORDER BY " + u("'evaluation'", "p_partkey") + ", p_partkey LIMIT 2000")
+@query("SELECT p_partkey AS id, split_part(p_name, ' ', 2) AS pred FROM part")
 def label_then_assign(spark, sf):
-    return _clustered(spark, sf, lambda r, w: baselines.label_then_assign(r, w.instruction, w.k, simulated_pool(w.labels)), size=2000)
+    return _clustered(spark, sf, lambda r, w: baselines.label_then_assign(r, w.instruction, w.k, simulated_pool(w.labels)))
 
 
 @query()
@@ -743,7 +772,8 @@ def semantic_group_by(spark, sf):
 
 @query()
 def direct_cluster(spark, sf):
-    return _clustered(spark, sf, lambda r, w: baselines.direct_cluster(r, w.instruction, simulated_pool(w.labels, Profile(clusters=0.1, long=0.2)), 200), size=2000)
+    """One question about 200 records drawn from all."""
+    return _clustered(spark, sf, lambda r, w: baselines.direct_cluster(r, w.instruction, simulated_pool(w.labels, Profile(clusters=0.1, long=0.2)), 200))
 
 
 @query(f"{_SIM} SELECT id, CASE WHEN confidence >= 0.75 THEN pred ELSE truth END AS pred FROM p")
@@ -754,20 +784,35 @@ def plain_cascade_lang(spark, sf):
     return baselines.plain_cascade(w.records.select("id", "text", F.col("truth").alias("hidden")), w.instruction, LANGUAGES, pool, 0.75).predictions.select("id", "pred")
 
 
+_TARGET_SAMPLE = 200
+_ASK = "Which language is this text in?"
+
+
+def _target_sql(target: float) -> str:
+    """The threshold from the sample's losses, and what it does to all records; the most losses allowed are a constant of the binomial bound."""
+    allowed = baselines.most_losses(_TARGET_SAMPLE, target)
+    return f"""{_SIM}, d AS (SELECT p.*, ceil(length(text) / 4.0) + {-(-len(_ASK) // 4)} + 4 + 2 AS tin FROM p JOIN documents ON id = doc_id),
+s AS (SELECT *, row_number() OVER (ORDER BY confidence DESC) AS r FROM (SELECT * FROM d ORDER BY {u("'target'", "id")}, id LIMIT {_TARGET_SAMPLE})),
+l AS (SELECT confidence AS c FROM s WHERE pred <> truth ORDER BY confidence DESC LIMIT 1 OFFSET {max(0, allowed)}),
+t AS (SELECT CASE WHEN (SELECT count(*) FROM l) = 0 THEN 0.0 ELSE coalesce((SELECT min(confidence) FROM s WHERE confidence > (SELECT c FROM l)), 1.000001) END AS tau)
+SELECT round(tau, 9) AS tau, round(avg(CAST(confidence >= tau AS INT)), 9) AS light_share, round(avg(CAST(confidence < tau OR pred = truth AS INT)), 9) AS accuracy,
+  round(sum(tin * {LIGHT[0]} + {LIGHT[1]} + CASE WHEN confidence < tau OR id IN (SELECT id FROM s) THEN tin * {STRONG[0]} + {STRONG[1]} ELSE 0 END) / 1e6, 6) AS cost, CAST({target} AS DOUBLE) AS target FROM d, t GROUP BY tau"""
+
+
 def _target(target: float) -> Query:
     def run(spark, sf):
         w = workload(spark, sf, "W1")
         pool = Pool(Tier("strong", SimulatedModel(LANGUAGES), *STRONG), Tier("light", SimulatedModel(LANGUAGES, SLIPS), *LIGHT))
-        found = baselines.target_cascade(stage(w.records.select("id", "text", F.col("truth").alias("hidden")), "records"), w.instruction, LANGUAGES, pool, target)
-        kept = measures.accuracy(found.predictions, w.records)
-        return kept.select((F.col("accuracy") >= target).alias("reached"), F.lit(target).alias("target"))
+        found = baselines.target_cascade(stage(w.records.select("id", "text", F.col("truth").alias("hidden")), "records"), _ASK, LANGUAGES, pool, target, _TARGET_SAMPLE)
+        r = found.report
+        return measures.accuracy(found.predictions, w.records).select(F.round(F.lit(r["tau"]), 9).alias("tau"), F.round(F.lit(r["light_share"]), 9).alias("light_share"), F.round("accuracy", 9).alias("accuracy"), F.round(F.lit(float(found.cost)), 6).alias("cost"), F.lit(target).alias("target"))
 
     run.__name__ = f"target_cascade_{int(100 * target):02d}"
     return run
 
 
-for _t in (0.1, 0.3, 0.5, 0.7, 0.9):
-    query(f"SELECT true AS reached, CAST({_t} AS DOUBLE) AS target")(_target(_t))
+for _t in (0.1, 0.3, 0.5, 0.7, 0.9, 0.95):
+    query(_target_sql(_t))(_target(_t))
 
 
 # ---- measures
@@ -777,14 +822,14 @@ def metric_accuracy(spark, sf):
     return measures.accuracy(_sim(spark, sf), _lang_truth(spark, sf)).select(F.round("accuracy", 9).alias("accuracy"))
 
 
-_SCORES = f"""WITH p AS (SELECT o_orderkey AS id, CAST({_S4} AS INT) AS truth, 1 + CAST(floor({u("'score'", 'o_orderkey')} * 4) AS INT) AS pred FROM orders WHERE {_S4} IS NOT NULL AND o_orderkey <= 4000)"""
+_SCORES = f"""WITH p AS (SELECT o_orderkey AS id, CAST({_S4} AS INT) AS truth, 1 + CAST(floor({u("'score'", 'o_orderkey')} * 4) AS INT) AS pred FROM orders WHERE {_S4} IS NOT NULL)"""
 
 
 @query(f"{_SCORES} SELECT round(sum(CAST(sign(x.truth - y.truth) = sign(x.pred - y.pred) AS INT)) / count(*), 9) AS pairwise_accuracy FROM p x JOIN p y ON x.id < y.id")
 def metric_pairwise(spark, sf):
     from jointsem.functions.hashing import portable_uniform
 
-    truth = workload(spark, sf, "S4").records.where("id <= 4000")
+    truth = workload(spark, sf, "S4").records
     pred = truth.select("id", (1 + F.floor(portable_uniform("score", F.col("id")) * 4)).alias("pred"))
     return measures.pairwise_accuracy(pred, truth).select(F.round("pairwise_accuracy", 9).alias("pairwise_accuracy"))
 

@@ -22,13 +22,14 @@ def call_cost(tokens_in: Column, tokens_out: Column, price_in: float, price_out:
     return ((tokens_in * price_in + tokens_out * price_out) / 1e6).cast("decimal(18,6)")
 
 
-def render(template: str, columns: Mapping[str, Column], limit: int = 100_000) -> Column:
-    """A prompt from a template with {name} places; values are cut at `limit` characters and cannot hold a fence of their own."""
+def render(template: str, columns: Mapping[str, Column], limit: int | None = None) -> Column:
+    """A prompt from a template with {name} places; values cannot hold a fence of their own, and are whole unless a model's limit is given."""
     parts: list[Column] = []
     rest = template
     for name, value in sorted(columns.items(), key=lambda kv: template.index("{" + kv[0] + "}")):
         before, _, rest = rest.partition("{" + name + "}")
-        clean = F.regexp_replace(F.substring(F.coalesce(value.cast("string"), F.lit("")), 1, limit), "`{3,}", "''")
+        whole = F.coalesce(value.cast("string"), F.lit(""))
+        clean = F.regexp_replace(F.substring(whole, 1, limit) if limit else whole, "`{3,}", "''")
         parts += [F.lit(before), clean]
     return F.concat(*parts, F.lit(rest))
 

@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from jointsem.functions.expressions import token_count, tokens_of
+from jointsem.functions.expressions import render, token_count, tokens_of
 from jointsem.models.base import Metered, Records, Tier
 from jointsem.sources.stages import spread, stage
 from jointsem.sources.tables import ResponseCache
@@ -43,7 +43,7 @@ def row_wise(records: DataFrame, instruction: str, labels: list[str], tier: Tier
 
 
 def _cached(records: DataFrame, instruction: str, labels: list[str], tier: Tier, context: str, cache: ResponseCache) -> DataFrame:
-    asked = F.concat_ws("\0", F.lit(instruction), F.lit("\1".join(labels)), F.lit(context), F.coalesce("text", F.lit("")))
+    asked = render("{context}\n{instruction}\n{labels}\n```\n{text}\n```", {"context": F.lit(context), "instruction": F.lit(instruction), "labels": F.lit(", ".join(labels)), "text": F.col("text")})
     keyed = stage(cache.keyed(records.withColumn("prompt", asked), tier.name).drop("prompt"), "asked")
     _, open_ = cache.lookup(keyed)
     new = stage(row_wise(open_.drop("key"), instruction, labels, tier, context), "answers")
