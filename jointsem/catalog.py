@@ -729,11 +729,11 @@ def join_equal_texts(spark, sf):
     return docs.join(classes, docs.key.eqNullSafe(classes.key)).select("id", "class_id", "copies")
 
 
-@query()
+@query("SELECT p_partkey AS id, split_part(p_name, ' ', 2) AS answer FROM part")
 def contextual_summaries(spark, sf):
     w = workload(spark, sf, "W4")
     records = stage(w.records.withColumnRenamed("truth", "hidden"), "records")
-    found = tasks.classify(records, "id", ["text"], w.instruction, w.labels, simulated_pool(w.labels), hidden="hidden")
+    found = tasks.classify(records, "id", ["text"], w.instruction, w.labels, simulated_pool(w.labels), hidden="hidden", params=SURE)
     return tasks.contextual_map(found.predictions, records, "Describe it.", simulated_pool(w.labels))
 
 
@@ -1024,3 +1024,6 @@ for _name, _options in {
     "exp_context_flip": {},
 }.items():
     _experiment(_name, **_options)
+
+
+from jointsem import catalog_noise, catalog_workloads  # noqa: E402, F401  they register their queries
