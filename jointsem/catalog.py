@@ -994,36 +994,21 @@ def joint_classify_sql(spark, sf):
     return found.groupBy("pred").agg(F.count("*").alias("n"))
 
 
-# ---- experiments, under the study profiles; size is that of the evaluation sample
+# ---- experiments, under the study profiles, on evaluation samples of 2000 records and all workloads of each
 
-_STUDY = 500
-
-
-def _experiment(name: str, **options) -> None:
+def _experiment(name: str) -> None:
     def run(spark: SparkSession, sf: str) -> DataFrame:
         from jointsem import experiments
 
         f = getattr(experiments, name)
-        return f(spark) if name == "exp_context_flip" else f(spark, sf, **options)
+        return f(spark) if name == "exp_context_flip" else f(spark, sf)
 
     run.__name__ = name
     query()(run)
 
 
-for _name, _options in {
-    "exp_classification": {"size": _STUDY},
-    "exp_budget": {"size": _STUDY, "names": ["W1", "W3", "W9"]},
-    "exp_scoring": {"size": _STUDY},
-    "exp_scoring_budget": {"size": _STUDY},
-    "exp_clustering": {"size": _STUDY, "names": ["W1", "W4", "W9"]},
-    "exp_edge_weights": {"size": 200},
-    "exp_assignment": {"size": _STUDY},
-    "exp_sensitivity": {"size": _STUDY, "names": ("W4",)},
-    "exp_paradox": {},
-    "exp_controls": {"size": _STUDY},
-    "exp_context_flip": {},
-}.items():
-    _experiment(_name, **_options)
+for _name in ("exp_overview", "exp_classification", "exp_budget", "exp_scoring", "exp_scoring_budget", "exp_clustering", "exp_edge_weights", "exp_assignment", "exp_sensitivity", "exp_paradox", "exp_controls", "exp_context_flip"):
+    _experiment(_name)
 
 
 from jointsem import catalog_noise, catalog_workloads  # noqa: E402, F401  they register their queries

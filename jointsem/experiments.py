@@ -119,8 +119,8 @@ def exp_clustering(spark: SparkSession, sf_dir: str, names: list[str] | None = N
     return _report(spark, rows)
 
 
-def exp_edge_weights(spark: SparkSession, sf_dir: str, names: tuple = ("W1", "W9", "W3"), size: int = 400) -> DataFrame:
-    """Four ways to get pairwise weights.  Single pair questions grow with the square of a batch, so the sample is smaller."""
+def exp_edge_weights(spark: SparkSession, sf_dir: str, names: tuple = ("W1", "W9", "W3"), size: int = SAMPLE) -> DataFrame:
+    """Four ways to get pairwise weights.  Single pair questions grow with the square of a batch, of constant size."""
     ways = {"pairs": Params(), "no_transitivity": Params(transitive=False), "cluster_labels": Params(edge_mode="cluster_labels", max_rounds=60), "pairwise": Params(edge_mode="pairwise")}
     rows = []
     for name in names:
