@@ -46,10 +46,10 @@ def tables(spark, documents):
     return docs, bench, documents(docs), spark.createDataFrame(bench, "item_id long, text string")
 
 
-@pytest.mark.parametrize("block", [1 << 20, 300])
-def test_matches_brute_force(tables, block):
+@pytest.mark.parametrize(("block", "sieve"), [(1 << 20, 1 << 20), (300, 1 << 20), (1 << 20, 0)])
+def test_matches_brute_force(tables, block, sieve):
     docs, bench, d, b = tables
-    got = judged(hits(d, b, block_bytes=block)).select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated").collect()
+    got = judged(hits(d, b, block_bytes=block, sieve=sieve)).select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated").collect()
     assert sorted((tuple(r) for r in got), key=str) == plain(docs, bench)
 
 
@@ -60,6 +60,13 @@ def test_carry_returns_the_columns(tables):
     assert sorted((str(r.doc_id), r.text or "") for r in got.collect()) == sorted((str(i), t or "") for i, t in docs)
 
 
+def test_columns_with_the_names_of_results_are_replaced(tables):
+    _, _, d, b = tables
+    got = hits(d.selectExpr("*", "'x' as n_words", "'y' as starts", "'z' as print", "'w' as block", "'v' as _1"), b, carry=True)
+    row = got.where("doc_id = 105").first()
+    assert (row.n_words, row.starts, row.print, row.block, row._1) == (1, [], "z", "w", "v")
+
+
 def test_empty_tables(spark, documents):
     none = spark.createDataFrame([], "item_id long, text string")
     assert judged(hits(documents([]), none)).collect() == []
