@@ -1,8 +1,12 @@
+import itertools
+import math
 import random
+import re
 import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from jointsem.llm.toxicity import Kernel, Units, fit, plain_similarity, score_documents, similarity
 
@@ -79,3 +83,32 @@ def test_kindred_units_are_pooled():
     (train, y), (held, want) = make(900), make(300)
     got = fit(train, y).scores(held) >= 0.5
     assert (got == want).mean() > 0.95 and got[want == 1].mean() > 0.9
+
+
+def test_scores_equal_a_plain_evaluation():
+    """Sentence by sentence, with every kernel value enumerated."""
+    rng = random.Random(8)
+    insults = ["dunderhead", "nincompoop", "blockhead"]
+    train = [(say(rng, rng.choice(insults)) + " " + say(rng) if i % 3 == 0 else say(rng)).encode() for i in range(90)]
+    scorer = fit(train, np.array([int(i % 3 == 0) for i in range(90)]))
+    assert scorer.kernel.landmarks and scorer.openings is None
+    texts = [say(rng, "dunder.head") + " " + say(rng), say(rng, "blockheads", "nincompoops"), say(rng), "", "b l o c k h e a d! the mill", "block head"]
+    for t in texts:
+        margin = scorer.offset
+        for sentence in re.split(r"(?<=[.!?;:])\s+", t):
+            words = sentence.lower().split()
+            units = [*words, *("".join(run) for single, run in itertools.groupby(words, lambda w: len(w) == 1 and "a" <= w <= "z") if single for run in [list(run)] if len(run) >= 3)]
+            near = [max([k for w in units if (k := plain_similarity(w, m.decode())) >= 0.75] or [0.0]) for m in scorer.kernel.landmarks]
+            margin = max(margin, float(np.dot(near, scorer.weight)) + scorer.offset)
+        assert scorer.scores([t.encode()])[0] == pytest.approx(1 / (1 + math.exp(-(scorer.slope * margin + scorer.level))), abs=1e-9), t
+
+
+def test_held_out_recall_in_every_language(spark):
+    """On the given tables: toxic texts are caught in all four languages, and clean ones left alone."""
+    sf = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    found = score_documents(docs, labels).where("held_out").join(labels, "doc_id").join(docs.select("doc_id", "lang"), "doc_id")
+    rows = {r.lang: r for r in found.groupBy("lang").agg(*[F.sum(F.expr(f"int(toxic = {y} and predicted = {p})")).alias(n) for n, y, p in (("caught", 1, 1), ("missed", 1, 0), ("alarms", 0, 1), ("quiet", 0, 0))]).collect()}
+    assert set(rows) == {"de", "en", "es", "fr"}
+    for r in rows.values():
+        assert r.caught >= 0.8 * (r.caught + r.missed) and r.alarms <= 0.01 * (r.alarms + r.quiet)
