@@ -35,7 +35,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
-from jointsem.llm.store import stage
+from jointsem.llm.store import stage, tidy
 from jointsem.llm.text import SLICE_BYTES, Words, mix, slices, space_table, starts_of_runs
 
 BASE = 1.5
@@ -49,18 +49,52 @@ BLOCK_BYTES = 1 << 20
 PART_BYTES = 24 << 20
 CHUNK = 1 << 17
 SHORT = 5
+_SPACES = (b" ", b"\t", b"\n", b"\x0b", b"\x0c", b"\r")
 _END = np.uint64(0x2545F4914F6CDD1D)
 _ORDER = np.uint64(0x9E6C63D0876A9A47)
 _ASKED = {"t": "binary", "t0": "int", "t1": "int", "tn": "binary", "p": "binary", "p0": "int", "p1": "int", "pn": "binary"}
 
 
+def pieces(text: bytes, limit: int = SLICE_BYTES) -> Iterator[bytes]:
+    """A text cut between words, into pieces of about `limit` bytes; a longer word is a piece."""
+    start = 0
+    while len(text) - start > limit:
+        at = max(text.rfind(c, start, start + limit) for c in _SPACES)
+        if at <= start:
+            at = min((k for c in _SPACES if (k := text.find(c, start + limit)) >= 0), default=len(text))
+        yield text[start:at]
+        start = at
+    yield text[start:]
+
+
 def tokens(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Token hashes of the texts, each text's words and then one end, and where each text starts."""
-    words = Words(texts, space_table(), lower=True)
-    count = np.diff(words.first) + 1
-    first = np.append(0, np.cumsum(count))
+    """Token hashes of the texts, each text's words and then one end, and where each text starts.
+
+    Hashing takes many times the bytes it reads, so it reads pieces of bounded bytes at a time.
+    """
+    held, owner, hashes, docs, size = [], [], [], [], 0
+
+    def flush() -> None:
+        words = Words(held, space_table(), lower=True)
+        hashes.append(words.hashes())
+        docs.append(np.array(owner, np.int64)[words.doc])
+        held.clear()
+        owner.clear()
+
+    for d, text in enumerate(texts):
+        for piece in pieces(text):
+            if held and size + len(piece) > SLICE_BYTES:
+                flush()
+                size = 0
+            held.append(piece)
+            owner.append(d)
+            size += len(piece)
+    if held:
+        flush()
+    doc = np.concatenate([np.zeros(0, np.int64), *docs])
+    first = np.append(0, np.cumsum(np.bincount(doc, minlength=len(texts)) + 1))
     out = np.full(first[-1], _END)
-    out[np.arange(len(words)) + words.doc] = words.hashes()
+    out[np.arange(len(doc)) + doc] = np.concatenate([np.zeros(0, np.uint64), *hashes])
     return out, first
 
 
@@ -159,18 +193,6 @@ def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[list]:
             yield [c[r].as_py() for c in batch.columns]
 
 
-def _sliced(texts: list[bytes]) -> Iterator[list[bytes]]:
-    """The texts in slices of bounded bytes; hashing takes many times the bytes it reads."""
-    held, size = [], 0
-    for t in texts:
-        if held and size + len(t) > SLICE_BYTES:
-            yield held
-            held, size = [], 0
-        held.append(t)
-        size += len(t)
-    yield held
-
-
 class _Grams:
     """Tokens and pairs of a block: occurrences, and the distinct ones in the order in which they are asked for.
 
@@ -179,10 +201,7 @@ class _Grams:
     """
 
     def __init__(self, texts: list[bytes], held: list[bool], parts: int):
-        made = [tokens(part) for part in _sliced(texts)]
-        self.codes = np.concatenate([codes for codes, _ in made])
-        self.first = np.append(0, np.cumsum(np.concatenate([np.diff(first) for _, first in made])))
-        del made
+        self.codes, self.first = tokens(texts)
         learns = np.repeat(~np.array(held, bool), np.diff(self.first))
         self.token = _Distinct(self.codes, learns, parts)
         self.pair = _Distinct(bigrams(self.codes, self.first), learns, parts)
@@ -308,6 +327,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block
     size = table.agg(F.coalesce(F.sum("n_bytes"), F.lit(0))).first()[0]
     parts = blobs.parts_for(docs.sparkSession, 2 * size, part_bytes)
     answers = stage(_answers(_asked(table, parts), parts), "levels")
+    tidy(docs.sparkSession)
     total = answers.where("block is null").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
     return Model(*map(int, total)), table, answers, parts
 
@@ -315,9 +335,9 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, part_bytes: int = PART_BYTES) -> DataFrame:
     """id, held_out, n_tokens, n_known, train_tokens, base_score and score for every row of docs."""
     model, table, answers, parts = train(docs, id_col, text_col, block_bytes, part_bytes)
-    of_block = answers.where("block is not null").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("part", "tc", "tl", "pl"))).alias("found"))
     n = blobs.parts_for(docs.sparkSession, table.agg(F.coalesce(F.sum("n_bytes"), F.lit(0))).first()[0], 8 * block_bytes)
-    both = table.select("block", "ids", "held", "texts").repartition(n, "block").join(of_block.repartition(n, "block"), "block").select("ids", "held", "texts", *[F.expr(f"transform(found, x -> x.{c})").alias(c) for c in ("tc", "tl", "pl")])
+    of_block = answers.where("block is not null").repartition(n, "block").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("part", "tc", "tl", "pl"))).alias("found"))
+    both = table.select("block", "ids", "held", "texts").repartition(n, "block").join(of_block, "block").select("ids", "held", "texts", *[F.expr(f"transform(found, x -> x.{c})").alias(c) for c in ("tc", "tl", "pl")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for ids, held, texts, *found in _rows(batches):

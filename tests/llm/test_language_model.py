@@ -37,6 +37,16 @@ def test_base_score_is_exact(documents, part_bytes):
     assert [g[5] for g in got] == pytest.approx([w[5] for w in want])
 
 
+def test_long_texts_are_hashed_in_pieces(monkeypatch):
+    texts = [b"", b"aa b\tccc  d", b" ", b"x" * 50 + b" y z", b"one two three four five six seven"]
+    whole = lm.tokens(texts)
+    monkeypatch.setattr(lm, "SLICE_BYTES", 8)
+    monkeypatch.setattr(lm.pieces, "__defaults__", (8,))
+    cut = lm.tokens(texts)
+    assert all(len(p) <= 8 or b" " not in p.strip() for t in texts for p in lm.pieces(t)) and all(b"".join(lm.pieces(t)) == t for t in texts)
+    assert np.array_equal(whole[0], cut[0]) and np.array_equal(whole[1], cut[1])
+
+
 def test_filter_returns_levels():
     rng = np.random.default_rng(1)
     h = rng.integers(0, 2**63, 20000, dtype=np.uint64) * np.uint64(2)
