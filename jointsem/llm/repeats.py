@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from jointsem.llm import blobs
-from jointsem.llm.store import stage
+from jointsem.llm.store import stage, tidy
 from jointsem.llm.text import gather, merged, mix, slices, starts_of_runs
 
 #: Bytes of distinct texts for each part of a shuffle; a part takes a few times as much.
@@ -386,10 +386,13 @@ def with_spans(docs: DataFrame, scheme: Scheme, id_col: str, text_col: str) -> D
     n_texts, n_bytes = firsts.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
     parts = blobs.parts_for(docs.sparkSession, n_bytes, PART_BYTES)
     found = stage(candidates(keyed.select(F.col("_th").alias("th"), F.col("_text").alias("text")), scheme, n_texts, parts), "anchors")
+    tidy(docs.sparkSession)
     hot = np.frombuffer(b"".join(bytes(r.hot) for r in found.where("part = -1").select("hot").collect()), np.uint64)
     wanted = firsts.join(by_text(found, parts), "th").select("id", "th", "firsts")
     rows = keyed.select(F.col("_id").alias("id"), F.col("_th").alias("th"), F.col("_text").alias("text")).join(wanted, ["id", "th"])
+    before = rows
     scheme, rows = scheme.named(rows, parts)
     spans = repeated_spans(rows, scheme, hot, parts).withColumnsRenamed({"starts": "_starts", "stops": "_stops"})
     known = stage(firsts.join(spans, ["id", "th"], "left"), "spans").select(F.col("id").alias("_id"), F.col("th").alias("_th"), "_t2", "copies", "_starts", "_stops", F.lit(True).alias("_first"))
+    tidy(docs.sparkSession, firsts, found, *([rows] if rows is not before else []))
     return keyed.join(known, ["_id", "_th", "_t2"], "left")

@@ -46,7 +46,16 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = new_folder(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(StructType(df.schema.fields)).parquet(path)
+    out = spark.read.schema(StructType(df.schema.fields)).parquet(path)
+    out.stage_path = path
+    return out
+
+
+def tidy(spark: SparkSession, *done: DataFrame) -> None:
+    """Delete stage tables that nothing reads any more, and let the driver's JVM collect the plans of finished jobs: their shuffle files go with them."""
+    for df in done:
+        drop(spark, df.stage_path)
+    spark.sparkContext._jvm.System.gc()
 
 
 def partitions(spark: SparkSession) -> int:
