@@ -386,7 +386,6 @@ def with_spans(docs: DataFrame, scheme: Scheme, id_col: str, text_col: str) -> D
     n_texts, n_bytes = firsts.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
     parts = blobs.parts_for(docs.sparkSession, n_bytes, PART_BYTES)
     found = stage(candidates(keyed.select(F.col("_th").alias("th"), F.col("_text").alias("text")), scheme, n_texts, parts), "anchors")
-    tidy(docs.sparkSession)
     hot = np.frombuffer(b"".join(bytes(r.hot) for r in found.where("part = -1").select("hot").collect()), np.uint64)
     wanted = firsts.join(by_text(found, parts), "th").select("id", "th", "firsts")
     rows = keyed.select(F.col("_id").alias("id"), F.col("_th").alias("th"), F.col("_text").alias("text")).join(wanted, ["id", "th"])

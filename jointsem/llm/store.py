@@ -10,6 +10,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.types import StructType
 
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def shared_folder(spark: SparkSession) -> str:
     """spark.checkpoint.dir of the session; where it is unset and the master is local, a temporary folder."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
@@ -45,17 +48,21 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     """df written as Parquet to the shared folder and read again: lineage is cut, and a lost executor costs no recomputation."""
     spark = df.sparkSession
     path = new_folder(spark, name)
-    df.write.parquet(path)
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")  # what was shuffled for this table goes as soon as it is written
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before)
     out = spark.read.schema(StructType(df.schema.fields)).parquet(path)
     out.stage_path = path
     return out
 
 
 def tidy(spark: SparkSession, *done: DataFrame) -> None:
-    """Delete stage tables that nothing reads any more, and let the driver's JVM collect the plans of finished jobs: their shuffle files go with them."""
+    """Delete stage tables that nothing reads any more."""
     for df in done:
         drop(spark, df.stage_path)
-    spark.sparkContext._jvm.System.gc()
 
 
 def partitions(spark: SparkSession) -> int:
