@@ -31,8 +31,8 @@ class LanguageModel(Protocol):
     """Answers; each costs one call of the records it is shown.
 
     A model may also have classify_rows(instruction, labels, records, context), which
-    reads many records one by one at once, and columns(text, labels), which gives the
-    label and its log-probability as column expressions.
+    reads many records one by one at once, and answered(df, labels), which adds pred
+    and log to a DataFrame with a column text, without Python.
     """
 
     def classify(self, instruction: str, labels: list[str], record: Records, context: str = "", key: str = "") -> tuple[str, float]:

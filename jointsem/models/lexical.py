@@ -7,7 +7,7 @@ import re
 from collections import Counter
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from jointsem.models.base import Records
@@ -89,15 +89,15 @@ class LexicalModel:
         found = {n: re.search(p, records.texts[0] or "") for n, p in fields.items()}
         return {n: m[0] if m else "" for n, m in found.items()}
 
-    def columns(self, text: Column, labels: list[str]) -> tuple[Column, Column]:
-        """classify() as expressions; the patterns must mean the same to Java."""
-        low = F.lower(F.coalesce(text, F.lit("")))
-        counts = F.array(*[F.regexp_count(low, F.lit(self.spec.get(n, re.escape(n.lower())))) for n in labels])
-        total = F.aggregate(counts, F.lit(0), lambda s, x: s + x)
-        scaled = F.transform(counts, lambda c: F.when(total > 0, self.sharpness * c / total).otherwise(F.lit(0.0)))
-        top = F.array_max(scaled)
-        best = F.element_at(F.array(*map(F.lit, labels)), F.array_position(scaled, top).cast("int"))
-        return best, -F.log(F.aggregate(scaled, F.lit(0.0), lambda s, x: s + F.exp(x - top)))
+    def answered(self, df: DataFrame, labels: list[str]) -> DataFrame:
+        """classify() of df's column text, without Python: df with pred and log.  The patterns must mean the same to Java; each is matched once."""
+        low = F.lower(F.coalesce("text", F.lit("")))
+        df = df.withColumn("_counts", F.array(*[F.regexp_count(low, F.lit(self.spec.get(n, re.escape(n.lower())))) for n in labels]))
+        df = df.withColumn("_total", F.expr("aggregate(_counts, 0, (s, x) -> s + x)"))
+        df = df.withColumn("_scaled", F.transform("_counts", lambda c: F.when(F.col("_total") > 0, self.sharpness * c / F.col("_total")).otherwise(F.lit(0.0))))
+        df = df.withColumn("_top", F.array_max("_scaled"))
+        best = F.element_at(F.array(*map(F.lit, labels)), F.array_position("_scaled", F.col("_top")).cast("int"))
+        return df.withColumns({"pred": best, "log": -F.log(F.expr("aggregate(_scaled, 0D, (s, x) -> s + exp(x - _top))"))}).drop("_counts", "_total", "_scaled", "_top")
 
     def rubric(self, instruction: str, labels: list[str], records: Records, key: str = "") -> str:
         return "; ".join(f"{n}: like {self.spec.get(n, n)}" for n in labels)

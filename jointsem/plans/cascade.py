@@ -25,11 +25,10 @@ def row_wise(records: DataFrame, instruction: str, labels: list[str], tier: Tier
     """
     if cache:
         return _cached(records, instruction, labels, tier, context, cache)
-    if hasattr(tier.model, "columns"):
-        label, log = tier.model.columns(F.col("text"), labels)
+    if hasattr(tier.model, "answered"):
         fixed = tokens_of(instruction) + sum(map(tokens_of, labels)) + tokens_of(context) + 2
-        answered = spread(records).select("id", "text", F.struct(label.alias("pred"), F.exp(log).alias("confidence")).alias("a"))
-        return answered.select("id", "a.pred", "a.confidence", (token_count(F.col("text")) + fixed).alias("tokens_in"), token_count(F.col("a.pred")).alias("tokens_out"))
+        answered = tier.model.answered(spread(records).select("id", "text", (token_count(F.col("text")) + fixed).alias("tokens_in")), labels)
+        return answered.select("id", "pred", F.exp("log").alias("confidence"), "tokens_in", token_count(F.col("pred")).alias("tokens_out"))
 
     def work(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         meter = Metered(tier)
