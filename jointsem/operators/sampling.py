@@ -12,6 +12,9 @@ from jointsem.functions.hashing import portable_uniform
 _PER_BUCKET = 200_000
 #: Offsets of the ranges are broadcast, so there are at most so many; beyond, ranges grow.
 _MOST_BUCKETS = 1 << 20
+#: Batches that a task takes one after the other where there are many, and the most tasks.
+_PER_TASK = 8
+_MOST_TASKS = 100_000
 
 
 def hash_sample(df: DataFrame, id_col: str, share: float, seed: str) -> DataFrame:
@@ -34,11 +37,18 @@ def evaluation_sample(df: DataFrame, size: int = 2000, seed: str = "evaluation",
     return sample_batch(df, size, seed, id_col)
 
 
+def batch_tasks(batches: int, partitions: int) -> int:
+    """Tasks to spread batches over.  A batch is a few kilobytes but many calls, so bytes are no guide to its work."""
+    return max(1, min(batches, _MOST_TASKS, max(4 * partitions, batches // _PER_TASK)))
+
+
 def assign_batches(df: DataFrame, size: int, seed: str, id_col: str = "id", n: int | None = None, bucket_rows: int = _PER_BUCKET) -> DataFrame:
     """df with batch_id: ceil(n / size) random batches whose sizes differ by one at most.
 
     Rows are numbered in hash order inside ranges of the hash; the counts of the
-    ranges (one small row each) give their offsets.
+    ranges (one small row each) give their offsets.  The result is partitioned
+    by batch_id, with a number of partitions that follows the batches; adaptive
+    execution would otherwise put hundreds of small batches into one task.
     """
     n = df.count() if n is None else n
     batches = max(1, math.ceil(n / size))
@@ -55,4 +65,5 @@ def assign_batches(df: DataFrame, size: int, seed: str, id_col: str = "id", n: i
     # place * batches / n in whole numbers; beyond what a long holds, in decimals
     kind = "bigint" if n * batches < 2**62 else "decimal(19,0)"
     number = F.expr(f"cast((cast(_place + _before as {kind}) * cast({batches} as {kind})) div cast({max(1, n)} as {kind}) as bigint)")
-    return rows.withColumn("batch_id", number).drop("_u", "_bucket", "_place", "_before")
+    tasks = batch_tasks(batches, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return rows.withColumn("batch_id", number).drop("_u", "_bucket", "_place", "_before").repartition(tasks, "batch_id")
