@@ -11,7 +11,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from jointsem.functions.hashing import portable_uniform, uniforms
-from jointsem.sources.stages import stage
 
 
 def draw_sample(ids: np.ndarray, size: int, seed: str, batch: int, number: int) -> np.ndarray:
@@ -111,22 +110,20 @@ def sample_pairs_df(samples: DataFrame) -> DataFrame:
     return samples.withColumnRenamed("id", "a").join(other, ["batch_id", "round"]).where("a < b")
 
 
-def closed_labels_df(samples: DataFrame, answers: DataFrame, max_steps: int = 64) -> DataFrame:
-    """(batch_id, round, id, label): the least id that answered pairs connect a record with, inside its sample."""
+def closed_labels_df(samples: DataFrame, answers: DataFrame) -> DataFrame:
+    """(batch_id, round, id, label): the least id that answered pairs connect a record with, inside its sample.
+
+    A sample is as small as a question, so its records and pairs are one row,
+    and each pair in turn gives the records of its two labels the lesser one.
+    Pairs with a record outside the sample join nothing.
+    """
     keys = ["batch_id", "round"]
-    both = answers.unionByName(answers.select(*keys, F.col("b").alias("a"), F.col("a").alias("b")))
-    labels = samples.select(*keys, "id", F.col("id").alias("label"))
-    last = None
-    for _ in range(max_steps):
-        reach = both.join(labels.select(*keys, F.col("id").alias("b"), "label"), [*keys, "b"]).groupBy(*keys, F.col("a").alias("id")).agg(F.min("label").alias("near"))
-        near = labels.join(reach, [*keys, "id"], "left").select(*keys, "id", F.least("label", F.coalesce("near", "label")).alias("label"))
-        jump = near.select(*keys, F.col("id").alias("label"), F.col("label").alias("next"))
-        labels = stage(near.join(jump, [*keys, "label"], "left").select(*keys, "id", F.coalesce("next", "label").alias("label")), "labels")
-        total = labels.agg(F.sum("label")).first()[0]
-        if total == last:
-            return labels
-        last = total
-    raise RuntimeError(f"labels did not settle in {max_steps} steps")
+    held = samples.groupBy(*keys).agg(F.collect_list("id").alias("ids"))
+    asked = answers.groupBy(*keys).agg(F.collect_list(F.struct("a", "b")).alias("pairs"))
+    merged = """aggregate(coalesce(pairs, array()), transform(ids, i -> struct(i AS id, i AS label)), (known, p) ->
+      transform(array(struct(get(filter(known, x -> x.id = p.a), 0).label AS l, get(filter(known, x -> x.id = p.b), 0).label AS r)), o ->
+        transform(known, x -> struct(x.id AS id, if(x.label = o.l OR x.label = o.r, least(o.l, o.r), x.label) AS label)))[0])"""
+    return held.join(asked, keys, "left").select(*keys, F.inline(F.expr(merged)))
 
 
 def pair_closure_df(samples: DataFrame, answers: DataFrame) -> DataFrame:

@@ -61,6 +61,8 @@ class JointSink:
     The threshold and labels are frozen from a bootstrap run.  Everything is
     written under the epoch it came from, so an epoch that is delivered twice
     overwrites itself.  When the budget is spent, every record goes to the proxy.
+    What flush() labels stands apart from the epochs, under the last one it took
+    records of, so neither a later epoch nor a second flush can overwrite it.
     """
 
     def __init__(self, folder: str, instruction: str, labels: list[str], pool: Pool, tau: float, params: Params | None = None, budget: float = math.inf, proxy: str = "light"):
@@ -70,16 +72,23 @@ class JointSink:
     def _read(self, spark: SparkSession, name: str, schema: str) -> DataFrame:
         return read_or_empty(spark, f"{self.folder}/{name}", schema)
 
-    def spent(self, spark: SparkSession) -> float:
-        return self._read(spark, "ledger", "cost double, epoch long").agg(F.coalesce(F.sum("cost"), F.lit(0.0))).first()[0]
+    def _both(self, spark: SparkSession, name: str, schema: str) -> DataFrame:
+        """What epochs and flushes wrote; flushed tells them apart."""
+        of = [self._read(spark, f"{at}{name}", schema).withColumn("flushed", F.lit(bool(at))) for at in ("", "flushed_")]
+        return of[0].unionByName(of[1])
+
+    def spent(self, spark: SparkSession, epoch: int | None = None) -> float:
+        """Money spent, in all or before an epoch; so an epoch that is delivered twice decides alike."""
+        before = F.lit(True) if epoch is None else F.col("epoch") < epoch
+        return self._both(spark, "ledger", "cost double, epoch long").where(before).agg(F.coalesce(F.sum("cost"), F.lit(0.0))).first()[0]
 
     def predictions(self, spark: SparkSession) -> DataFrame:
-        return self._read(spark, "predictions", "id long, pred string, route string, epoch long")
+        return self._both(spark, "predictions", "id long, pred string, route string, epoch long").drop("flushed")
 
     def pending(self, spark: SparkSession, epoch: int | None = None) -> DataFrame:
-        """Unsure records without a joint prediction yet, as seen before an epoch: those of the epochs since the last joint batch, which took all that waited."""
-        before = F.lit(True) if epoch is None else F.col("epoch") < epoch
-        last = self._read(spark, "ledger", "cost double, joint boolean, epoch long").where(F.col("joint") & before).agg(F.max("epoch")).first()[0]
+        """Unsure records without a joint prediction yet, as seen before an epoch: those of the epochs since the last joint batch or flush, which took all that waited."""
+        before = F.lit(True) if epoch is None else F.col("flushed") | (F.col("epoch") < epoch)
+        last = self._both(spark, "ledger", "cost double, joint boolean, epoch long").where(F.col("joint") & before).agg(F.max("epoch")).first()[0]
         waiting = self._read(spark, "waiting", "id long, text string, hidden string, epoch long")
         return waiting if last is None else waiting.where(F.col("epoch") > last)
 
@@ -94,7 +103,7 @@ class JointSink:
         tier = self.pool.tier(self.proxy)
         scored = row_wise(rows, self.instruction, self.labels, tier).persist()
         cost = scored.agg(F.coalesce(F.sum(F.col("tokens_in") * tier.price_in + F.col("tokens_out") * tier.price_out), F.lit(0.0))).first()[0] / 1e6
-        open_ = self.spent(spark) < self.budget
+        open_ = self.spent(spark, epoch) < self.budget
         sure = scored.where(F.col("confidence") >= self.tau) if open_ else scored
         self._write(rows.join(scored.where(F.col("confidence") < self.tau).select("id"), "id", "left_semi") if open_ else rows.limit(0), "waiting", epoch)
         out = sure.select("id", "pred", F.lit("proxy").alias("route"))
@@ -117,13 +126,14 @@ class JointSink:
         done = stage(label_batches(assign_batches(waiting, size, self.params.seed), "classify", self.instruction, self.labels, len(self.labels), self.pool, self.params), "stream")
         return done.select("id", "pred", F.lit("joint").alias("route")), sum(r[5] for r in usage_rows(done, "joint", self.pool))
 
-    def flush(self, spark: SparkSession, epoch: int) -> None:
-        """Label whatever still waits, as when a timer fires or the stream ends."""
-        waiting = self.pending(spark, epoch).drop("epoch")
-        if waiting.limit(1).count():
-            joint, cost = self._joint(waiting)
-            self._write(joint, "predictions", epoch)
-            self._write(spark.createDataFrame([(float(cost), True)], "cost double, joint boolean"), "ledger", epoch)
+    def flush(self, spark: SparkSession) -> None:
+        """Label whatever still waits, as when a timer fires or the stream ends; call it between epochs."""
+        waiting = self.pending(spark)
+        epoch = waiting.agg(F.max("epoch")).first()[0]
+        if epoch is not None:
+            joint, cost = self._joint(waiting.drop("epoch"))
+            self._write(joint, "flushed_predictions", epoch)
+            self._write(spark.createDataFrame([(float(cost), True)], "cost double, joint boolean"), "flushed_ledger", epoch)
 
 
 def run_available(stream: DataFrame, target: Callable[[DataFrame, int], None], checkpoint: str) -> None:

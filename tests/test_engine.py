@@ -137,8 +137,8 @@ def test_an_epoch_delivered_again_changes_nothing(spark, data, tmp_path):
     rows = data.select("id", "text", F.col("truth").alias("hidden"))
     for epoch in (0, 1, 1):
         sink(rows.where(f"id % 2 = {epoch}"), epoch)
-    sink.flush(spark, 2)
-    sink.flush(spark, 3)
+    sink.flush(spark)
+    sink.flush(spark)
     ids = [r.id for r in sink.predictions(spark).collect()]
     assert sorted(ids) == list(range(120)) and sink.pending(spark).count() == 0
 

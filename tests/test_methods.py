@@ -201,3 +201,28 @@ def test_routes():
     assert cascade.full_joint_feasible(1, 10, 5, 2) and not cascade.full_joint_feasible(1, 11, 5, 2)
     assert (cascade.choose_proxy(1, 5, 4), cascade.choose_proxy(1, 5, 6)) == ("light", "strong")
     assert math.isinf(cascade.allowed_joint(5, 0, 1, 2))
+
+
+def test_labels_of_samples_are_those_of_their_components(spark):
+    """Random pairs, some of them repeated, turned round or with strangers; a sample without pairs keeps its ids."""
+    rng = np.random.default_rng(3)
+    samples, pairs, want = [], [], set()
+    for batch, number in itertools.product(range(4), range(5)):
+        ids = rng.choice(1000, 12, replace=False)
+        asked = rng.integers(0, 12, (0 if number == 4 else 4 + 2 * number, 2))
+        samples += [(batch, number, int(i)) for i in ids]
+        pairs += [(batch, number, int(ids[a]), int(ids[b])) for a, b in asked] + [(batch, number, int(ids[0]), 5000), (batch, number, 5000, int(ids[1]))] * (number < 4)
+        label = edges.components(12, asked)
+        want |= {(batch, number, int(ids[r]), int(ids[label == label[r]].min())) for r in range(12)}
+    got = edges.closed_labels_df(spark.createDataFrame(samples, "batch_id long, round int, id long"), spark.createDataFrame(pairs, "batch_id long, round int, a long, b long"))
+    assert sorted(map(tuple, got.collect())) == sorted(want)
+
+
+def test_batches_are_spread_by_their_number(spark):
+    """A batch is bytes only, but many questions: hundreds of them are never one task's work."""
+    from jointsem.operators.sampling import batch_tasks
+
+    found = assign_batches(spark.range(4000), 10, "t")
+    assert found.groupBy("batch_id").count().where("count <> 10").count() == 0
+    assert found.rdd.getNumPartitions() == batch_tasks(400, 4) == 50
+    assert batch_tasks(1, 200) == 1 and batch_tasks(0, 8) == 1 and batch_tasks(10**9, 200) == 100_000

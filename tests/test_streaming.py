@@ -55,7 +55,11 @@ def test_joint_sink(spark, tmp_path):
     assert 0 < before <= 120
     sink(spark.read.parquet(folder).where("id < 40"), 0)
     assert sink.predictions(spark).select("id").distinct().count() == sink.predictions(spark).count()
-    sink.flush(spark, 1000)
+    sink.flush(spark)
+    spent = sink.spent(spark)
+    sink.flush(spark)
+    sink(spark.read.parquet(folder).where("false"), 3)
+    assert sink.spent(spark) == spent
     found = {r.id: r for r in sink.predictions(spark).collect()}
     assert len(found) == 120 and sink.pending(spark).count() == 0 and sink.spent(spark) > 0
     assert all(r.pred == LABELS[i % 2] for i, r in found.items() if r.route == "joint")
