@@ -1,4 +1,5 @@
 import math
+import random
 import time
 
 import numpy as np
@@ -117,6 +118,23 @@ def test_answers_are_paid_once(spark, data, tmp_path):
     assert first.agg(F.sum("tokens_in")).first()[0] > 0 == again.agg(F.sum("tokens_in")).first()[0]
 
 
+def test_cached_answers_whichever_copy_is_asked(spark, tmp_path, monkeypatch):
+    """Of equal texts any may be the one that is asked, and another each time the plan runs, as when shuffled blocks arrive in another order."""
+    draw = F.udf(lambda i: random.random(), "double").asNondeterministic()
+
+    def any_copy(cache, keyed):
+        known = cache._table().dropDuplicates(["key"])
+        open_ = keyed.join(known, "key", "left_anti").withColumn("u", draw("id")).groupBy("key").agg(F.min_by("id", "u").alias("id"), F.min_by("text", "u").alias("text"))
+        return keyed.join(known, "key"), open_
+
+    monkeypatch.setattr(ResponseCache, "lookup", any_copy)
+    rows = spark.createDataFrame([(i, f"item {i % 20} is {LABELS[i % 20 % 3]}") for i in range(400)], "id long, text string")
+    cache = ResponseCache(spark, f"{tmp_path}/answers", "pred string, confidence double")
+    found = cascade.row_wise(rows, "?", LABELS, Tier("light", LexicalModel({n: n for n in LABELS}), 1, 1), cache=cache).collect()
+    assert sorted(r.id for r in found) == list(range(400)) and sum(r.tokens_in > 0 for r in found) == 20
+    assert all(r.pred == LABELS[r.id % 20 % 3] for r in found)
+
+
 @pytest.mark.parametrize("proxy", ["rows", "ladder", "batch", "rubric"])
 def test_proxies(data, proxy):
     found = tasks.classify(data, "id", ["text"], "?", LABELS, pool(Profile(row=0.2)), params=SURE.but(proxy=proxy), hidden="truth", force_route="proxy")
