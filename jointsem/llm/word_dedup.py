@@ -83,6 +83,7 @@ class _WordScan:
 
 class WordScheme:
     by_id = False
+    piece_bytes = 0
 
     def __init__(self, width: int = WIDTH, rounds: int = ROUNDS, names: Names | None = None):
         self.width, self.rounds, self.names = width, rounds, names or Names()
