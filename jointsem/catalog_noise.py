@@ -7,10 +7,12 @@ objective alone.
 
 from __future__ import annotations
 
+import functools
 import itertools
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -18,7 +20,7 @@ from jointsem.catalog import LANGUAGES, _batch, query, simulated_pool
 from jointsem.functions.hashing import uniform_sql as u
 from jointsem.models.base import Metered, Records, Tier
 from jointsem.models.simulated import Profile, SimulatedModel
-from jointsem.operators import assignment, correlation, edges, ordering, stopping
+from jointsem.operators import assignment, clustering, correlation, edges, ordering, stopping
 from jointsem.operators.clustering import cluster_batch
 from jointsem.operators.sampling import assign_batches, sample_batch
 from jointsem.plans import joint, tasks
@@ -89,17 +91,41 @@ def _found(pdf: pd.DataFrame):
     return records, batch, cluster_batch(records, "", 2, Metered(_pool().strong), SMALL, batch)
 
 
+def _voted(records: Records, batch: int) -> np.ndarray:
+    """The weights that cluster_batch ends with: at a stop share of 0 it asks every round, whatever it groups in between."""
+    ids, model = np.array(records.ids, np.int64), Metered(_pool().strong)
+    votes = edges.Votes(len(records), SMALL.unseen_weight)
+    w = votes.weights()
+    for r in range(1, SMALL.max_rounds + 1):
+        clustering.ask_round(records, ids, "", model, SMALL, batch, r, votes, w)
+    return w
+
+
+@functools.cache
+def _groupings(n: int) -> np.ndarray:
+    """Every grouping of n records into at most two, the first record's being 0."""
+    return np.array([(0, *m) for m in itertools.product(range(2), repeat=n - 1)])
+
+
+def _objectives(w: np.ndarray) -> np.ndarray:
+    """correlation.objective of every grouping: twice the weight of pairs inside a group and the similarity of pairs across."""
+    every = _groupings(len(w))
+    a, b = np.triu_indices(len(w), 1)
+    return 2 * np.where(every[:, a] == every[:, b], w[a, b], 1 - w[a, b]).sum(axis=1)
+
+
 def _unique(spark, sf) -> DataFrame:
     """(id, clusters) of the batches with one best grouping."""
 
-    def work(pdf: pd.DataFrame) -> pd.DataFrame:
-        records, _, found = _found(pdf)
-        n = len(records)
-        values = sorted(correlation.objective(found.weights, np.array([0, *m]), 2) for m in itertools.product(range(2), repeat=n - 1))
-        unique = values[0] < values[1] - 1e-9
-        return pd.DataFrame({"id": records.ids if unique else [], "clusters": len(set(found.ids.tolist()))}).astype("int64")
+    def work(table: pa.Table) -> pa.Table:
+        records = joint.rows_of(table)
+        values = _objectives(_voted(records, table["batch_id"][0].as_py()))
+        least = int(values.argmin())
+        unique = (values < values[least] + 1e-9).sum() == 1
+        ids = records.ids if unique else []
+        return pa.table({"id": pa.array(ids, pa.int64()), "clusters": pa.array([len(set(_groupings(len(records))[least].tolist()))] * len(ids), pa.int32())})
 
-    return stage(_batches(spark, sf).groupBy("batch_id").applyInPandas(work, "id long, clusters int"), "unique")
+    return stage(_batches(spark, sf).groupBy("batch_id").applyInArrow(work, "id long, clusters int"), "unique")
 
 
 def _where_unique(spark, sf, found: tasks.Result, both: bool = False) -> DataFrame:
